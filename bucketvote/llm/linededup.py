@@ -114,8 +114,9 @@ def dropped_lines(lines: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
             yield pd.concat(close(held, True))
 
     found = written(ordered.mapInPandas(task, kinds), "line-runs")
+    # at most two rows a partition: small enough to broadcast at any size
     edges = found.where("kind = 2").groupBy("hi", "lo").agg(F.max("doc").alias("top"), F.sum("docs").alias("docs")).where(F.col("docs") >= least_docs)
-    waiting = found.where("kind = 1").join(edges.drop("docs"), ["hi", "lo"]).where("doc <> top").select("doc", "row_key", "pos")
+    waiting = found.where("kind = 1").join(F.broadcast(edges.drop("docs")), ["hi", "lo"]).where("doc <> top").select("doc", "row_key", "pos")
     return found.where("kind = 0").select("doc", "row_key", "pos").unionByName(waiting)
 
 
