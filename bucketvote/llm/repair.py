@@ -98,15 +98,27 @@ def expansion_lengths(rules: np.ndarray, vocabulary: int) -> np.ndarray:
     return size[vocabulary:]
 
 
-def expand(symbols: np.ndarray, rules: np.ndarray, vocabulary: int) -> np.ndarray:
-    seq = symbols.astype(np.uint32)
-    while len(seq) and (big := seq >= vocabulary).any():
-        out = np.repeat(seq, 1 + big)
-        at = (np.cumsum(1 + big) - 1 - big)[big]
-        rule = rules[seq[big] - vocabulary]
-        out[at], out[at + 1] = rule[:, 0], rule[:, 1]
-        seq = out
-    return seq
+class Expander:
+    """Ids that symbols stand for: every rule's expansion in one table, so that a sequence expands in one pass."""
+
+    def __init__(self, rules: np.ndarray, lengths: np.ndarray, vocabulary: int):
+        self.size = np.concatenate([np.ones(vocabulary, np.int32), lengths.astype(np.int32)])
+        flat = vocabulary + np.arange(len(rules), dtype=np.uint32)
+        while len(flat) and (big := flat >= vocabulary).any():
+            out = np.repeat(flat, 1 + big)
+            at = (np.cumsum(1 + big) - 1 - big)[big]
+            rule = rules[flat[big] - vocabulary]
+            out[at], out[at + 1] = rule[:, 0], rule[:, 1]
+            flat = out
+        self.table = np.concatenate([np.arange(vocabulary, dtype=np.uint32), flat.astype(np.uint32)])
+        self.first = (np.cumsum(self.size, dtype=np.int64) - self.size).astype(np.int32)
+
+    def __call__(self, symbols: np.ndarray) -> np.ndarray:
+        size = self.size[symbols]
+        ends = np.cumsum(size, dtype=np.int64)
+        at = np.repeat(self.first[symbols] - (ends - size).astype(np.int32), size)
+        at += np.arange(len(at), dtype=np.int32)
+        return self.table[at]
 
 
 def pack_shard(doc_ids: list, parts: list[bytes], vocabulary: int) -> bytes:
@@ -145,21 +157,22 @@ class Shard:
         wide[:, :3] = take("u1", 3 * m).reshape(-1, 3)
         self.symbols = wide.view("<u4")[:, 0]
         self.ends = np.cumsum(self.spans.astype(np.int64))
+        self.expand = Expander(self.rules, self.lengths, self.vocabulary)
 
     def document(self, i: int) -> np.ndarray:
-        return expand(self.symbols[self.ends[i] - self.spans[i] : self.ends[i]], self.rules, self.vocabulary)
+        return self.expand(self.symbols[self.ends[i] - self.spans[i] : self.ends[i]])
 
     def slice(self, i: int, start: int, stop: int) -> np.ndarray:
         """Ids start..stop of document i: expansion lengths say which symbols hold them."""
         symbols = self.symbols[self.ends[i] - self.spans[i] : self.ends[i]]
-        size = np.concatenate([np.ones(self.vocabulary, np.int64), self.lengths])[symbols]
-        ends = np.cumsum(size)
+        size = self.expand.size[symbols]
+        ends = np.cumsum(size, dtype=np.int64)
         a, b = np.searchsorted(ends, start, "right"), np.searchsorted(ends, max(start, stop - 1), "right") + 1
         base = ends[a] - size[a] if a < len(ends) else 0
-        return expand(symbols[a:b], self.rules, self.vocabulary)[start - base : stop - base]
+        return self.expand(symbols[a:b])[start - base : stop - base]
 
     def all_ids(self) -> np.ndarray:
-        return expand(self.symbols, self.rules, self.vocabulary)
+        return self.expand(self.symbols)
 
 
 def write_shards(docs: DataFrame, tokenizer: str, folder: str, vocabulary: int = 49_408, shard_ids: int = 4_000_000) -> DataFrame:

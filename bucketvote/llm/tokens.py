@@ -27,17 +27,29 @@ def byte_letters() -> str:
     return "".join(chr(b) if b in set(own) else chr(next(spare)) for b in range(256))
 
 
+class _Cache(dict):
+    """Ids by chunk, made when first asked for."""
+
+    def __init__(self, make):
+        super().__init__()
+        self.make = make
+
+    def __missing__(self, chunk: str) -> bytes:
+        out = self[chunk] = self.make(chunk)
+        return out
+
+
 class Encoder:
     """Little-endian unsigned 32-bit ids of texts as bytes."""
 
-    def __init__(self, path: str, cache_size: int = 400_000, chunked: bool = True):
+    def __init__(self, path: str, cache_size: int = 500_000, chunked: bool = True):
         from tokenizers import Tokenizer
 
         self.whole = Tokenizer.from_file(path)
         model = self.whole.model
         self.tokenize = model.tokenize
         self.letters = byte_letters()
-        self.cache: dict[str, bytes] = {}
+        self.cache = _Cache(self._chunk)
         self.cache_size = cache_size
         with open(path) as f:
             kind = json.load(f)
@@ -69,18 +81,9 @@ class Encoder:
     def encode(self, text: str) -> bytes:
         if not self.chunked:
             return self.ids(text)
-        cache = self.cache
-        if not cache or len(cache) > self.cache_size:
-            cache.clear()
-            cache[""] = b""
-        chunks = text.replace("\n", " ").split(" ")
-        parts = list(map(cache.get, chunks))
-        if None in parts:
-            for i, part in enumerate(parts):
-                if part is None:
-                    chunk = chunks[i]
-                    parts[i] = cache.get(chunk) or cache.setdefault(chunk, self._chunk(chunk))
-        return b"".join(parts)
+        if len(self.cache) > self.cache_size:
+            self.cache.clear()
+        return b"".join(map(self.cache.__getitem__, text.replace("\n", " ").split(" ")))
 
 
 _encoders: dict[str, Encoder] = {}
