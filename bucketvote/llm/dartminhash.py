@@ -24,7 +24,7 @@ from .common import written
 
 SIZE, ROWS, WORDS, THRESHOLD = 128, 4, 5, 0.8
 #: Members of a bucket that all its members are compared with.
-PIVOTS = 12
+PIVOTS = 4
 _GOLD, _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _FIRST, _STEP = 2.0**-6, 4.0
 
@@ -64,7 +64,7 @@ def darts(elements: np.ndarray, weights: np.ndarray, size: int = SIZE, seed: int
     free = np.ones(size, bool)
     low, high, level = 0.0, _FIRST, 0
     top = float(weights.max())
-    salted = mix(elements + np.uint64(seed) * _GOLD)
+    salted = mix(elements + mix(np.array([seed], np.uint64)))
     while free.any():
         ids, ranks = [], []
         under, band = 0.0, 0
@@ -72,7 +72,7 @@ def darts(elements: np.ndarray, weights: np.ndarray, size: int = SIZE, seed: int
             over = 1.0 if band == 0 else under * 2
             reach = weights > under
             own = salted if reach.all() else salted[reach]
-            cell = mix(own + np.uint64((level << 8 | band) + 1) * _M2)
+            cell = mix(own + mix(np.array([(level << 8 | band) + 1], np.uint64)))
             n = np.searchsorted(_poisson((over - under) * (high - low)), _unit(cell))
             if n.any():
                 which = np.repeat(np.arange(len(n)), n)
@@ -180,6 +180,20 @@ def candidate_pairs(heads: DataFrame, pivots: int = PIVOTS) -> DataFrame:
     return both.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFrame:
+    """docs whose id may be among ids, by a bitmap of hashed ids: most other texts are not shuffled.
+
+    The bitmap has bits / 64 rows at most, whatever the number of ids, so it may be broadcast; when it fills up, more pass.
+    """
+
+    def slot(c: str):
+        return F.pmod(F.xxhash64(F.lit(11), c), F.lit(bits))
+
+    words = ids.select(slot("doc_id").alias("h")).groupBy(F.floor(F.col("h") / 64).alias("w")).agg(F.bit_or(F.expr("shiftleft(1L, cast(h % 64 as int))")).alias("m"))
+    hit = (F.floor(F.col("_h") / 64) == F.col("w")) & (F.expr("shiftrightunsigned(m, cast(_h % 64 as int)) & 1") == 1)
+    return docs.withColumn("_h", slot("doc_id")).join(F.broadcast(words), hit, "left_semi").drop("_h")
+
+
 def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: float, words: int = WORDS, counts: bool = False, slack: float = 0.2) -> DataFrame:
     """Pairs whose similarity on the whole texts reaches the threshold; those whose signatures differ far too much are not read."""
     sketch = heads.select("doc_id", "sketch")
@@ -204,8 +218,9 @@ def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: flo
         return one.join(values.select(F.col("doc_id").alias("a"), F.col(value).alias("x")), "a")
 
     close = written(beside(pairs, sketch, "sketch").select("a", "b", "x", "y").mapInPandas(near, "a long, b long"), "close-pairs")
-    needed = close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "doc_id")
-    texts = written(docs.where("doc_id is not null and text is not null").select("doc_id", "text", F.md5("text").alias("text_key")).join(heads.select("doc_id", "text_key"), ["doc_id", "text_key"]).dropDuplicates(["doc_id"]).join(needed, "doc_id", "left_semi").select("doc_id", "text"), "pair-texts")
+    needed = close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "doc_id").join(heads.select("doc_id", "text_key"), "doc_id")
+    some = maybe_among(docs.where("doc_id is not null and text is not null").select("doc_id", "text"), needed).withColumn("text_key", F.md5("text"))
+    texts = written(some.join(needed, ["doc_id", "text_key"]).dropDuplicates(["doc_id", "text_key"]).select("doc_id", "text"), "pair-texts")
     return written(beside(close, texts, "text").select("a", "b", "x", "y").mapInPandas(exact, "a long, b long"), "links")
 
 
