@@ -44,10 +44,10 @@ def run_folder(spark: SparkSession, name: str) -> str:
     return str(fs.makeQualified(hadoop).toString())
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
+def written(df: DataFrame, name: str, codec: str | None = None) -> DataFrame:
     """df as a Parquet table in the shared folder: cuts lineage and survives lost executors."""
     path = run_folder(df.sparkSession, name) + "/table"
-    df.write.parquet(path)
+    (df.write.option("compression", codec) if codec else df.write).parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

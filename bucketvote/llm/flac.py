@@ -437,7 +437,7 @@ def store(docs: DataFrame) -> DataFrame:
             raw = [x.encode() if isinstance(x, str) else b"" for x in part["text"]]
             yield pd.DataFrame({"doc_id": part["doc_id"], "media": encode(raw)})
 
-    return written(id_out(docs.select(id_in("doc_id"), "text").mapInPandas(task, "doc_id long, media binary"), "doc_id"), "flac")
+    return written(id_out(docs.select(id_in("doc_id"), "text").mapInPandas(task, "doc_id long, media binary"), "doc_id"), "flac", "zstd")
 
 
 def digests(media: DataFrame) -> DataFrame:
