@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from .common import written
 
-CELL, PAGE, FAN, QUERIES = 2048, 64, 16, 256
+CELL, PAGE, FAN, QUERIES = 2048, 256, 8, 256
 _SLACK = 1e-6
 
 
@@ -32,10 +32,14 @@ class Tree:
         self.ids, self.vectors = ids[order], vectors[order]
         self.dots = _exact(self.vectors)
         self.square = self._own_squares()
+        #: Most rows that share an id: so many of a query's own may stand among its best.
+        self.most_alike = int(np.unique(self.ids, return_counts=True)[1].max(initial=0))
         self.length = float(max(self.square, default=0))
         self.lift = np.sqrt(np.maximum(self.length - np.array(self.square, np.float64), 0))
         self.nodes: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
         self.root = self._build(np.arange(len(ids)), None) if len(ids) else -1
+        #: Each page's vectors lie together, so that an unpruned page is one product.
+        self.pages = [self.vectors[node[0]] for node in self.nodes]
 
     def _own_squares(self) -> list:
         if self.vectors.dtype == np.float64:
@@ -91,20 +95,28 @@ class Tree:
             if low > reach:
                 break
             objects, d, radius, child = self.nodes[node]
+            page = self.pages[node]
             if to_parent >= 0 and reach < float("inf"):
-                ok = np.abs(to_parent - d) - radius <= reach
-                objects, radius, child = objects[ok], radius[ok], child[ok]
-            if not len(objects):
-                continue
-            score = self.dots(objects, query)
+                ok = np.flatnonzero(np.abs(to_parent - d) - radius <= reach)
+                if not len(ok):
+                    continue
+                if len(ok) < len(objects):
+                    objects, radius, child, page = objects[ok], radius[ok], child[ok], page[ok]
+            score = self.dots(page, query)
             computed += len(objects)
-            dist = np.sqrt(np.maximum(square + self.length - 2 * np.array(score, np.float64), 0))
             if child[0] >= 0:
+                dist = np.sqrt(np.maximum(square + self.length - 2 * score.astype(np.float64), 0))
                 for s, x, c in zip(np.maximum(dist - radius, 0).tolist(), dist.tolist(), child.tolist(), strict=True):
                     if s <= reach:
                         heapq.heappush(queue, (s, c, x))
                 continue
-            for s, i in zip(score, objects.tolist(), strict=True):
+            if len(best) == k:
+                few = np.flatnonzero(score >= best[0][0])
+            elif len(score) > 4 * k:  # the own row may be among the best, so one more than k
+                few = np.flatnonzero(score >= np.partition(score, -k - self.most_alike)[-k - self.most_alike]) if len(score) > k + self.most_alike else np.arange(len(score))
+            else:
+                few = np.arange(len(score))
+            for s, i in zip(score[few].tolist(), objects[few].tolist(), strict=True):
                 key = int(self.ids[i])
                 item = (int(s), -key, i)
                 if key != own and (len(best) < k or item > best[0]):
@@ -117,8 +129,8 @@ class Tree:
 def _exact(vectors: np.ndarray):
     """Inner products as exact whole numbers: in doubles where they cannot round, else in Python's integers."""
     if vectors.dtype == np.float64:
-        return lambda rows, q: (vectors[rows] @ q).astype(np.int64).tolist()
-    return lambda rows, q: [sum(int(a) * int(b) for a, b in zip(vectors[i], q, strict=True)) for i in rows]
+        return lambda page, q: (page @ q).astype(np.int64)
+    return lambda page, q: np.array([sum(int(a) * int(b) for a, b in zip(v, q, strict=True)) for v in page], object)
 
 
 def whole_vectors(table: DataFrame, scale: int = 256) -> DataFrame:
