@@ -1,3 +1,414 @@
-"""All registered queries of the engine with their SQL."""
+"""All registered queries of the engine, each with the SQL that must give the same rows, where SQL can."""
 
-QUERIES = {}
+from __future__ import annotations
+
+from collections.abc import Callable
+from dataclasses import dataclass
+
+from pyspark.sql import DataFrame, SparkSession, Window
+from pyspark.sql import functions as F
+
+from .functions import features, hashing, similarity
+from .operators import search as S
+from .operators import sketch
+from .oracle import LINE_SETS, Build, num, sets, uni, words
+from .plans import measures, theory
+from .sources.tables import load
+
+SALTED = num("concat_ws('/', id, table_id)")
+
+K, TABLES, NODES, ASKED, DEPTH, WIDTH = 2, 12, 4, 100, 2, 256
+SIZE = {"queries": ASKED, "tables": TABLES}
+
+
+@dataclass
+class Query:
+    run: Callable[[SparkSession, str], DataFrame]
+    sql: str | None = None
+
+
+QUERIES: dict[str, Query] = {}
+
+
+def add(name: str, sql: str | None = None):
+    def put(run):
+        QUERIES[name] = Query(run, sql)
+        return run
+
+    return put
+
+
+def doc_sets(spark, d, mode="word", n=3):
+    return features.token_sets(load(spark, d, "documents"), "doc_id", "text", mode, n)
+
+
+def asked(rows: DataFrame, n: int = ASKED) -> DataFrame:
+    return rows.orderBy(hashing.token_number(F.col("id")), "id").limit(n)
+
+
+def digest(rows: DataFrame) -> DataFrame:
+    """A set per row as its size and the sum of its tokens' numbers."""
+    return rows.select("id", F.size("tokens").cast("long").alias("n"), F.aggregate(F.transform("tokens", hashing.token_number), F.lit(0).cast("long"), lambda s, x: s + x).alias("total"))
+
+
+DIGEST = f"SELECT id, count(*) n, CAST(sum({num('token')}) AS BIGINT) total FROM sets GROUP BY id"
+SHINGLES = f"""SELECT DISTINCT id, token FROM (SELECT id, CASE WHEN c >= 3 THEN w || ' ' || lead(w, 1) OVER p || ' ' || lead(w, 2) OVER p ELSE string_agg(w, ' ') OVER (PARTITION BY id ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) END token
+  FROM (SELECT id, token w, pos, count(*) OVER (PARTITION BY id) c FROM {words()} WHERE token <> '') WINDOW p AS (PARTITION BY id ORDER BY pos)) WHERE token IS NOT NULL"""
+BASKETS = "SELECT DISTINCT o_custkey id, CAST(l_partkey AS VARCHAR) token FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
+PROFILES = "SELECT DISTINCT user_id id, event_type || ':' || coalesce(json_extract_string(props, '$.k'), '') token FROM events WHERE user_id IS NOT NULL"
+PAGES = "(SELECT page_id, regexp_replace(regexp_replace(regexp_replace(lower(html), '<script[^>]*>.*?</script>', ' ', 'g'), '<style[^>]*>.*?</style>', ' ', 'g'), '<[^>]*>', ' ', 'g') t FROM pages)"
+
+# features
+add("f01_doc_words", Build().select(DIGEST))(lambda s, d: digest(doc_sets(s, d)))
+add("f02_doc_shingles", Build(SHINGLES).select(DIGEST))(lambda s, d: digest(doc_sets(s, d, "shingle")))
+add("f03_char_grams", Build("SELECT DISTINCT doc_id id, substr(lower(text), i, 5) token FROM (SELECT doc_id, text, unnest(range(1, length(lower(text)) - 3)) i FROM documents) WHERE length(lower(text)) >= 5").select(DIGEST))(lambda s, d: digest(doc_sets(s, d, "char", 5)))
+add("f04_hash_features", Build(LINE_SETS).select(f"SELECT id, count(DISTINCT {num('token')} % 1048576) n, CAST(sum(DISTINCT {num('token')} % 1048576) AS BIGINT) total FROM sets GROUP BY id"))(
+    lambda s, d: features.hash_features(load(s, d, "lineitem"), features.line_id(), features.line_values()).select("id", F.size("idx").cast("long").alias("n"), F.aggregate("idx", F.lit(0).cast("long"), lambda a, x: a + x).alias("total"))
+)
+add("f04_line_rows", Build(LINE_SETS).select(DIGEST))(lambda s, d: digest(features.line_rows(load(s, d, "lineitem"))))
+add("f05_baskets", Build(BASKETS).select(DIGEST))(lambda s, d: digest(features.baskets(load(s, d, "orders"), load(s, d, "lineitem"))))
+add("f06_event_profiles", Build(PROFILES).select(DIGEST))(lambda s, d: digest(features.event_profiles(load(s, d, "events"))))
+WEIGHTED = f"SELECT id, token, count(*) weight FROM {words()} WHERE token <> '' GROUP BY ALL"
+
+
+def weighted(s, d):
+    return features.weighted_vectors(load(s, d, "documents"), "doc_id", "text")
+
+
+add("f07_weighted", WEIGHTED)(weighted)
+add("f08_page_text", Build(sets(PAGES, "page_id", "t")).select(DIGEST))(lambda s, d: digest(features.token_sets(load(s, d, "pages").select("page_id", features.page_text(F.col("html")).alias("t")), "page_id", "t")))
+add("f09_quantise", "SELECT id, count(*) n, CAST(sum(" + num("token") + ") AS BIGINT) total FROM (SELECT vec_id id, CAST(i - 1 AS VARCHAR) || ':' || CAST(CAST(floor(CAST(x AS DOUBLE) / 0.1) AS BIGINT) AS VARCHAR) token FROM (SELECT vec_id, unnest(embedding) x, generate_subscripts(embedding, 1) i FROM embeddings)) GROUP BY id")(lambda s, d: digest(features.quantise_dense(load(s, d, "embeddings"), "vec_id", "embedding")))
+add("f10_binarise", f"SELECT id, token FROM ({WEIGHTED})")(lambda s, d: features.binarise(weighted(s, d)))
+add("f11_norms", f"SELECT id, round(sqrt(sum(weight * weight)), 6) norm, count(*) size FROM ({WEIGHTED}) GROUP BY id")(lambda s, d: features.vector_norms(weighted(s, d)).select("id", F.round("norm", 6).alias("norm"), "size"))
+add("f12_ml_vector")(lambda s, d: features.to_ml_vector(doc_sets(s, d)).select("id", F.size("tokens").alias("n")))
+
+# hashes and signatures
+A0, B0 = hashing.hash_coefficients(1, 1)[0]
+add("h01_hash", Build().select(f"SELECT id, token, {uni(num('token'), A0, B0)} h FROM sets"))(lambda s, d: doc_sets(s, d).select("id", F.explode("tokens").alias("token")).select("id", "token", hashing.hash_column(F.col("token"), 0).alias("h")))
+CO = hashing.hash_coefficients(1, 8)
+SIG_DIGEST = 'SELECT id, CAST(bin AS INTEGER) bin, value FROM {}'
+
+
+def long_sig(sig):
+    return sig.select("id", F.posexplode("sig").alias("bin", "value"))
+
+
+add("h02_minhash", Build().select(" UNION ALL ".join(f"SELECT id, CAST({i} AS INTEGER) bin, min({uni(num('token'), a, b)}) AS value FROM sets GROUP BY id" for i, (a, b) in enumerate(CO))))(lambda s, d: long_sig(hashing.minhash(doc_sets(s, d), 8)))
+add("h04_one_permutation", Build().signature(24).select(SIG_DIGEST.format("sig")))(lambda s, d: long_sig(hashing.one_permutation(doc_sets(s, d), 24)).where("value is not null"))
+for _name, _opt in {"per_bin": {}, "rotation": {"coin": "always_right"}, "closest": {"coin": "closest_side"}, "offset": {"offset": True}}.items():
+    add(f"h05_densify_{_name}", Build().signature(24).dense(24, **_opt).select(SIG_DIGEST.format("full_sig")))(lambda s, d, o=_opt: long_sig(hashing.densify(hashing.one_permutation(doc_sets(s, d), 24), 24, **o)))
+for _name, _layout in {"h06_bucket_keys": "block", "h06_bucket_keys_interleave": "interleave"}.items():
+    add(_name, Build().signature(24).dense(24).keys(K, TABLES, _layout).select("SELECT * FROM keys"))(lambda s, d, o=_layout: hashing.keys_of(doc_sets(s, d), K, TABLES, layout=o))
+
+
+def calibration(s, d, family="minhash", bins=64):
+    """Mean share of agreeing values by tenth of exact similarity, over pairs that share a word with a query."""
+    rows = doc_sets(s, d)
+    q = asked(rows, 40)
+    sig = (hashing.minhash(rows, bins) if family == "minhash" else hashing.densify(hashing.one_permutation(rows, bins), bins)).withColumnRenamed("sig", "s1")
+    pairs = similarity.shared_tokens(rows, q, "jaccard").join(sig, "id").join(sig.select(F.col("id").alias("query_id"), F.col("s1").alias("s2")), "query_id")
+    return pairs.groupBy(F.floor(F.col("similarity") * 10).alias("tenth")).agg(F.count("*").alias("pairs"), F.avg("similarity").alias("jaccard"), F.avg(hashing.jaccard_estimate(F.col("s1"), F.col("s2"))).alias("agreement"))
+
+
+add("h03_jaccard_estimate")(calibration)
+add("h09_calibration")(lambda s, d: calibration(s, d, "one_permutation"))
+add("h07_signed_projection")(lambda s, d: hashing.signed_projection(load(s, d, "embeddings"), "vec_id", "embedding", 16, 64))
+
+
+def euclidean_buckets(s, d):
+    from pyspark.ml.feature import BucketedRandomProjectionLSH
+    from pyspark.ml.functions import array_to_vector
+
+    v = load(s, d, "embeddings").select("vec_id", array_to_vector(F.col("embedding").cast("array<double>")).alias("v"))
+    return BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=0.5, numHashTables=4, seed=1).fit(v).transform(v).select("vec_id", F.size("h").alias("tables"))
+
+
+add("h08_euclidean")(euclidean_buckets)
+
+# similarities
+def asked_build(set_sql=None, n=ASKED):
+    return Build(set_sql).add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT {n}")
+
+
+COS, JAC = "both / sqrt(CAST(na * nb AS DOUBLE))", "both / CAST(na + nb - both AS DOUBLE)"
+
+
+def best(value, k=10, src="sim_rows"):
+    return f'SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY round({value}, 9) DESC, id) AS INTEGER) AS "rank", id, round({value}, 6) similarity FROM {src} QUALIFY "rank" <= {k}'
+
+
+def top_by(rows, k=10):
+    order = Window.partitionBy("query_id").orderBy(F.desc(F.round("similarity", 9)), "id")
+    return rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "id", F.round("similarity", 6).alias("similarity"))
+
+
+add("m01_jaccard_top", asked_build().pairs().select(best(JAC)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10, "jaccard"))
+add("m02_cosine_top", asked_build().pairs().select(best(COS)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10))
+WCOS = (
+    Build(f"SELECT id, token, weight FROM ({WEIGHTED})").add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT {ASKED}")
+    .add("norms", "SELECT id, sqrt(sum(weight * weight)) norm FROM sets GROUP BY id")
+    .add("sim_rows", "SELECT a.id query_id, b.id, sum(a.weight * b.weight) / (any_value(na.norm) * any_value(nb.norm)) s FROM sets a JOIN sets b ON a.token = b.token AND a.id <> b.id JOIN norms na ON na.id = a.id JOIN norms nb ON nb.id = b.id WHERE a.id IN (SELECT query_id FROM asked) GROUP BY ALL")
+    .select(best("s"))
+)
+add("m02_weighted_cosine_top", WCOS)(lambda s, d: top_by(similarity.weighted_cosine(weighted(s, d), weighted(s, d).join(asked(doc_sets(s, d)).select("id"), "id", "left_semi"))))
+
+
+def dense_top(s, d):
+    """Dense cosine of a counted set of queries with all vectors, by a broadcast of the queries."""
+    v = load(s, d, "embeddings").where("embedding is not null").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+    q = asked(v, 50).select(F.col("id").alias("query_id"), F.col("v").alias("q"))
+    return top_by(v.join(F.broadcast(q), F.col("id") != F.col("query_id")).select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")))
+
+
+add("m03_dense_top", f"""WITH p AS (SELECT vec_id id, unnest(embedding) x, generate_subscripts(embedding, 1) i FROM embeddings), n AS (SELECT id, sum(CAST(x AS DOUBLE) * x) s FROM p GROUP BY id),
+ q AS (SELECT id FROM n ORDER BY {num('id')}, id LIMIT 50), sim_rows AS (SELECT a.id query_id, b.id, sum(CAST(a.x AS DOUBLE) * b.x) / sqrt(any_value(na.s) * any_value(nb.s)) s FROM p a JOIN p b ON a.i = b.i AND a.id <> b.id JOIN n na ON na.id = a.id JOIN n nb ON nb.id = b.id WHERE a.id IN (SELECT id FROM q) GROUP BY ALL) {best('s')}""")(dense_top)
+
+
+def distances(s, d):
+    top = S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 3)
+    rows = doc_sets(s, d)
+    both = top.join(rows.withColumnRenamed("tokens", "y"), "id").join(rows.select(F.col("id").alias("query_id"), F.col("tokens").alias("x")), "query_id")
+    return both.select("query_id", "id", *[F.round(similarity.distance(k, F.col("x"), F.col("y")), 6).alias(k) for k in ("jaccard", "cosine", "euclidean")])
+
+
+add("m04_distances", asked_build().pairs().add("best3", f'SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY round({COS}, 9) DESC, id) AS rk FROM sim_rows QUALIFY rk <= 3').select(f"SELECT query_id, id, round(1 - {JAC}, 6) jaccard, round(1 - {COS}, 6) cosine, round(sqrt(CAST(na + nb - 2 * both AS DOUBLE)), 6) euclidean FROM best3"))(distances)
+
+
+# index
+def buckets(s, d, nodes=NODES, **o):
+    return S.build_bucket_index(doc_sets(s, d), K, TABLES, nodes, **o)
+
+
+def qkeys(s, d, **o):
+    return S.hash_queries(asked(doc_sets(s, d)), K, TABLES, **o)
+
+
+def cells(s, d, nodes=NODES):
+    return S.build_sketch_index(buckets(s, d, nodes), DEPTH, WIDTH)
+
+
+def B(nodes=NODES, **o):
+    return Build().buckets(K, TABLES, nodes, **o)
+
+
+def BC(nodes=NODES):
+    return B(nodes).cells(DEPTH, WIDTH).queries(ASKED)
+
+
+CELL_COLS = 'table_id, bucket_key, node, "row", col, total, cand, votes'
+add("x01_nodes", Build().select(f"SELECT DISTINCT id, CAST({num('id')} % {NODES} AS INTEGER) node FROM sets"))(lambda s, d: S.assign_nodes(doc_sets(s, d), NODES).select("id", "node"))
+add("x02_bucket_index", B().select("SELECT * FROM buckets"))(buckets)
+
+
+def union_law(s, d):
+    """Rows by which the united node indexes differ from the one index, both ways: none."""
+    one, many = buckets(s, d, 1).drop("node"), None
+    for node in range(NODES):
+        part = S.assign_nodes(doc_sets(s, d), NODES).where(F.col("node") == node).drop("node")
+        own = hashing.keys_of(part, K, TABLES).select("table_id", "bucket_key", "id")
+        many = own if many is None else many.unionByName(own)
+    return one.exceptAll(many).unionByName(many.exceptAll(one)).agg(F.count("*").alias("differing"))
+
+
+add("x03_union_law", "SELECT CAST(0 AS BIGINT) differing")(union_law)
+add("x04_reservoir", B().select(f"SELECT node, table_id, bucket_key, id FROM buckets QUALIFY row_number() OVER (PARTITION BY node, table_id, bucket_key ORDER BY {SALTED}, id) <= 4"))(lambda s, d: S.build_reservoir_index(buckets(s, d), 4))
+add("x05_sketch_cells", B().cells(DEPTH, WIDTH).select(f"SELECT {CELL_COLS} FROM cells"))(cells)
+add("x06_hybrid_light", B().add("sized", "SELECT *, count(*) OVER (PARTITION BY node, table_id, bucket_key) n FROM buckets").select("SELECT node, table_id, bucket_key, id FROM sized WHERE n <= 4"))(lambda s, d: S.build_hybrid_index(buckets(s, d), 4)[0])
+add("x06_hybrid_heavy", B().add("sized", "SELECT *, count(*) OVER (PARTITION BY node, table_id, bucket_key) n FROM buckets").add("heavy", "SELECT * EXCLUDE (n) FROM sized WHERE n > 4").cells(DEPTH, WIDTH, "heavy").select(f"SELECT {CELL_COLS} FROM cells"))(lambda s, d: S.build_hybrid_index(buckets(s, d), 4, DEPTH, WIDTH)[1])
+
+
+def appended(s, d):
+    b = buckets(s, d)
+    half = F.col("id") % 2 == 0
+    both = S.append_index(S.build_sketch_index(b.where(half), DEPTH, WIDTH), S.build_sketch_index(b.where(~half), DEPTH, WIDTH))
+    return both.select("node", "table_id", "bucket_key", "row", "col", "total")
+
+
+add("x07_append_totals", B().cells(DEPTH, WIDTH).select('SELECT node, table_id, bucket_key, "row", col, total FROM cells'))(appended)
+STATS = 'SELECT table_id, count(*) buckets, CAST(sum(n) AS BIGINT) ids, max(n) largest, count(*) FILTER (n = 1) singletons, round(sum(CASE WHEN n > 8 THEN n ELSE 0 END) / CAST(sum(n) AS DOUBLE), 6) heavy_share FROM (SELECT table_id, bucket_key, count(*) n FROM buckets GROUP BY ALL) GROUP BY table_id'
+add("x09_stats", B().select(STATS))(lambda s, d: measures.index_stats(buckets(s, d)))
+add("x09_stats_lines", Build(LINE_SETS).buckets(4, 8, NODES).select(STATS))(lambda s, d: measures.index_stats(S.build_bucket_index(features.line_rows(load(s, d, "lineitem")), 4, 8, NODES)))
+
+
+# sketches and search
+def local(s, d, nodes=NODES):
+    return S.local_merge(qkeys(s, d), cells(s, d, nodes), **SIZE)
+
+
+MERGED_COLS = 'query_id, "row", col, total, cand, votes'
+add("q01_query_keys", B().queries(ASKED).select("SELECT * FROM qkeys"))(qkeys)
+add("q03_local_merge", BC().local().select("SELECT * FROM local_cells"))(local)
+add("s03_multiway_merge", BC().local().merge("merged", "local_cells", "query_id").select(f"SELECT {MERGED_COLS} FROM merged"))(lambda s, d: S.global_merge(local(s, d), NODES, "multiway"))
+for _m in (2, 4, 7):
+    for _s in ("tree", "linear"):
+        add(f"q0{4 if _s == 'tree' else 5}_{_s}_m{_m}", getattr(BC(_m).local(), _s)(_m).select(f"SELECT {MERGED_COLS} FROM merged"))(lambda s, d, m=_m, st=_s: S.global_merge(local(s, d, m), m, st))
+add("q06_exact_counts", B().queries(ASKED).counts().select("SELECT * FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE))
+for _s in ("tree", "linear"):
+    add(f"q09_search_{_s}", getattr(BC().local(), _s)(NODES).top(10, DEPTH, WIDTH).select('SELECT query_id, "rank", id, votes, upper FROM answers'))(lambda s, d, st=_s: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, st, DEPTH, WIDTH))
+HITS = 'SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS INTEGER) AS "rank", id, hits votes, hits AS upper FROM counts WHERE query_id <> id QUALIFY "rank" <= 10'
+add("q09_search_exact", B().queries(ASKED).counts().select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "exact"))
+add("q14_search_reservoir", B().add("kept", f"SELECT * FROM buckets QUALIFY row_number() OVER (PARTITION BY node, table_id, bucket_key ORDER BY {SALTED}, id) <= 8").queries(ASKED).counts("kept").select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "reservoir", cap=8))
+add("s06_top_k", BC().local().merge("merged", "local_cells", "query_id").top(5, DEPTH, WIDTH, False).select('SELECT query_id, "rank", id, upper, votes FROM answers'))(lambda s, d: sketch.top_k(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 5, DEPTH, WIDTH))
+
+
+def bounds(s, d):
+    merged = S.global_merge(local(s, d), NODES, "multiway")
+    return sketch.estimate(merged, merged.select("query_id", F.col("cand").alias("id")).distinct(), ["query_id"], DEPTH, WIDTH)
+
+
+add("s05_bounds", BC().local().merge("merged", "local_cells", "query_id").top(5, DEPTH, WIDTH, False).select("SELECT query_id, id, CAST(upper AS BIGINT) AS upper, CAST(votes AS BIGINT) votes FROM bounds"))(bounds)
+add("s07_heavy_hitters", BC().local().merge("merged", "local_cells", "query_id").top(5, DEPTH, WIDTH, False).add("alls", 'SELECT query_id, sum(total) a FROM merged WHERE "row" = 0 GROUP BY ALL').select("SELECT b.query_id, id, CAST(upper AS BIGINT) AS upper, CAST(votes AS BIGINT) votes FROM bounds b JOIN alls USING (query_id) WHERE upper >= 0.02 * a"))(lambda s, d: sketch.heavy_hitters(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 0.02, DEPTH, WIDTH))
+
+
+def event_ids(s, d):
+    return load(s, d, "events").where("user_id is not null").select(F.col("user_id").alias("id"), "event_type")
+
+
+EV = Build("SELECT user_id id, event_type token FROM events WHERE user_id IS NOT NULL")
+add("s08_count_min", EV.add("ev", "SELECT id, token event_type FROM sets").add("sp", EV.spread("ev", 2, 64)).select('SELECT event_type, "row", col, count(*) total FROM sp GROUP BY ALL'))(lambda s, d: sketch.count_min(event_ids(s, d), ["event_type"], 2, 64))
+EV2 = Build("SELECT user_id id, event_type token FROM events WHERE user_id IS NOT NULL")
+add("s10_count_sketch", EV2.add("ev", "SELECT id, token event_type FROM sets").add("sp", EV2.spread("ev", 3, 64)).select('SELECT event_type, "row", col, CAST(sum(1 - 2 * (' + num("concat_ws('/', id, \"row\")") + ' % 2)) AS BIGINT) total FROM sp GROUP BY ALL'))(lambda s, d: sketch.count_sketch(event_ids(s, d), ["event_type"], 3, 64))
+add("s09_frequent_items")(lambda s, d: event_ids(s, d).stat.freqItems(["id"], 0.02))
+add("s12_approx_top_k")(lambda s, d: event_ids(s, d).groupBy("event_type").agg(F.expr("approx_top_k(id, 5)").alias("top")))
+
+# baselines
+def classic_sql(least, k=K, tables=TABLES):
+    b = Build().buckets(k, tables, 1).queries(ASKED).counts().pairs()
+    return b.add("hit", f"SELECT s.* FROM sim_rows s JOIN counts c ON c.query_id = s.query_id AND c.id = s.id WHERE c.hits >= {least}").select(best(COS, 10, "hit"))
+
+
+for _name, _least in {"q07_classic_lsh": 1, "q08_filtered_lsh": 3}.items():
+    add(_name, classic_sql(_least))(lambda s, d, n=_least: S.classic_lsh(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, n))
+add("b04_or_only_lsh", classic_sql(1, 1, 12))(lambda s, d: S.classic_lsh(doc_sets(s, d), asked(doc_sets(s, d)), 1, 12, 10))
+add("b01_brute_force", asked_build().pairs().select(best(COS, 64)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 64))
+
+
+def ml_join(s, d):
+    """The built-in LSH: its batch join, then the best by distance."""
+    from pyspark.ml.feature import MinHashLSH
+
+    v = features.to_ml_vector(doc_sets(s, d)).select("id", "features")
+    model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=8, seed=1).fit(v)
+    q = v.join(asked(doc_sets(s, d)).select("id"), "id", "left_semi")
+    found = model.approxSimilarityJoin(q, v, 0.95, "distance").select(F.col("datasetA.id").alias("query_id"), F.col("datasetB.id").alias("id"), (1 - F.col("distance")).alias("similarity"))
+    return top_by(found.where("query_id <> id"))
+
+
+add("b03_builtin_lsh_join")(ml_join)
+
+
+def ml_single(s, d, n=5):
+    """The built-in LSH, one query at a time: a job a query, as the paper times it; n queries."""
+    from pyspark.ml.feature import MinHashLSH
+
+    v = features.to_ml_vector(doc_sets(s, d)).select("id", "features")
+    model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=8, seed=1).fit(v)
+    out = None
+    for r in v.join(asked(doc_sets(s, d), n).select("id"), "id", "left_semi").orderBy("id").collect():  # n rows
+        near = model.approxNearestNeighbors(v, r["features"], 10, distCol="distance").select(F.lit(r["id"]).alias("query_id"), "id", (1 - F.col("distance")).alias("similarity"))
+        out = near if out is None else out.unionByName(near)
+    return out
+
+
+add("b02_builtin_lsh_single")(ml_single)
+
+
+# near-duplicates, measures, theory
+def duplicate_pairs(s, d, least=0.8):
+    """Pairs of documents whose three-word shingles agree, met through shared keys and verified exactly."""
+    rows = doc_sets(s, d, "shingle")
+    b = hashing.keys_of(rows, 2, 16)
+    hits = b.join(b.select("table_id", "bucket_key", F.col("id").alias("id_b")), ["table_id", "bucket_key"]).where("id < id_b").groupBy(F.col("id").alias("id_a"), "id_b").agg(F.count("*").alias("hits"))
+    both = hits.join(rows.select(F.col("id").alias("id_a"), F.col("tokens").alias("x")), "id_a").join(rows.select(F.col("id").alias("id_b"), F.col("tokens").alias("y")), "id_b")
+    return both.withColumn("jaccard", F.round(similarity.jaccard(F.col("x"), F.col("y")), 6)).where(F.col("jaccard") >= least).select("id_a", "id_b", "hits", "jaccard")
+
+
+NEAR = Build(SHINGLES).buckets(2, 16, 1).add("hits", "SELECT a.id id_a, b.id id_b, count(*) hits FROM buckets a JOIN buckets b USING (table_id, bucket_key) WHERE a.id < b.id GROUP BY ALL").add("sizes", "SELECT id, count(*) n FROM sets GROUP BY id").add("common", "SELECT h.id_a, h.id_b, any_value(h.hits) hits, count(b.token) c FROM hits h JOIN sets a ON a.id = h.id_a LEFT JOIN sets b ON b.id = h.id_b AND b.token = a.token GROUP BY h.id_a, h.id_b")
+add("q12_near_duplicates", NEAR.select("SELECT id_a, id_b, hits, round(c / CAST(x.n + y.n - c AS DOUBLE), 6) jaccard FROM common JOIN sizes x ON x.id = id_a JOIN sizes y ON y.id = id_b WHERE round(c / CAST(x.n + y.n - c AS DOUBLE), 6) >= 0.8"))(duplicate_pairs)
+
+
+def quality(s, d, strategy="tree", nodes=NODES, ks=(1, 64), missing="ignore", k=1, tables=TABLES):
+    rows = doc_sets(s, d)
+    q = asked(rows)
+    return measures.similarity_at_k(S.search(rows, q, k, tables, max(ks), nodes, strategy, 2, 1024), rows, q, ks, missing).select(F.lit(strategy).alias("strategy"), F.lit(nodes).alias("nodes"), "k", "s_at_k", "coverage", "queries")
+
+
+def quality_sql(missing):
+    value = "avg(s / n)" if missing == "ignore" else f"sum(s / k) / {ASKED}"
+    b = Build().buckets(1, TABLES, NODES).queries(ASKED).counts().pairs().add("placed", 'SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS rk, id FROM counts WHERE query_id <> id QUALIFY rk <= 64')
+    b.add("scored", f"SELECT p.query_id, p.rk, k, coalesce({COS}, 0) sim FROM placed p LEFT JOIN sim_rows s ON s.query_id = p.query_id AND s.id = p.id, (VALUES (1), (64)) t(k) WHERE rk <= k")
+    return b.select(f"SELECT 'exact' strategy, CAST({NODES} AS INTEGER) nodes, CAST(k AS INTEGER) k, round({value}, 6) s_at_k, round(sum(n) / CAST(k * {ASKED} AS DOUBLE), 6) coverage, CAST({ASKED} AS BIGINT) queries FROM (SELECT k, query_id, sum(sim) s, count(*) n FROM scored GROUP BY ALL) GROUP BY k")
+
+
+for _m in ("ignore", "zero"):
+    add(f"c01_s_at_k_{_m}", quality_sql(_m))(lambda s, d, m=_m: quality(s, d, "exact", missing=m))
+add("c03_recall")(lambda s, d: measures.recall_at_k(S.search(doc_sets(s, d), asked(doc_sets(s, d)), 1, TABLES, 10, NODES, "exact"), S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10), 10))
+add("c04_random_pairs", asked_build(n=200).pairs("a.id < b.id").add("few", "SELECT * FROM sim_rows WHERE id IN (SELECT query_id FROM asked)").select(f"SELECT CAST(19900 AS BIGINT) pairs, round(sum({COS}) / 19900, 6) mean_cosine FROM few"))(lambda s, d: measures.random_pair_similarity(doc_sets(s, d), 200))
+add("c07_merge_cost", B().queries(ASKED).select(f"SELECT query_id, count(DISTINCT (node, b.table_id, b.bucket_key)) sketches, CAST({S.tree_rounds(NODES)} AS BIGINT) rounds, CAST({NODES - 1} AS BIGINT) linear_merges FROM qkeys q JOIN buckets b USING (table_id, bucket_key) GROUP BY ALL"))(lambda s, d: measures.merge_cost(qkeys(s, d), buckets(s, d), NODES))
+
+
+def distance_count(s, d):
+    c = S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE).agg(F.count("*").alias("n"))
+    n = doc_sets(s, d).agg((F.count("*") * ASKED).alias("n"))
+    return c.select(F.lit("classic").alias("method"), "n").unionByName(n.select(F.lit("brute").alias("method"), "n")).unionByName(c.select(F.lit("sketch").alias("method"), F.lit(0).cast("long").alias("n")))
+
+
+add("c08_distances", B().queries(ASKED).counts().select(f"SELECT 'classic' AS method, count(*) n FROM counts UNION ALL SELECT 'brute', count(DISTINCT id) * {ASKED} FROM sets UNION ALL SELECT 'sketch', 0"))(distance_count)
+add("c09_multiplications", Build().select("SELECT count(*) per_query, count(DISTINCT id) n FROM sets"))(lambda s, d: doc_sets(s, d).agg(F.sum(F.size("tokens")).alias("per_query"), F.count("*").alias("n")))
+
+
+def volume(s, d):
+    by_node = S.probe(qkeys(s, d), buckets(s, d), **SIZE).groupBy("query_id", "node", "id").agg(F.count("*").alias("hits"))
+    return measures.communication_volume(local(s, d), by_node, NODES)
+
+
+add("c10_communication", BC().local().add("per", "SELECT DISTINCT q.query_id, node, b.id FROM qkeys q JOIN buckets b USING (table_id, bucket_key)").add("r1", 'SELECT DISTINCT query_id, node // 2 node, "row", col FROM local_cells').select("SELECT 'linear' strategy, count(*) n FROM local_cells WHERE node > 0 UNION ALL SELECT 'exact', count(*) FROM per WHERE node > 0 UNION ALL SELECT 'tree', (SELECT count(*) FROM local_cells WHERE node % 2 = 1) + (SELECT count(*) FROM r1 WHERE node % 2 = 1)"))(volume)
+add("c11_footprint", B().cells(DEPTH, WIDTH).select("SELECT 'ids' kind, count(*) n, count(*) * 8 bytes FROM buckets UNION ALL SELECT 'cells', count(*), count(*) * 24 FROM cells"))(lambda s, d: measures.footprint(buckets(s, d), cells(s, d)))
+add("c12_imbalance", B().select("SELECT count(*) nodes, max(n) most, round(max(n) / avg(n), 6) imbalance FROM (SELECT node, count(*) n FROM buckets GROUP BY node)"))(lambda s, d: measures.node_imbalance(buckets(s, d)))
+add("c15_candidate_fraction", B().queries(ASKED).counts().select(f"SELECT round(count(*) / CAST((SELECT count(DISTINCT id) FROM sets) * {ASKED} AS DOUBLE), 6) fraction FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE).agg(F.count("*").alias("c")).crossJoin(doc_sets(s, d).agg(F.count("*").alias("n"))).select(F.round(F.col("c") / (F.col("n") * ASKED), 6).alias("fraction")))
+add("c16_sketch_error", BC().local().merge("merged", "local_cells", "query_id").top(10, DEPTH, WIDTH, False).counts().add("e", "SELECT a.*, coalesce(c.hits, 0) hits FROM answers a LEFT JOIN counts c ON c.query_id = a.query_id AND c.id = a.id").select("SELECT count(*) reported, count(*) FILTER (votes <= hits AND hits <= upper) within, round(avg(upper - hits), 6) mean_over, round(avg(hits - votes), 6) mean_under FROM e"))(lambda s, d: measures.sketch_error(sketch.top_k(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 10, DEPTH, WIDTH), S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE)))
+CURVE = ", ".join(str(x) for x in theory.SETTINGS)
+add("th01_curve", f"SELECT CAST(k AS INTEGER) k, CAST(l AS INTEGER) l, i / 10.0::DOUBLE s, round(1 - pow(1 - pow(i / 10.0::DOUBLE, k), l), 6) any_hit, round(l * pow(i / 10.0::DOUBLE, k), 6) expected_hits FROM (VALUES {CURVE}) t(k, l), range(1, 11) r(i)")(lambda s, d: theory.collision_curve(s))
+TCASES = ", ".join(f"({n}, {p}::DOUBLE, {q}::DOUBLE)" for n, p, q in theory.CASES)
+add("th02_parameters", f"SELECT CAST(n AS BIGINT) n, p1, p2, round(ln(p1) / ln(p2), 6) ratio, round(-ln(p1) / (ln(p1) - ln(p2)), 6) rho, round(ln(n) / (ln(p1) - ln(p2)), 6) k, round(pow(CAST(n AS DOUBLE), -ln(p1) / (ln(p1) - ln(p2))), 4) l, ln(p1) / ln(p2) < 0.5 strong FROM (VALUES {TCASES}) t(n, p1, p2)")(lambda s, d: theory.choose_parameters(s))
+add("th05_signal_to_noise")(lambda s, d: theory.signal_to_noise(s))
+add("th06_cost_model", "SELECT CAST(m AS INTEGER) m, 'tree' strategy, CAST(m * 32 + m - 1 AS BIGINT) merges, CAST(ceil(log2(m)) + 5 AS BIGINT) AS depth FROM (VALUES (2), (4), (8), (16), (20)) t(m) UNION ALL SELECT m, 'linear', m * 32 + m - 1, m - 1 + 5 FROM (VALUES (2), (4), (8), (16), (20)) t(m)")(lambda s, d: theory.cost_model(s))
+add("th07_dedup_limit", "SELECT p1, round(-ln(p1) / (ln(p1) - ln(0.3::DOUBLE)), 6) rho, round(pow(1e6::DOUBLE, -ln(p1) / (ln(p1) - ln(0.3::DOUBLE))), 4) AS tables FROM (VALUES (0.8::DOUBLE), (0.9), (0.99), (0.999)) t(p1)")(lambda s, d: theory.dedup_limit(s))
+add("th08_repetitions", "SELECT failure, success, CAST(ceil(ln(failure) / ln(1 - success)) AS BIGINT) repetitions FROM (VALUES (0.1::DOUBLE), (0.01), (0.001)) f(failure), (VALUES (0.5::DOUBLE), (0.632), (0.9)) g(success)")(lambda s, d: theory.boost_repetitions(s))
+
+
+# workloads: the paper's comparisons on the given tables
+def quality_sweep(s, d, nodes=(2, 4, 8)):
+    out = None
+    for m in nodes:
+        for strategy in ("tree", "linear", "exact"):
+            one = quality(s, d, strategy, m)
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+add("w06_quality_text")(quality_sweep)
+
+
+def statistics(s, d):
+    """Rows, distinct tokens, tokens a row and random cosine of each set family."""
+    families = {"documents": doc_sets(s, d), "lineitem": features.line_rows(load(s, d, "lineitem")), "baskets": features.baskets(load(s, d, "orders"), load(s, d, "lineitem")), "events": features.event_profiles(load(s, d, "events"))}
+    out = None
+    for name, rows in families.items():
+        flat = rows.select("id", F.explode("tokens").alias("token")).agg(F.count_distinct("id").alias("rows"), F.count_distinct("token").alias("vocabulary"), F.count("*").alias("nonzeros"))
+        one = flat.crossJoin(measures.random_pair_similarity(rows, 100)).select(F.lit(name).alias("family"), "rows", "vocabulary", "nonzeros", "mean_cosine")
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
+add("w01_statistics")(statistics)
+
+
+def contamination(s, d):
+    """Benchmark passages in documents: shared three-word shingles, best document each."""
+    bench = features.token_sets(load(s, d, "benchmark"), "item_id", "text", "shingle")
+    pairs = similarity.shared_tokens(doc_sets(s, d, "shingle"), bench.withColumn("id", -1 - F.col("id")), "jaccard")
+    return top_by(pairs, 1)
+
+
+add("w14_contamination")(contamination)

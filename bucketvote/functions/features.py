@@ -18,17 +18,19 @@ def grams(items: Column, n: int) -> Column:
 
 def token_sets(df: DataFrame, id_col: str, text_col: str, mode: str = "word", n: int = 3) -> DataFrame:
     """(id, tokens). Texts without a token have no row: they have no signature."""
-    w = words(F.col(text_col))
+    if mode not in ("word", "shingle", "char"):
+        raise ValueError(mode)
+    # items are a column of their own: inside a lambda an expression would be made anew for every element
+    items = F.split(F.lower(F.col(text_col)), "") if mode == "char" else words(F.col(text_col))
+    rows = df.where(F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), items.alias("_items"))
+    w = F.col("_items")
     if mode == "word":
         t = w
     elif mode == "shingle":
         t = F.when(F.size(w) > 0, grams(w, n))
-    elif mode == "char":
-        s = F.lower(F.col(text_col))
-        t = F.when(F.length(s) >= n, F.transform(F.sequence(F.lit(1), F.length(s) - n + 1), lambda i: F.substr(s, i, F.lit(n))))
     else:
-        raise ValueError(mode)
-    return df.where(F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), F.array_distinct(t).alias("tokens")).where(F.size("tokens") > 0)
+        t = F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.concat(*[F.get(w, i + j) for j in range(n)])))
+    return rows.select("id", F.array_distinct(t).alias("tokens")).where(F.size("tokens") > 0)
 
 
 LINE_KEY = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_shipdate", "l_extendedprice")

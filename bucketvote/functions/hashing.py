@@ -37,7 +37,7 @@ def minhash(sets: DataFrame, hashes: int, seed: int = 1) -> DataFrame:
     """(id, sig): the least hash of each of many families; one pass over the row, no shuffle."""
     co = hash_coefficients(seed, hashes)
     numbers = sets.select("id", F.transform("tokens", token_number).alias("x"))
-    return numbers.select("id", F.array(*[F.array_min(F.transform("x", lambda x, a=a, b=b: universal(x, a, b))) for a, b in co]).alias("sig"))
+    return numbers.select("id", F.array(*[F.array_min(F.expr(f"transform(x, v -> (v * {a}L + {b}L) % {PRIME}L)")) for a, b in co]).alias("sig"))
 
 
 def one_permutation(sets: DataFrame, bins: int, seed: int = 1) -> DataFrame:
@@ -49,7 +49,7 @@ def one_permutation(sets: DataFrame, bins: int, seed: int = 1) -> DataFrame:
     a, b = hash_coefficients(seed, 1)[0]
     u = sets.select("id", F.array_sort(F.array_distinct(F.transform("tokens", lambda t: universal(token_number(t), a, b)))).alias("u"))
     firsts = u.select("id", F.expr(f"filter(u, (v, i) -> i = 0 or cast(u[i] * {bins} div {PRIME} as int) <> cast(u[i - 1] * {bins} div {PRIME} as int))").alias("f"))
-    return firsts.select("id", F.expr(f"transform(f, v -> cast(v * {bins} div {PRIME} as int))").alias("at"), "f").select("id", F.expr(f"transform(sequence(0, {bins - 1}), i -> element_at(f, nullif(array_position(at, i), 0)))").alias("sig"))
+    return firsts.select("id", F.expr(f"transform(f, v -> cast(v * {bins} div {PRIME} as int))").alias("at"), "f").select("id", F.expr(f"transform(sequence(0, {bins - 1}), i -> element_at(f, nullif(cast(array_position(at, i) as int), 0)))").alias("sig"))
 
 
 def coins(bins: int, seed: int) -> list[int]:
