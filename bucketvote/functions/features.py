@@ -6,6 +6,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def once(value: Column, body) -> Column:
+    """body(value), value bound to a name: inside a lambda an expression would be made anew for every element."""
+    return F.get(F.transform(F.array(value), body), F.lit(0))
+
+
 def words(text: Column) -> Column:
     """Words of ASCII letters and digits of the lower-cased text, in order; null where there are none."""
     return F.filter(F.split(F.trim(F.regexp_replace(F.lower(text), "[^a-z0-9]+", " ")), " "), lambda w: w != "")
@@ -20,16 +25,14 @@ def token_sets(df: DataFrame, id_col: str, text_col: str, mode: str = "word", n:
     """(id, tokens). Texts without a token have no row: they have no signature."""
     if mode not in ("word", "shingle", "char"):
         raise ValueError(mode)
-    # items are a column of their own: inside a lambda an expression would be made anew for every element
     items = F.split(F.lower(F.col(text_col)), "") if mode == "char" else words(F.col(text_col))
     rows = df.where(F.col(text_col).isNotNull()).select(F.col(id_col).cast("long").alias("id"), items.alias("_items"))
-    w = F.col("_items")
     if mode == "word":
-        t = w
+        t = F.col("_items")
     elif mode == "shingle":
-        t = F.when(F.size(w) > 0, grams(w, n))
+        t = once(F.col("_items"), lambda w: F.when(F.size(w) > 0, grams(w, n)))
     else:
-        t = F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.concat(*[F.get(w, i + j) for j in range(n)])))
+        t = once(F.col("_items"), lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(0), F.size(w) - n), lambda i: F.concat(*[F.get(w, i + j) for j in range(n)]))))
     return rows.select("id", F.array_distinct(t).alias("tokens")).where(F.size("tokens") > 0)
 
 

@@ -48,8 +48,10 @@ def one_permutation(sets: DataFrame, bins: int, seed: int = 1) -> DataFrame:
     """
     a, b = hash_coefficients(seed, 1)[0]
     u = sets.select("id", F.array_sort(F.array_distinct(F.transform("tokens", lambda t: universal(token_number(t), a, b)))).alias("u"))
-    firsts = u.select("id", F.expr(f"filter(u, (v, i) -> i = 0 or cast(u[i] * {bins} div {PRIME} as int) <> cast(u[i - 1] * {bins} div {PRIME} as int))").alias("f"))
-    return firsts.select("id", F.expr(f"transform(f, v -> cast(v * {bins} div {PRIME} as int))").alias("at"), "f").select("id", F.expr(f"transform(sequence(0, {bins - 1}), i -> element_at(f, nullif(cast(array_position(at, i) as int), 0)))").alias("sig"))
+    # what a lambda uses more than once is bound by an outer one, or it would be made anew for every element
+    firsts = u.select("id", F.expr(f"transform(array(u), w -> filter(w, (v, i) -> i = 0 or cast(v * {bins} div {PRIME} as int) <> cast(get(w, i - 1) * {bins} div {PRIME} as int)))[0]").alias("f"))
+    place = f"transform(array(f), g -> transform(array(transform(g, v -> cast(v * {bins} div {PRIME} as int))), p -> transform(sequence(0, {bins - 1}), i -> element_at(g, nullif(cast(array_position(p, i) as int), 0))))[0])[0]"
+    return firsts.select("id", F.expr(place).alias("sig"))
 
 
 def coins(bins: int, seed: int) -> list[int]:
@@ -59,25 +61,26 @@ def coins(bins: int, seed: int) -> list[int]:
 
 def densify(signed: DataFrame, bins: int, seed: int = 1, coin: str = "per_bin", offset: bool = False, wrap: bool = True) -> DataFrame:
     """Fills empty bins from the nearest full bin: `per_bin` by a coin of (seed, bin), `always_right`, or `closest_side` with the coin for ties."""
-    full = signed.withColumn("full", F.expr(f"filter(sequence(0, {bins - 1}), i -> sig[i] is not null)"))
-    toss = F.array(*[F.lit(c) for c in coins(bins, seed)])
-    with_coin = full.withColumn("coin", toss)
-    right = "coalesce(filter(full, j -> j > i)[0], full[0])" if wrap else "coalesce(filter(full, j -> j > i)[0], element_at(full, -1))"
-    left = "element_at(filter(concat(array(element_at(full, -1)), full), (j, k) -> k = 0 or j < i), -1)"
-    if not wrap:
-        left = "coalesce(try_element_at(filter(full, j -> j < i), -1), full[0])"
+    toss = "array(" + ", ".join(map(str, coins(bins, seed))) + ")"
+    after, before = "get(filter(full, j -> j > i), 0)", "try_element_at(filter(full, j -> j < i), -1)"
+    first, last = "full[0]", "element_at(full, -1)"
+    right = f"coalesce({after}, {first if wrap else last})"
+    left = f"coalesce({before}, {last if wrap else first})"
     go_right, go_left = f"pmod({right} - i, {bins})", f"pmod(i - {left}, {bins})"
+    if not wrap:
+        go_right, go_left = f"abs({right} - i)", f"abs(i - {left})"
     pick = {"per_bin": "coin[i] = 1", "always_right": "true", "closest_side": f"{go_right} < {go_left} or ({go_right} = {go_left} and coin[i] = 1)"}[coin]
     far = f"if({pick}, {go_right}, {go_left})"
-    src = f"if({pick}, {right}, {left})"
-    value = f"sig[{src}] + {far} * {OFFSET}" if offset else f"sig[{src}]"
-    return with_coin.select("id", F.expr(f"transform(sequence(0, {bins - 1}), i -> coalesce(sig[i], {value}))").alias("sig"))
+    value = f"s[if({pick}, {right}, {left})]" + (f" + {far} * {OFFSET}" if offset else "")
+    fill = f"transform(sequence(0, {bins - 1}), i -> coalesce(s[i], {value}))"
+    bound = f"transform(array(sig), s -> transform(array(filter(sequence(0, {bins - 1}), i -> s[i] is not null)), full -> transform(array({toss}), coin -> {fill})[0])[0])[0]"
+    return signed.select("id", F.expr(bound).alias("sig"))
 
 
 def bucket_keys(signed: DataFrame, k: int, tables: int, layout: str = "block") -> DataFrame:
     """(id, table_id, bucket_key): K values of each table, joined."""
-    parts = f"slice(sig, t * {k} + 1, {k})" if layout == "block" else f"transform(sequence(0, {k - 1}), j -> sig[t + j * {tables}])"
-    return signed.select("id", F.posexplode(F.expr(f"transform(sequence(0, {tables - 1}), t -> concat_ws('-', transform({parts}, v -> cast(v as string))))")).alias("table_id", "bucket_key"))
+    parts = f"slice(s, t * {k} + 1, {k})" if layout == "block" else f"transform(sequence(0, {k - 1}), j -> s[t + j * {tables}])"
+    return signed.select("id", F.posexplode(F.expr(f"transform(array(sig), s -> transform(sequence(0, {tables - 1}), t -> concat_ws('-', transform({parts}, v -> cast(v as string)))))[0]")).alias("table_id", "bucket_key"))
 
 
 def keys_of(sets: DataFrame, k: int, tables: int, seed: int = 1, family: str = "one_permutation", **options) -> DataFrame:

@@ -115,4 +115,4 @@ class Build:
 
     def pairs(self, where: str = "a.id <> b.id") -> Build:
         self.add("sizes", "SELECT id, count(*) n FROM sets GROUP BY id")
-        return self.add("sim_rows", f"SELECT a.id query_id, b.id, count(*) AS both, any_value(sa.n) na, any_value(sb.n) nb FROM sets a JOIN sets b ON a.token = b.token AND {where} JOIN sizes sa ON sa.id = a.id JOIN sizes sb ON sb.id = b.id WHERE a.id IN (SELECT query_id FROM asked) GROUP BY ALL")
+        return self.add("sim_rows", f"SELECT a.id query_id, b.id, count(*) AS shared, any_value(sa.n) na, any_value(sb.n) nb FROM sets a JOIN sets b ON a.token = b.token AND {where} JOIN sizes sa ON sa.id = a.id JOIN sizes sb ON sb.id = b.id WHERE a.id IN (SELECT query_id FROM asked) GROUP BY ALL")

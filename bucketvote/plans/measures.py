@@ -82,7 +82,7 @@ def footprint(buckets: DataFrame, cells: DataFrame) -> DataFrame:
 def sketch_error(top: DataFrame, counts: DataFrame) -> DataFrame:
     """Over reported ids: how far the bounds lie from the true hits, and whether they hold."""
     both = top.join(counts, ["query_id", "id"], "left").withColumn("hits", F.coalesce("hits", F.lit(0)))
-    return both.agg(F.count("*").alias("reported"), F.sum(((F.col("votes") <= F.col("hits")) & (F.col("hits") <= F.col("upper"))).cast("long")).alias("within"), F.round(F.avg(F.col("upper") - F.col("hits")), 6).alias("mean_over"), F.round(F.avg(F.col("hits") - F.col("votes")), 6).alias("mean_under"))
+    return both.agg(F.count("*").alias("reported"), F.sum(((F.col("votes") <= F.col("hits")) & (F.col("hits") <= F.col("upper"))).cast("long")).alias("inside"), F.round(F.avg(F.col("upper") - F.col("hits")), 6).alias("mean_over"), F.round(F.avg(F.col("hits") - F.col("votes")), 6).alias("mean_under"))
 
 
 def timed(df: DataFrame) -> float:
