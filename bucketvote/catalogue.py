@@ -2,17 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-from dataclasses import dataclass
-
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .functions import features, hashing, similarity
+from .operators import duplicates
 from .operators import search as S
 from .operators import sketch
 from .oracle import LINE_SETS, Build, num, sets, uni, words
 from .plans import measures, theory
+from .registry import add
 from .sources.tables import load
 
 SALTED = num("concat_ws('/', id, table_id)")
@@ -21,23 +20,6 @@ K, TABLES, NODES, ASKED, DEPTH, WIDTH = 2, 12, 4, 100, 2, 256
 SIZE = {"queries": ASKED, "tables": TABLES}
 
 
-@dataclass
-class Query:
-    run: Callable[[SparkSession, str], DataFrame]
-    sql: str | None = None
-
-
-QUERIES: dict[str, Query] = {}
-
-
-def add(name: str, sql: str | None = None):
-    def put(run):
-        QUERIES[name] = Query(run, sql)
-        return run
-
-    return put
-
-
 def doc_sets(spark, d, mode="word", n=3):
     return features.token_sets(load(spark, d, "documents"), "doc_id", "text", mode, n)
 
@@ -314,17 +296,22 @@ add("b02_builtin_lsh_single")(ml_single)
 
 
 # near-duplicates, measures, theory
-def duplicate_pairs(s, d, least=0.8):
-    """Pairs of documents whose three-word shingles agree, met through shared keys and verified exactly."""
-    rows = doc_sets(s, d, "shingle")
-    b = hashing.keys_of(rows, 2, 16)
-    hits = b.join(b.select("table_id", "bucket_key", F.col("id").alias("id_b")), ["table_id", "bucket_key"]).where("id < id_b").groupBy(F.col("id").alias("id_a"), "id_b").agg(F.count("*").alias("hits"))
-    both = hits.join(rows.select(F.col("id").alias("id_a"), F.col("tokens").alias("x")), "id_a").join(rows.select(F.col("id").alias("id_b"), F.col("tokens").alias("y")), "id_b")
-    return both.withColumn("jaccard", F.round(similarity.jaccard(F.col("x"), F.col("y")), 6)).where(F.col("jaccard") >= least).select("id_a", "id_b", "hits", "jaccard")
-
-
-NEAR = Build(SHINGLES).buckets(2, 16, 1).add("hits", "SELECT a.id id_a, b.id id_b, count(*) hits FROM buckets a JOIN buckets b USING (table_id, bucket_key) WHERE a.id < b.id GROUP BY ALL").add("sizes", "SELECT id, count(*) n FROM sets GROUP BY id").add("common", "SELECT h.id_a, h.id_b, any_value(h.hits) hits, count(b.token) c FROM hits h JOIN sets a ON a.id = h.id_a LEFT JOIN sets b ON b.id = h.id_b AND b.token = a.token GROUP BY h.id_a, h.id_b")
-add("q12_near_duplicates", NEAR.select("SELECT id_a, id_b, hits, round(c / CAST(x.n + y.n - c AS DOUBLE), 6) jaccard FROM common JOIN sizes x ON x.id = id_a JOIN sizes y ON y.id = id_b WHERE round(c / CAST(x.n + y.n - c AS DOUBLE), 6) >= 0.8"))(duplicate_pairs)
+RAW = f"raw AS ({SHINGLES}), fp AS (SELECT id, string_agg(token, chr(31) ORDER BY token) f FROM raw GROUP BY id), copies AS (SELECT id, min(id) OVER (PARTITION BY f) rep FROM fp)"
+NEAR = (
+    Build(f"WITH {RAW} SELECT id, token FROM raw WHERE id IN (SELECT rep FROM copies)").buckets(2, 16, 1)
+    .add("hits", "SELECT a.id id_a, b.id id_b, count(*) hits FROM buckets a JOIN buckets b USING (table_id, bucket_key) WHERE a.id < b.id GROUP BY ALL")
+    .add("sizes", "SELECT id, count(*) n FROM sets GROUP BY id")
+    .add("common", "SELECT h.id_a, h.id_b, any_value(h.hits) hits, count(b.token) c FROM hits h JOIN sets a ON a.id = h.id_a LEFT JOIN sets b ON b.id = h.id_b AND b.token = a.token GROUP BY h.id_a, h.id_b")
+    .add("linked", "SELECT id_a, id_b, hits, round(c / CAST(x.n + y.n - c AS DOUBLE), 6) jaccard FROM common JOIN sizes x ON x.id = id_a JOIN sizes y ON y.id = id_b WHERE round(c / CAST(x.n + y.n - c AS DOUBLE), 6) >= 0.8")
+)
+add("q12_near_duplicates", NEAR.select("SELECT * FROM linked"))(lambda s, d: duplicates.links(doc_sets(s, d, "shingle"), 2, 16))
+CLASSES = (
+    NEAR.add("sides", "SELECT id_a a, id_b b FROM linked UNION SELECT id_b, id_a FROM linked")
+    .add("walk", "SELECT a, a root FROM sides UNION SELECT sides.b, walk.root FROM walk JOIN sides USING (a)")
+    .add("least", "SELECT a, min(root) class_id FROM walk GROUP BY a")
+    .select(f"SELECT c.id, coalesce(class_id, rep) class_id FROM (WITH {RAW} SELECT * FROM copies) c LEFT JOIN least ON a = rep")
+)
+add("q12_classes", CLASSES)(lambda s, d: duplicates.classes(doc_sets(s, d, "shingle"), 2, 16))
 
 
 def quality(s, d, strategy="tree", nodes=NODES, ks=(1, 64), missing="ignore", k=1, tables=TABLES):

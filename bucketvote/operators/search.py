@@ -101,6 +101,11 @@ def search(sets: DataFrame, queries: DataFrame, k: int = 4, tables: int = 24, an
         index = build_reservoir_index(buckets, cap or 32) if strategy == "reservoir" else buckets
         return top_hits(exact_counts(keys, index), answers).select("query_id", "rank", "id", F.col("hits").alias("votes"), F.col("hits").alias("upper"))
     merged = global_merge(local_merge(keys, build_sketch_index(buckets, depth, width)), nodes, strategy)
+    return answer(merged, answers, depth, width)
+
+
+def answer(merged: DataFrame, answers: int, depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> DataFrame:
+    """(query_id, rank, id, votes, upper): the best of merged cells, but for the query itself."""
     top = sketch.top_k(merged, ["query_id"], answers + 1, depth, width).where("query_id <> id")
     order = Window.partitionBy("query_id").orderBy("rank")
     return top.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= answers).select("query_id", "rank", "id", "votes", "upper")

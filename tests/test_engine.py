@@ -6,7 +6,7 @@ import duckdb
 import pytest
 from pyspark.sql import functions as F
 
-from bucketvote.catalogue import QUERIES
+from bucketvote.every import QUERIES
 from bucketvote.operators import search as S
 from bucketvote.operators import sketch
 from bucketvote.plans import theory
