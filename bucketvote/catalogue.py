@@ -12,7 +12,7 @@ from .operators import sketch
 from .oracle import LINE_SETS, Build, num, sets, uni, words
 from .plans import measures, theory
 from .registry import add
-from .sources.tables import load
+from .sources.tables import balanced, load
 
 SALTED = num("concat_ws('/', id, table_id)")
 
@@ -21,7 +21,7 @@ SIZE = {"queries": ASKED, "tables": TABLES}
 
 
 def doc_sets(spark, d, mode="word", n=3):
-    return features.token_sets(load(spark, d, "documents"), "doc_id", "text", mode, n)
+    return features.token_sets(balanced(load(spark, d, "documents").select("doc_id", "text")), "doc_id", "text", mode, n)
 
 
 def asked(rows: DataFrame, n: int = ASKED) -> DataFrame:
@@ -280,7 +280,7 @@ add("b03_builtin_lsh_join")(ml_join)
 
 
 def ml_single(s, d, n=5):
-    """The built-in LSH, one query at a time: a job a query, as the paper times it; n queries."""
+    """The built-in LSH, one query at a time: a job a query, n queries."""
     from pyspark.ml.feature import MinHashLSH
 
     v = features.to_ml_vector(doc_sets(s, d)).select("id", "features")
@@ -358,25 +358,13 @@ CURVE = ", ".join(str(x) for x in theory.SETTINGS)
 add("th01_curve", f"SELECT CAST(k AS INTEGER) k, CAST(l AS INTEGER) l, i / 10.0::DOUBLE s, round(1 - pow(1 - pow(i / 10.0::DOUBLE, k), l), 6) any_hit, round(l * pow(i / 10.0::DOUBLE, k), 6) expected_hits FROM (VALUES {CURVE}) t(k, l), range(1, 11) r(i)")(lambda s, d: theory.collision_curve(s))
 TCASES = ", ".join(f"({n}, {p}::DOUBLE, {q}::DOUBLE)" for n, p, q in theory.CASES)
 add("th02_parameters", f"SELECT CAST(n AS BIGINT) n, p1, p2, round(ln(p1) / ln(p2), 6) ratio, round(-ln(p1) / (ln(p1) - ln(p2)), 6) rho, round(ln(n) / (ln(p1) - ln(p2)), 6) k, round(pow(CAST(n AS DOUBLE), -ln(p1) / (ln(p1) - ln(p2))), 4) l, ln(p1) / ln(p2) < 0.5 strong FROM (VALUES {TCASES}) t(n, p1, p2)")(lambda s, d: theory.choose_parameters(s))
-add("th05_signal_to_noise")(lambda s, d: theory.signal_to_noise(s))
+add("th05_signal_to_noise", f"WITH p AS (SELECT CAST(n AS BIGINT) n, p1, p2, round(ln(n) / (ln(p1) - ln(p2)), 6) k, round(pow(CAST(n AS DOUBLE), -ln(p1) / (ln(p1) - ln(p2))), 4) l FROM (VALUES {TCASES}) t(n, p1, p2)) SELECT n, p1, p2, round(l * pow(p1, k), 3) near_signal, round(n * l * pow(p2, k) / l, 3) far_per_table FROM p")(lambda s, d: theory.signal_to_noise(s))
 add("th06_cost_model", "SELECT CAST(m AS INTEGER) m, 'tree' strategy, CAST(m * 32 + m - 1 AS BIGINT) merges, CAST(ceil(log2(m)) + 5 AS BIGINT) AS depth FROM (VALUES (2), (4), (8), (16), (20)) t(m) UNION ALL SELECT m, 'linear', m * 32 + m - 1, m - 1 + 5 FROM (VALUES (2), (4), (8), (16), (20)) t(m)")(lambda s, d: theory.cost_model(s))
 add("th07_dedup_limit", "SELECT p1, round(-ln(p1) / (ln(p1) - ln(0.3::DOUBLE)), 6) rho, round(pow(1e6::DOUBLE, -ln(p1) / (ln(p1) - ln(0.3::DOUBLE))), 4) AS tables FROM (VALUES (0.8::DOUBLE), (0.9), (0.99), (0.999)) t(p1)")(lambda s, d: theory.dedup_limit(s))
 add("th08_repetitions", "SELECT failure, success, CAST(ceil(ln(failure) / ln(1 - success)) AS BIGINT) repetitions FROM (VALUES (0.1::DOUBLE), (0.01), (0.001)) f(failure), (VALUES (0.5::DOUBLE), (0.632), (0.9)) g(success)")(lambda s, d: theory.boost_repetitions(s))
 
 
-# workloads: the paper's comparisons on the given tables
-def quality_sweep(s, d, nodes=(2, 8)):
-    out = None
-    for m in nodes:
-        for strategy in ("tree", "linear", "exact"):
-            one = quality(s, d, strategy, m)
-            out = one if out is None else out.unionByName(one)
-    return out
-
-
-add("w06_quality_text")(quality_sweep)
-
-
+# workloads over the tables; more are in workload_queries
 def statistics(s, d):
     """Rows, distinct tokens, tokens a row and random cosine of each set family."""
     families = {"documents": doc_sets(s, d), "lineitem": features.line_rows(load(s, d, "lineitem")), "baskets": features.baskets(load(s, d, "orders"), load(s, d, "lineitem")), "events": features.event_profiles(load(s, d, "events"))}

@@ -97,11 +97,27 @@ def search(sets: DataFrame, queries: DataFrame, k: int = 4, tables: int = 24, an
     """(query_id, rank, id, votes, upper): answers without a distance. For counts, votes and upper are the hits."""
     buckets = build_bucket_index(sets, k, tables, nodes, seed, **options)
     keys = hash_queries(queries, k, tables, seed, **options)
+    if strategy == "reservoir":
+        buckets = build_reservoir_index(buckets, cap or 32)
+    index = buckets if strategy in ("exact", "reservoir") else build_sketch_index(buckets, depth, width)
+    return search_index(keys, index, answers, nodes, strategy, depth, width)
+
+
+def search_index(keys: DataFrame, index: DataFrame, answers: int, nodes: int, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH, **size) -> DataFrame:
+    """Answers of query keys from a made (or stored) index: cells for tree, linear and multiway, bucket rows for exact and reservoir."""
     if strategy in ("exact", "reservoir"):
-        index = build_reservoir_index(buckets, cap or 32) if strategy == "reservoir" else buckets
-        return top_hits(exact_counts(keys, index), answers).select("query_id", "rank", "id", F.col("hits").alias("votes"), F.col("hits").alias("upper"))
-    merged = global_merge(local_merge(keys, build_sketch_index(buckets, depth, width)), nodes, strategy)
-    return answer(merged, answers, depth, width)
+        return top_hits(exact_counts(keys, index, **size), answers).select("query_id", "rank", "id", F.col("hits").alias("votes"), F.col("hits").alias("upper"))
+    return answer(global_merge(local_merge(keys, index, **size), nodes, strategy), answers, depth, width)
+
+
+def search_one(keys: DataFrame, index: DataFrame, answers: int, nodes: int, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> DataFrame:
+    """One online query. Its keys, one a table, become literals, so that a stored index prunes files by table and row groups by key."""
+    own = keys.select("query_id", "table_id", "bucket_key").collect()
+    if len({r["query_id"] for r in own}) > 1:
+        raise ValueError("search_one takes the keys of one query")
+    few = index.where(F.col("bucket_key").isin([r["bucket_key"] for r in own]) & F.col("table_id").isin([r["table_id"] for r in own]))
+    literal = keys.sparkSession.createDataFrame([tuple(r) for r in own], "query_id long, table_id int, bucket_key string")
+    return search_index(literal, few, answers, nodes, strategy, depth, width, queries=1, tables=max(1, len(own)))
 
 
 def answer(merged: DataFrame, answers: int, depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> DataFrame:
@@ -126,6 +142,26 @@ def classic_lsh(sets: DataFrame, queries: DataFrame, k: int, tables: int, answer
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= answers).select("query_id", "rank", "id", F.round("similarity", 6).alias("similarity"))
 
 
+def within(data: DataFrame, queries: DataFrame, radius: float, measure: str = "cosine") -> DataFrame:
+    """(query_id, id, distance) of all rows no farther than a radius below 1; rows that share no token are at distance 1."""
+    from ..functions.similarity import shared_tokens
+
+    if not 0 <= radius < 1:
+        raise ValueError("radius must lie in [0, 1)")
+    return shared_tokens(data, queries, measure).select("query_id", "id", F.round(1 - F.col("similarity"), 6).alias("distance")).where(F.col("distance") <= radius)
+
+
+def near_neighbor(found: DataFrame, data: DataFrame, queries: DataFrame, radius: float, factor: float, measure: str = "cosine") -> DataFrame:
+    """(query_id, id, distance): the first answer of each query, if it is no farther than factor times radius; else no row."""
+    first = with_similarity(found.where("rank = 1").select("query_id", "id"), data, queries, measure)
+    return first.select("query_id", "id", F.round(1 - F.col("similarity"), 6).alias("distance")).where(F.col("distance") <= factor * radius)
+
+
+def is_k_bounded(data: DataFrame, queries: DataFrame, radius: float, k: int, measure: str = "cosine") -> DataFrame:
+    """(query_id, near, bounded): rows within the radius of each query that has any, and whether they are at most k."""
+    return within(data, queries, radius, measure).groupBy("query_id").agg(F.count("*").alias("near")).withColumn("bounded", F.col("near") <= k)
+
+
 def brute_force(data: DataFrame, queries: DataFrame, answers: int, measure: str = "cosine") -> DataFrame:
     from ..functions.similarity import shared_tokens
 

@@ -4,9 +4,10 @@ from __future__ import annotations
 
 from time import perf_counter
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..functions.hashing import jaccard_estimate
 from ..operators import search as S
 
 
@@ -49,6 +50,38 @@ def index_stats(buckets: DataFrame) -> DataFrame:
     )
 
 
+def skew_report(buckets: DataFrame) -> DataFrame:
+    """(table_id, buckets, largest, p99, gini) of bucket sizes. Gini comes from the histogram of sizes, so its window holds one row per size."""
+    sizes = buckets.groupBy("table_id", "bucket_key").agg(F.count("*").alias("n")).groupBy("table_id", "n").agg(F.count("*").alias("c"))
+    up = Window.partitionBy("table_id").orderBy("n").rowsBetween(Window.unboundedPreceding, 0)
+    ranked = sizes.withColumn("upto", F.sum("c").over(up))
+    # the c buckets of one size hold the places upto - c + 1 to upto
+    places = F.col("c") * (2 * F.col("upto") - F.col("c") + 1) / 2
+    all_n = F.sum(F.col("n") * F.col("c"))
+    per = ranked.groupBy("table_id").agg(F.sum("c").alias("buckets"), F.max("n").alias("largest"), F.sum(places * F.col("n")).alias("w"), all_n.alias("ids"), F.percentile("n", 0.99, F.col("c")).alias("p99"))
+    gini = 2 * F.col("w") / (F.col("buckets") * F.col("ids")) - (F.col("buckets") + 1) / F.col("buckets")
+    return per.select("table_id", "buckets", "largest", F.round("p99", 6).alias("p99"), F.round(gini, 6).alias("gini"))
+
+
+def quality_gap(quality: DataFrame, ideal: DataFrame) -> DataFrame:
+    """quality (strategy, nodes, k, s_at_k, …) with how far it lies below ideal (k, s_at_k)."""
+    return quality.join(ideal.select("k", F.col("s_at_k").alias("ideal")), "k").withColumn("gap", F.round(F.col("ideal") - F.col("s_at_k"), 6))
+
+
+def scaling(times: DataFrame, by: list[str]) -> DataFrame:
+    """times (…, nodes, seconds) with the speed-up over the fewest nodes and its share of the ideal."""
+    w = Window.partitionBy(*by).orderBy("nodes")
+    faster = F.first("seconds").over(w) / F.col("seconds")
+    return times.withColumn("speedup", F.round(faster, 3)).withColumn("efficiency", F.round(faster / (F.col("nodes") / F.first("nodes").over(w)), 3))
+
+
+def estimate_sensitivity(sig: DataFrame, pairs: DataFrame, near: float, far: float) -> DataFrame:
+    """(p1, p2): mean agreement of signatures over pairs (query_id, id, similarity) of at least `near` and at most `far`."""
+    both = pairs.join(sig.select("id", F.col("sig").alias("s1")), "id").join(sig.select(F.col("id").alias("query_id"), F.col("sig").alias("s2")), "query_id")
+    rate = jaccard_estimate(F.col("s1"), F.col("s2"))
+    return both.agg(F.round(F.avg(F.when(F.col("similarity") >= near, rate)), 6).alias("p1"), F.round(F.avg(F.when(F.col("similarity") <= far, rate)), 6).alias("p2"))
+
+
 def node_imbalance(buckets: DataFrame) -> DataFrame:
     per = buckets.groupBy("node").agg(F.count("*").alias("n"))
     return per.agg(F.count("*").alias("nodes"), F.max("n").alias("most"), F.round(F.max("n") / F.avg("n"), 6).alias("imbalance"))

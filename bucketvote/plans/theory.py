@@ -51,6 +51,11 @@ def dedup_limit(spark: SparkSession) -> DataFrame:
     return base.select("p1", F.round(rho, 6).alias("rho"), F.round(F.pow(F.lit(1e6), rho), 4).alias("tables"))
 
 
+def hash_cost(spark: SparkSession) -> DataFrame:
+    """Hashes a token costs: one per value of the signature, or one for all bins."""
+    return spark.createDataFrame(list(SETTINGS), "k int, l int").select("k", "l", (F.col("k") * F.col("l")).alias("per_minhash"), F.lit(1).alias("per_one_permutation"))
+
+
 def size_sketch(load: float, f_min: float) -> int:
     """Columns so that a candidate with f_min hits outweighs the rest of its cell on average."""
     return max(1, int(-(-2 * load // max(f_min, 1e-9))))

@@ -1 +1,165 @@
-"""Experiments as queries."""
+"""Experiments and the remaining measures, searches and baselines as queries."""
+
+from __future__ import annotations
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from .catalogue import B, CLASSES, COS, DEPTH, K, NODES, TABLES, WIDTH, asked, asked_build, buckets, cells, doc_sets, ml_join, ml_single, qkeys, top_by
+from .functions import features, hashing, similarity
+from .operators import duplicates
+from .operators import search as S
+from .oracle import LINE_SETS, Build, num
+from .plans import measures, theory, workloads
+from .registry import add
+from .sources.shared import shared_folder, stored
+from .sources.tables import load, load_index, save_index
+
+
+def line_sets(s, d):
+    return features.line_rows(load(s, d, "lineitem")).dropDuplicates(["id"])
+
+
+def text_trial(s, d, k=1, tables=12):
+    rows = doc_sets(s, d)
+    return workloads.Trial(rows, asked(rows), k, tables)
+
+
+def click_trial(s, d, k=4, tables=16):
+    rows = line_sets(s, d)
+    return workloads.Trial(rows, asked(rows), k, tables)
+
+
+# searches and measures
+add("q11_within", asked_build().pairs().select(f"SELECT query_id, id, round(1 - {COS}, 6) distance FROM sim_rows WHERE round(1 - {COS}, 6) <= 0.7"))(lambda s, d: S.within(doc_sets(s, d), asked(doc_sets(s, d)), 0.7))
+add("q11_bounded", asked_build().pairs().select(f"SELECT query_id, count(*) near, count(*) <= 3 bounded FROM sim_rows WHERE round(1 - {COS}, 6) <= 0.7 GROUP BY query_id"))(lambda s, d: S.is_k_bounded(doc_sets(s, d), asked(doc_sets(s, d)), 0.7, 3))
+add("q10_near_neighbor", B().queries(100).counts().pairs().add("first_hit", "SELECT query_id, id FROM counts WHERE query_id <> id QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) = 1").select(f"SELECT s.query_id, s.id, round(1 - {COS}, 6) distance FROM first_hit f JOIN sim_rows s ON s.query_id = f.query_id AND s.id = f.id WHERE round(1 - {COS}, 6) <= 0.4 * 2"))(
+    lambda s, d: S.near_neighbor(S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 1, NODES, "exact"), doc_sets(s, d), asked(doc_sets(s, d)), 0.4, 2.0)
+)
+
+
+def online(s, d):
+    path = shared_folder(s, "index")
+    made = cells(s, d)
+    save_index(made, path)
+    one = S.hash_queries(asked(doc_sets(s, d), 1), K, TABLES)
+    return S.search_one(one, load_index(s, path, made.schema), 10, NODES, "tree", DEPTH, WIDTH)
+
+
+add("q13_search_one", Build().buckets(K, TABLES, NODES).cells(DEPTH, WIDTH).queries(1).local().tree(NODES).top(10, DEPTH, WIDTH).select('SELECT query_id, "rank", id, votes, upper FROM answers'))(online)
+SKEW = """SELECT table_id, count(*) buckets, max(n) largest, round(quantile_cont(n, 0.99), 6) p99, round(2 * sum(i * n) / (count(*) * CAST(sum(n) AS DOUBLE)) - (count(*) + 1) / CAST(count(*) AS DOUBLE), 6) gini
+  FROM (SELECT table_id, n, row_number() OVER (PARTITION BY table_id ORDER BY n) i FROM (SELECT table_id, bucket_key, count(*) n FROM buckets GROUP BY ALL)) GROUP BY table_id"""
+add("c12_skew", B().select(SKEW))(lambda s, d: measures.skew_report(buckets(s, d)))
+add("w10_bucket_skew_lines", Build(LINE_SETS).buckets(4, 16, NODES).select(SKEW))(lambda s, d: measures.skew_report(S.build_bucket_index(line_sets(s, d), 4, 16, NODES)))
+add("c14_hash_cost", "SELECT k, l, k * l per_minhash, 1 per_one_permutation FROM (VALUES (4, 24), (4, 16), (4, 32), (2, 32), (1, 32)) t(k, l)")(lambda s, d: theory.hash_cost(s))
+TCASES = ", ".join(f"({n}, {p}::DOUBLE, {q}::DOUBLE)" for n, p, q in theory.CASES)
+add("th09_sketch_size", "SELECT load_ids, hits, CAST(ceil(2 * load_ids / CAST(hits AS DOUBLE)) AS INTEGER) width FROM (VALUES (100, 4), (1000, 4), (1000, 12)) t(load_ids, hits)")(lambda s, d: s.createDataFrame([(a, h, theory.size_sketch(a, h)) for a, h in ((100, 4), (1000, 4), (1000, 12))], "load_ids int, hits int, width int"))
+
+
+def sensitivity(s, d):
+    rows = doc_sets(s, d)
+    pairs = similarity.shared_tokens(rows, asked(rows, 40), "jaccard")
+    return measures.estimate_sensitivity(hashing.minhash(rows, 64), pairs, 0.5, 0.2)
+
+
+add("th04_sensitivity")(sensitivity)
+
+
+# baselines
+def dense(s, d):
+    return load(s, d, "embeddings").where("embedding is not null").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
+
+
+def dense_truth(v, q, k):
+    q = q.select(F.col("id").alias("query_id"), F.col("v").alias("q"))
+    return top_by(v.join(F.broadcast(q), F.col("id") != F.col("query_id")).select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")), k)
+
+
+def projection(s, d, bits=4, tables=16, k=5):
+    """Recall of projection keys with exact distances among what they meet."""
+    v = stored(dense(s, d), "vectors")
+    q = stored(asked(v, 50), "queries")
+    keys = hashing.bucket_keys(hashing.signed_projection(v, "id", "v", bits * tables, 64), bits, tables)
+    mine = keys.join(q.select("id"), "id", "left_semi").withColumnRenamed("id", "query_id")
+    met = S.exact_counts(mine, keys, queries=50, tables=tables).where("query_id <> id")
+    both = met.join(v, "id").join(q.select(F.col("id").alias("query_id"), F.col("v").alias("q")), "query_id")
+    found = top_by(both.select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")), k)
+    return measures.recall_at_k(found, dense_truth(v, q, k), k)
+
+
+add("b09_projection_lsh")(projection)
+
+
+def coarse(s, d, lists=16, probes=4, k=5, fit_rows=20_000):
+    """Recall of a coarse quantiser fitted on at most fit_rows rows of least hash; every row is indexed."""
+    from pyspark.ml.clustering import KMeans
+    from pyspark.ml.functions import array_to_vector
+
+    v = dense(s, d).withColumn("features", array_to_vector(F.col("v").cast("array<double>")))
+    model = KMeans(k=lists, seed=1, maxIter=10).fit(asked(v, fit_rows))
+    placed = stored(model.transform(v).select("id", "v", F.col("prediction").alias("list")), "lists")
+    centres = s.createDataFrame([(i, [float(x) for x in c]) for i, c in enumerate(model.clusterCenters())], "list int, c array<double>")
+    q = stored(asked(placed, 50).select("id", "v"), "queries")
+    gap = F.aggregate(F.zip_with("v", "c", lambda a, b: (a - b) * (a - b)), F.lit(0.0), lambda t, x: t + x)
+    near = q.crossJoin(F.broadcast(centres)).withColumn("r", F.row_number().over(Window.partitionBy("id").orderBy(gap, "list"))).where(F.col("r") <= probes)
+    both = placed.join(F.broadcast(near.select(F.col("id").alias("query_id"), F.col("v").alias("q"), "list")), "list").where("query_id <> id")
+    found = top_by(both.select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")), k)
+    return measures.recall_at_k(found, dense_truth(placed, q, k), k)
+
+
+add("b11_coarse_quantiser")(coarse)
+
+
+# workloads
+def against_builtin(s, d, nodes=(3, 8), k=128, single=3):
+    """Seconds of one batch of 100 queries from a stored index, beside the built-in join and the built-in one at a time."""
+    trial, rows = text_trial(s, d), []
+    for m in nodes:
+        index = trial.index(m)
+        run = trial.search(index, k, m, "tree")
+        measures.timed(run)
+        rows.append(("sketch tree", m, trial.n, measures.timed(run)))
+    rows.append(("built-in join", 1, trial.n, measures.timed(ml_join(s, d))))
+    rows.append(("built-in single", 1, single, measures.timed(ml_single(s, d, single))))
+    return s.createDataFrame([(a, m, n, round(t, 3), round(1000 * t / n, 3)) for a, m, n, t in rows], "method string, nodes int, queries int, seconds double, ms_per_query double")
+
+
+add("w02_against_builtin")(against_builtin)
+add("w03_index_scaling")(lambda s, d: workloads.index_scaling(s, {"lineitem": (line_sets(s, d), 4, 16), "documents": (doc_sets(s, d), 4, 24)}))
+add("w04_query_scaling")(lambda s, d: workloads.query_scaling(s, {"lineitem": click_trial(s, d), "documents": text_trial(s, d, 4, 24)}))
+add("w05_quality_clicks")(lambda s, d: workloads.quality_over_nodes(click_trial(s, d)))
+add("w06_quality_text")(lambda s, d: workloads.quality_over_nodes(text_trial(s, d)))
+add("w07_large_scale")(lambda s, d: workloads.large_scale(s, line_sets(s, d), asked(line_sets(s, d))))
+
+
+def whole_batch(s, d):
+    """Every document asks at once: the join of keys shuffles."""
+    return S.top_hits(S.exact_counts(S.hash_queries(doc_sets(s, d), K, TABLES), buckets(s, d)), 10).agg(F.count("*").alias("answers"), F.count_distinct("query_id").alias("answered"), F.sum("hits").alias("hits"))
+
+
+BATCH = B().add("c", "SELECT a.id query_id, b.id, count(*) hits FROM buckets a JOIN buckets b USING (table_id, bucket_key) WHERE a.id <> b.id GROUP BY ALL").add("t", "SELECT * FROM c QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) <= 10")
+add("w08_large_batch", BATCH.select("SELECT count(*) answers, count(DISTINCT query_id) answered, CAST(sum(hits) AS BIGINT) hits FROM t"))(whole_batch)
+
+
+def class_report(s, d):
+    """Classes of two or more documents: how many, their documents, and how many hold one language only."""
+    c = duplicates.classes(doc_sets(s, d, "shingle"), 2, 16).join(load(s, d, "documents").select(F.col("doc_id").alias("id"), "lang"), "id")
+    per = c.groupBy("class_id").agg(F.count("*").alias("n"), F.count_distinct("lang").alias("langs")).where("n > 1")
+    return per.agg(F.count("*").alias("classes"), F.coalesce(F.sum("n"), F.lit(0)).alias("documents"), F.sum((F.col("langs") <= 1).cast("long")).alias("one_language"))
+
+
+add("w09_near_duplicates", f"SELECT count(*) classes, CAST(sum(n) AS BIGINT) documents, count(*) FILTER (langs <= 1) one_language FROM (SELECT class_id, count(*) n, count(DISTINCT lang) langs FROM ({CLASSES}) c JOIN documents ON doc_id = id GROUP BY class_id) WHERE n > 1")(class_report)
+add("w10_reservoirs")(lambda s, d: workloads.reservoirs(text_trial(s, d)))
+
+
+def traffic(s, d, m=16):
+    local = stored(S.local_merge(qkeys(s, d), cells(s, d, m), queries=100, tables=TABLES), "local")
+    per = S.probe(qkeys(s, d), buckets(s, d, m), queries=100, tables=TABLES).groupBy("query_id", "node", "id").agg(F.count("*").alias("hits"))
+    return measures.communication_volume(local, per, m)
+
+
+ROUNDS = " + ".join(f'(SELECT count(*) FROM (SELECT DISTINCT query_id, node // {1 << i} n, "row", col FROM local_cells) WHERE n % 2 = 1)' for i in range(4))
+add("w11_communication", B(16).cells(DEPTH, WIDTH).queries(100).local().add("per", "SELECT DISTINCT q.query_id, node, b.id FROM qkeys q JOIN buckets b USING (table_id, bucket_key)").select(f"SELECT 'linear' strategy, count(*) n FROM local_cells WHERE node > 0 UNION ALL SELECT 'exact', count(*) FROM per WHERE node > 0 UNION ALL SELECT 'tree', {ROUNDS}"))(traffic)
+add("w12_sketch_size")(lambda s, d: workloads.sketch_sizes(text_trial(s, d)))
+add("w13_hash_families")(lambda s, d: workloads.hash_families(doc_sets(s, d), asked(doc_sets(s, d))))
+add("w15_parameter_sweep")(lambda s, d: workloads.parameter_sweep(doc_sets(s, d), asked(doc_sets(s, d))))
