@@ -14,12 +14,12 @@ def load(spark: SparkSession, folder: str, name: str) -> DataFrame:
 
 
 def balanced(df: DataFrame) -> DataFrame:
-    """df over all cores where its files give fewer splits than that (a small file of one row group is one task); else df itself, with no shuffle.
+    """df over all cores where its files give no more splits than that (splits of one row group leave all work to one task); else df itself, with no shuffle.
 
     Filters and column choices still reach the scan: the optimizer moves both below a round-robin repartition.
     """
     cores = df.sparkSession.sparkContext.defaultParallelism
-    return df.repartition(cores) if df.rdd.getNumPartitions() < cores // 2 else df
+    return df.repartition(cores) if df.rdd.getNumPartitions() <= cores else df
 
 
 def register_views(spark: SparkSession, folder: str) -> None:
