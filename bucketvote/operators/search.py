@@ -68,14 +68,14 @@ def tree_rounds(nodes: int) -> int:
 def global_merge(local: DataFrame, nodes: int, strategy: str = "tree", fan_in: int = 2) -> DataFrame:
     """(query_id, row, col, total, cand, votes) over all nodes."""
     if strategy == "linear":
-        return sketch.fold_cells(local, ["query_id"], "node")
+        return sketch.fold_cells(local, ["query_id"])
     if strategy == "multiway":
         return sketch.merge_cells(local, ["query_id"])
     if strategy != "tree":
         raise ValueError(strategy)
+    if fan_in == 2:
+        return sketch.tree_cells(local, ["query_id"], tree_rounds(nodes))
     left = nodes
-    # one partitioning by query serves every round: rounds then run inside tasks
-    local = local.repartition("query_id")
     while left > 1:
         local = sketch.merge_cells(local.withColumn("node", F.floor(F.col("node") / fan_in).cast("int")), ["query_id", "node"])
         left = -(-left // fan_in)

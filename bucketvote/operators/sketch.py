@@ -30,11 +30,13 @@ def spread(rows: DataFrame, depth: int, width: int, seed: int = SEED) -> DataFra
     return rows.withColumn("_c", F.explode(cells)).select("*", "_c.row", "_c.col").drop("_c")
 
 
-def _settle(votes: DataFrame, keys: list[str], table: Column | None) -> DataFrame:
-    """votes: one row per (keys, row, col, cand) with t and v."""
-    order = F.struct(F.col("v"), (-salt(F.col("cand"), F.col("row"), table)).alias("s"), (-F.col("cand")).alias("c"))
-    got = votes.groupBy(*keys, "row", "col").agg(F.sum("t").alias("total"), F.sort_array(F.collect_list(order), asc=False).alias("o"))
-    return got.select(*keys, "row", "col", "total", (-F.col("o")[0]["c"]).alias("cand"), (F.col("o")[0]["v"] - F.coalesce(F.get("o", F.lit(1))["v"], F.lit(0))).alias("votes"))
+def _settle(votes: DataFrame, keys: list[str]) -> DataFrame:
+    """votes: one row per (keys, row, col, cand) with t and v. Only places with several candidates need salts and a sort."""
+    held = votes.groupBy(*keys, "row", "col").agg(F.sum("t").alias("total"), F.collect_list(F.struct("v", "cand")).alias("o"))
+    order = F.transform("o", lambda x: F.struct((-x["v"]).alias("v"), salt(x["cand"], F.col("row")).alias("s"), x["cand"].alias("cand")))
+    best = F.when(F.size("o") > 1, F.array_sort(order)).otherwise(F.transform("o", lambda x: F.struct((-x["v"]).alias("v"), F.lit(0).cast("long").alias("s"), x["cand"].alias("cand"))))
+    got = held.select(*keys, "row", "col", "total", best.alias("o"))
+    return got.select(*keys, "row", "col", "total", F.col("o")[0]["cand"].alias("cand"), (F.coalesce(F.get("o", F.lit(1))["v"], F.lit(0)) - F.col("o")[0]["v"]).alias("votes"))
 
 
 def build_cells(buckets: DataFrame, keys: list[str], depth: int = DEPTH, width: int = WIDTH, seed: int = SEED) -> DataFrame:
@@ -50,20 +52,45 @@ def build_cells(buckets: DataFrame, keys: list[str], depth: int = DEPTH, width:
 
 
 def merge_cells(cells: DataFrame, keys: list[str]) -> DataFrame:
-    """One-level merge of all cells of equal (keys, row, col)."""
-    votes = cells.groupBy(*keys, "row", "col", "cand").agg(F.sum("total").alias("t"), F.sum("votes").alias("v"))
-    return _settle(votes, keys, None)
-
-
-def fold_cells(cells: DataFrame, keys: list[str], order_by: str = "node") -> DataFrame:
-    """Pairwise merges in the order of a column, as a gatherer would make them one after another."""
-    lists = cells.groupBy(*keys, "row", "col").agg(F.array_sort(F.collect_list(F.struct(order_by, "total", "cand", "votes", salt(F.col("cand"), F.col("row")).alias("s")))).alias("l"))
-    merged = F.expr("""aggregate(slice(l, 2, size(l)), l[0], (a, b) -> named_struct(
-        'node', a.node, 'total', a.total + b.total,
-        'cand', if(a.cand = b.cand or a.votes > b.votes or (a.votes = b.votes and (a.s < b.s or (a.s = b.s and a.cand < b.cand))), a.cand, b.cand),
-        'votes', if(a.cand = b.cand, a.votes + b.votes, abs(a.votes - b.votes)),
-        's', if(a.cand = b.cand or a.votes > b.votes or (a.votes = b.votes and (a.s < b.s or (a.s = b.s and a.cand < b.cand))), a.s, b.s)))""".replace("node", order_by))
-    return lists.withColumn("m", merged).select(*keys, "row", "col", "m.total", "m.cand", "m.votes")
+    """One-level merge of all cells of equal (keys, row, col): one shuffle by place serves both sums. A place holds at most the cells of its tables and nodes."""
+    by_place = cells.select(*keys, "row", "col", "cand", "total", "votes").repartition(*keys, "row", "col")
+    votes = by_place.groupBy(*keys, "row", "col", "cand").agg(F.sum("total").alias("t"), F.sum("votes").alias("v"))
+    return _settle(votes, keys)
+
+
+CELL = "struct<node:int,total:bigint,cand:bigint,votes:bigint,s:bigint>"
+
+
+def _pair(a: str, b: str, node: str) -> str:
+    """The merge of two cells as an SQL expression of structs."""
+    first = f"{a}.cand = {b}.cand or {a}.votes > {b}.votes or ({a}.votes = {b}.votes and ({a}.s < {b}.s or ({a}.s = {b}.s and {a}.cand < {b}.cand)))"
+    return f"""named_struct('node', cast({node} as int), 'total', {a}.total + {b}.total, 'cand', if({first}, {a}.cand, {b}.cand),
+        'votes', if({a}.cand = {b}.cand, {a}.votes + {b}.votes, abs({a}.votes - {b}.votes)), 's', if({first}, {a}.s, {b}.s))"""
+
+
+def _lists(cells: DataFrame, keys: list[str]) -> DataFrame:
+    """The cells of a place in one array in the order of nodes, of which there is at most one a node."""
+    cell = F.struct(F.col("node").cast("int").alias("node"), F.col("total").cast("long").alias("total"), F.col("cand").cast("long").alias("cand"), F.col("votes").cast("long").alias("votes"), salt(F.col("cand"), F.col("row")).alias("s"))
+    return cells.groupBy(*keys, "row", "col").agg(F.array_sort(F.collect_list(cell)).alias("l"))
+
+
+def fold_cells(cells: DataFrame, keys: list[str]) -> DataFrame:
+    """Pairwise merges in the order of nodes, as a gatherer would make them one after another."""
+    merged = F.expr(f"aggregate(slice(l, 2, size(l)), l[0], (a, b) -> {_pair('a', 'b', 'a.node')})")
+    return _lists(cells, keys).withColumn("m", merged).select(*keys, "row", "col", "m.total", "m.cand", "m.votes")
+
+
+def tree_cells(cells: DataFrame, keys: list[str], rounds: int) -> DataFrame:
+    """Pairwise merges of neighbouring nodes in rounds, each halving the nodes: one shuffle brings a place's cells together, the rounds run on its array."""
+    up = "cast(x.node div 2 as int)"
+    last = "try_element_at(acc, -1)"
+    met = f"concat(slice(acc, 1, size(acc) - 1), array({_pair(last, 'x', up)}))"
+    alone = f"concat(acc, array(named_struct('node', {up}, 'total', x.total, 'cand', x.cand, 'votes', x.votes, 's', x.s)))"
+    out = _lists(cells, keys)
+    for _ in range(rounds):
+        # a place that one node alone holds has nothing to merge
+        out = out.withColumn("l", F.expr(f"if(size(l) = 1, l, aggregate(l, cast(array() as array<{CELL}>), (acc, x) -> if(size(acc) > 0 and {last}.node = {up}, {met}, {alone})))"))
+    return out.select(*keys, "row", "col", F.col("l")[0]["total"].alias("total"), F.col("l")[0]["cand"].alias("cand"), F.col("l")[0]["votes"].alias("votes"))
 
 
 def estimate(cells: DataFrame, ids: DataFrame, keys: list[str], depth: int, width: int, seed: int = SEED) -> DataFrame:
