@@ -146,14 +146,25 @@ add("o13_pivot", PIVOT)(pivoted)
 add("o13_unpivot", " UNION ALL ".join(f"SELECT user_id, '{k}' AS kind, \"{k}\" n FROM ({PIVOT})" for k in KINDS))(lambda s, d: pivoted(s, d).unpivot("user_id", KINDS, "kind", "n"))
 
 # windows, sorts, sets, samples
-_W = Window.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey")
-add("o14_ranks", "SELECT o_orderkey, CAST(row_number() OVER w AS INTEGER) rn, CAST(rank() OVER w AS INTEGER) r, CAST(dense_rank() OVER w AS INTEGER) dr, CAST(ntile(4) OVER w AS INTEGER) fourth, round(percent_rank() OVER w, 6) pr, round(cume_dist() OVER w, 6) cd FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)")(
-    lambda s, d: load(s, d, "orders").select("o_orderkey", F.row_number().over(_W).alias("rn"), F.rank().over(_W).alias("r"), F.dense_rank().over(_W).alias("dr"), F.ntile(4).over(_W).alias("fourth"), F.round(F.percent_rank().over(_W), 6).alias("pr"), F.round(F.cume_dist().over(_W), 6).alias("cd"))
-)
-_U = Window.partitionBy("user_id").orderBy("event_id")
-add("o15_analytic", "SELECT event_id, lag(event_type) OVER w before, lead(event_type) OVER w after, count(*) OVER (w ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) last3, count(*) OVER (w RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) near FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")(
-    lambda s, d: load(s, d, "events").select("event_id", F.lag("event_type").over(_U).alias("before"), F.lead("event_type").over(_U).alias("after"), F.count("*").over(_U.rowsBetween(-2, 0)).alias("last3"), F.count("*").over(_U.rangeBetween(-100, 0)).alias("near"))
-)
+
+
+def ranks(s, d):
+    w = Window.partitionBy("o_orderpriority").orderBy(F.desc("o_totalprice"), "o_orderkey")
+    rank = {"rn": F.row_number(), "r": F.rank(), "dr": F.dense_rank(), "fourth": F.ntile(4)}
+    share = {"pr": F.percent_rank(), "cd": F.cume_dist()}
+    return load(s, d, "orders").select("o_orderkey", *[f.over(w).alias(n) for n, f in rank.items()], *[F.round(f.over(w), 6).alias(n) for n, f in share.items()])
+
+
+add("o14_ranks", "SELECT o_orderkey, CAST(row_number() OVER w AS INTEGER) rn, CAST(rank() OVER w AS INTEGER) r, CAST(dense_rank() OVER w AS INTEGER) dr, CAST(ntile(4) OVER w AS INTEGER) fourth, round(percent_rank() OVER w, 6) pr, round(cume_dist() OVER w, 6) cd FROM orders WINDOW w AS (PARTITION BY o_orderpriority ORDER BY o_totalprice DESC, o_orderkey)")(ranks)
+
+
+def neighbours(s, d):
+    w = Window.partitionBy("user_id").orderBy("event_id")
+    near = {"before": F.lag("event_type").over(w), "after": F.lead("event_type").over(w), "last3": F.count("*").over(w.rowsBetween(-2, 0)), "near": F.count("*").over(w.rangeBetween(-100, 0))}
+    return load(s, d, "events").select("event_id", *[c.alias(n) for n, c in near.items()])
+
+
+add("o15_analytic", "SELECT event_id, lag(event_type) OVER w before, lead(event_type) OVER w after, count(*) OVER (w ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) last3, count(*) OVER (w RANGE BETWEEN 100 PRECEDING AND CURRENT ROW) near FROM events WINDOW w AS (PARTITION BY user_id ORDER BY event_id)")(neighbours)
 add("o16_top", "SELECT doc_id, n_chars FROM documents ORDER BY n_chars DESC NULLS LAST, doc_id LIMIT 50 OFFSET 10")(lambda s, d: load(s, d, "documents").select("doc_id", "n_chars").orderBy(F.desc_nulls_last("n_chars"), "doc_id").offset(10).limit(50))
 add("o16_top_per_key", "SELECT lang, doc_id, n_chars FROM documents QUALIFY row_number() OVER (PARTITION BY lang ORDER BY n_chars DESC, doc_id) <= 5")(
     lambda s, d: load(s, d, "documents").select("lang", "doc_id", "n_chars").withColumn("r", F.row_number().over(Window.partitionBy("lang").orderBy(F.desc("n_chars"), "doc_id"))).where("r <= 5").drop("r")
