@@ -21,8 +21,10 @@ from pyspark.sql import functions as F
 
 from .common import bounded_sample, held_out, id_in, id_out
 
-#: Labelled rows to learn from, drawn by a hash of doc_id; lexicon words at most.
-SAMPLE, TERMS = 20_000, 500
+#: Labelled rows to learn from, drawn by a hash of doc_id.
+SAMPLE = 20_000
+#: A lexicon word: toxic texts that hold it at least, times as common in toxic texts, standard errors of its log ratio above 0.
+SUPPORT, RATIO, SURE = 3, 8, 3
 CUTOFF = 0.3
 #: Tokens before a match that are searched for reporting words and opening quotes.
 WINDOW = 8
@@ -197,17 +199,22 @@ def labelled(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> DataFra
     return docs.select("doc_id", "text").join(F.broadcast(some), "doc_id")  # bounded by the sample
 
 
-def lexicon(rows: DataFrame, terms: int = TERMS) -> dict[str, float]:
-    """Words at least 8 times as common in toxic texts, found in 5 % of them, with their log ratio as weight."""
+def lexicon(rows: DataFrame) -> dict[str, float]:
+    """Words at least 8 times as common in toxic texts, beyond chance, with their smoothed log ratio as weight.
+
+    The support is a count, not a share of all toxic texts: a rare language or a much inflected word needs no more
+    texts of its own when other languages have many. Their number is bounded by the sample alone.
+    """
     total = rows.agg(F.sum("toxic").alias("t"), F.count("*").alias("n")).first()
     toxic, rest = int(total["t"] or 0), int(total["n"]) - int(total["t"] or 0)
     if not toxic or not rest:
         return {}
     words = rows.select("toxic", F.explode(F.array_distinct(F.split(F.regexp_replace(F.lower("text"), r"[^\p{L}\p{N}\s]+", " "), r"\s+"))).alias("word")).where(F.length("word").between(3, 40))
-    seen = words.groupBy("word").agg(F.sum("toxic").alias("t"), F.count("*").alias("n")).where(F.col("t") >= max(3, 0.05 * toxic))
-    ratio = (F.col("t") / toxic) / ((F.col("n") - F.col("t") + 0.5) / rest)
-    best = seen.withColumn("ratio", ratio).where("ratio >= 8").orderBy(F.desc("ratio"), "word").limit(terms).collect()
-    return {r["word"]: math.log(r["ratio"]) for r in best}
+    seen = words.groupBy("word").agg(F.sum("toxic").alias("t"), F.count("*").alias("n")).where(F.col("t") >= SUPPORT)
+    hits, others = F.col("t") + 0.5, F.col("n") - F.col("t") + 0.5
+    scored = seen.withColumn("weight", F.log(hits / (toxic + 1)) - F.log(others / (rest + 1))).withColumn("error", F.sqrt(1 / hits + 1 / others))
+    best = scored.where((F.col("weight") >= math.log(RATIO)) & (F.col("weight") >= SURE * F.col("error"))).select("word", "weight").collect()
+    return {r["word"]: r["weight"] for r in sorted(best)}
 
 
 def train(docs: DataFrame, labels: DataFrame, bound: int = SAMPLE) -> ToxicityModel:

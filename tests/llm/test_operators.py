@@ -261,6 +261,17 @@ def test_quotes_and_toxicity(spark, small, docs, empty):
     assert toxicity.score(empty, toxicity.train(d, lab.where("1 = 0"))).count() == 0
 
 
+def test_toxicity_finds_every_language(spark):
+    d, lab = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
+    got = toxicity.score(d, toxicity.train(d, lab)).where("held_out").join(lab.groupBy("doc_id").agg({"toxic": "max"}).toDF("doc_id", "toxic"), "doc_id").join(d.select("doc_id", "lang"), "doc_id").collect()
+    bad, good = ([r for r in got if r["toxic"] == t] for t in (1, 0))
+    for lang, least in (("en", 0.9), ("fr", 0.9), ("de", 0.9), ("es", 0.4)):
+        own = [r["predicted"] for r in bad if r["lang"] == lang]
+        assert sum(own) >= least * len(own) > 0, lang
+    assert sum(r["predicted"] for r in good) <= 0.02 * len(good)
+    assert sum((x["score"] > y["score"]) + 0.5 * (x["score"] == y["score"]) for x in bad for y in good) > 0.93 * len(bad) * len(good)
+
+
 def test_warc(spark):
     long_ = "<p>" + "x" * 1200
     rows = [(1, "u\r\nX: y", long_), (3, None, long_), (2, "u", long_), (4, "v", "short"), (5, "v", "short"), (6, "w", None), (None, "z", long_)]
