@@ -7,7 +7,8 @@ their number of coordinates.
 
 Classes are the connected components of texts of similarity 0.8 or more (on sets of five-word shingles of lower-cased
 words; a text of fewer words is one shingle). Equal texts are joined by hash first; texts that share a band are paired
-with the bucket's most popular members, never all with all, and each such pair is verified exactly on the whole texts.
+with the bucket's most popular members, and each such pair is verified exactly on the whole texts. Buckets that still
+hold several classes then compare the signatures of all members of different classes, in blocks, and verify the close ones.
 
 Edge cases: null, empty and white texts have no shingle, and each is its own class; rows with a null doc_id are left
 out of the search and returned with a null class; repeated rows share a class; an empty table gives no rows.
@@ -25,6 +26,8 @@ from .common import written
 SIZE, ROWS, WORDS, THRESHOLD = 128, 4, 5, 0.8
 #: Members of a bucket that all its members are compared with.
 PIVOTS = 4
+#: Members of a bucket in a block; a task compares two blocks at a time.
+BLOCK = 512
 _GOLD, _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _FIRST, _STEP = 2.0**-6, 4.0
 
@@ -164,15 +167,18 @@ def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int =
     return written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary"), "signatures")
 
 
-def candidate_pairs(heads: DataFrame, pivots: int = PIVOTS) -> DataFrame:
+def shared_bands(heads: DataFrame) -> DataFrame:
+    """A written table (key, doc_id, n) of the members of buckets of n > 1."""
+    rows = heads.select("doc_id", F.explode("bands").alias("key"))
+    return written(rows.join(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "key"), "buckets")
+
+
+def candidate_pairs(shared: DataFrame, pivots: int = PIVOTS) -> DataFrame:
     """Pairs (a, b) of doc ids that share a band, b among the bucket's `pivots` most popular members.
 
     A document is popular if its buckets are large: then it lies in the middle of a family of copies. The limit by
     rank runs before the shuffle (a window group limit), so a huge bucket sends a few rows a task.
     """
-    rows = heads.select("doc_id", F.explode("bands").alias("key"))
-    sizes = rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1")
-    shared = written(rows.join(sizes, "key"), "buckets")
     popular = shared.groupBy("doc_id").agg(F.sum("n").alias("popularity"))
     ranked = shared.join(popular, "doc_id").withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("popularity"), "doc_id")))
     chosen = ranked.where(F.col("place") <= pivots).select("key", F.col("doc_id").alias("b"))
@@ -180,6 +186,34 @@ def candidate_pairs(heads: DataFrame, pivots: int = PIVOTS) -> DataFrame:
     return both.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
+def pairs_across(shared: DataFrame, heads: DataFrame, classes: DataFrame, pivots: int = PIVOTS, least: float = THRESHOLD - 0.2, block: int = BLOCK) -> DataFrame:
+    """Pairs (a, b) of members of one bucket and different classes whose signatures agree in a share of `least`.
+
+    In a bucket of pivots + 1 members every pair has a pivot. Larger ones that hold several classes are cut into blocks by
+    a hash of doc_id, and every two blocks meet in a group of their own: no group grows with the bucket.
+    """
+    part = shared.where(F.col("n") > pivots + 1).join(classes, "doc_id", "left").withColumn("class", F.coalesce("class", "doc_id"))
+    split = part.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
+    blocks = F.ceil(F.col("n") / block)
+    placed = part.join(split, "key").withColumn("i", F.pmod(F.xxhash64(F.lit(17), "doc_id"), blocks)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
+    sides = placed.select("key", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "i", "doc_id", "class").join(heads.select("doc_id", "sketch"), "doc_id")
+
+    def close(frame):
+        import pandas as pd
+
+        ids, kinds, place = (frame[c].to_numpy() for c in ("doc_id", "class", "i"))
+        sketch = np.stack([np.frombuffer(x, np.uint16) for x in frame["sketch"]])
+        left, right = np.flatnonzero(place == frame["u"].iloc[0]), np.flatnonzero(place == frame["v"].iloc[0])
+        out = []
+        for x in left:
+            other = right[kinds[right] != kinds[x]]
+            other = other[(sketch[other] == sketch[x]).mean(axis=1) >= least] if len(other) else other
+            out += [(min(ids[x], y), max(ids[x], y)) for y in ids[other]]
+        return pd.DataFrame(sorted(set(out)), columns=["a", "b"], dtype="int64")
+
+    return sides.groupBy("key", "u", "v").applyInPandas(close, "a long, b long").distinct()
+
+
 def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFrame:
     """docs whose id may be among ids, by a bitmap of hashed ids: most other texts are not shuffled.
 
@@ -259,7 +293,10 @@ def near_duplicate_classes(docs: DataFrame, threshold: float = THRESHOLD, size:
     heads = signed.join(firsts.select(F.col("head").alias("doc_id"), "text_key"), ["doc_id", "text_key"]).dropDuplicates(["doc_id", "text_key"])
     # one id may carry two different texts: such heads share it and are one class by definition
     heads = written(heads.dropDuplicates(["doc_id"]), "head-signatures")
-    links = verified(candidate_pairs(heads, pivots), heads, docs, threshold, words, counts)
+    shared = shared_bands(heads)
+    links = verified(candidate_pairs(shared, pivots), heads, docs, threshold, words, counts)
+    across = pairs_across(shared, heads, written(components(links), "parts"), pivots, threshold - 0.2)
+    links = links.union(verified(across, heads, docs, threshold, words, counts))
     same = signed.select("doc_id", "text_key").join(firsts, "text_key").where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b"))
     classes = components(links)
     own = same.groupBy("b").agg(F.min("a").alias("a")).select(F.col("b").alias("doc_id"), F.col("a").alias("head"))

@@ -208,6 +208,19 @@ def test_near_duplicates_against_brute_force(spark, empty):
     assert dartminhash.near_duplicate_classes(empty).count() == 0
 
 
+def test_near_duplicates_far_from_pivots(spark):
+    """Two hundred texts share a passage at 0.786; twins of 0.815 meet mostly in the buckets of all."""
+    passage, rows = [f"p{i}" for i in range(444)], []
+    for i in range(200):
+        twin = [f"t{i // 2}_{j}" for j in range(9)]
+        rows.append((i, " ".join(passage + twin + [f"o{i}_{j}" for j in range(51)])))
+    sets = [dartminhash.weighted(t) for _, t in rows]
+    near = {(a, b) for a in range(200) for b in range(a + 1, 200) if dartminhash.weighted_jaccard(sets[a], sets[b]) >= 0.8}
+    assert near == {(i, i + 1) for i in range(0, 200, 2)}
+    got = dartminhash.near_duplicate_classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()
+    assert {r["doc_id"]: r["class_id"] for r in got} == {i: i - i % 2 for i in range(200)}
+
+
 def test_darts_estimate_weighted_similarity():
     rng = np.random.default_rng(8)
     x = rng.integers(0, 1 << 62, 300).astype(np.uint64)
