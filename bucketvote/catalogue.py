@@ -379,11 +379,29 @@ def statistics(s, d):
 add("w01_statistics")(statistics)
 
 
-def contamination(s, d):
-    """Benchmark passages in documents: shared three-word shingles, best document each."""
+#: Share of an item's shingles that a document holds when the item counts as found in it.
+HELD = 0.8
+
+
+def held_shingles(s, d):
+    """(item_id, doc_id, hits, held): shingles of an item that a document holds, and their share of the item's."""
     bench = features.token_sets(load(s, d, "benchmark"), "item_id", "text", "shingle")
-    pairs = similarity.shared_tokens(doc_sets(s, d, "shingle"), bench.withColumn("id", -1 - F.col("id")), "jaccard")
-    return top_by(pairs, 1)
+    items = bench.select(F.col("id").alias("item_id"), F.size("tokens").alias("n"), F.explode("tokens").alias("token"))
+    docs = doc_sets(s, d, "shingle").select(F.col("id").alias("doc_id"), F.explode("tokens").alias("token"))
+    return items.join(docs, "token").groupBy("item_id", "doc_id").agg(F.count("*").alias("hits"), F.first("n").alias("n")).select("item_id", "doc_id", "hits", (F.col("hits") / F.col("n")).alias("held"))
+
+
+def contamination(s, d):
+    """Benchmark passages in documents: every document that holds most three-word shingles of an item."""
+    return held_shingles(s, d).where(F.col("held") >= HELD).withColumn("held", F.round("held", 6))
 
 
 add("w14_contamination")(contamination)
+
+
+def best_document(s, d):
+    """The document that holds most of each item, whatever its share."""
+    return top_by(held_shingles(s, d).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id"), F.col("held").alias("similarity")), 1)
+
+
+add("w14_best_document")(best_document)

@@ -98,3 +98,14 @@ def test_limits_and_plans(spark, small):
         S.search_one(S.hash_queries(asked(rows, 2), 2, 4), rows, 1, 1)
     plan = balanced(spark.read.parquet(f"{small}/documents.parquet")).where("lang = 'en'").select("doc_id")._jdf.queryExecution().executedPlan().toString()
     assert "EqualTo(lang,en)" in plan and "text" not in plan.split("ReadSchema")[-1]
+
+
+def test_contamination_finds_every_document(spark, tmp_path):
+    from bucketvote.every import QUERIES
+
+    passage = " ".join(f"p{i}" for i in range(20))
+    docs = [(1, passage), (2, " ".join(f"x{i}" for i in range(500)) + " " + passage), (3, "p0 p1 p2 p3 other words"), (4, None)]
+    spark.createDataFrame(docs, "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([(7, passage), (8, "not in any")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
+    got = QUERIES["w14_contamination"].run(spark, str(tmp_path)).collect()
+    assert {(r["item_id"], r["doc_id"], r["hits"], r["held"]) for r in got} == {(7, 1, 18, 1.0), (7, 2, 18, 1.0)}
