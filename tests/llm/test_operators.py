@@ -265,7 +265,7 @@ def test_automaton_against_edit_distance():
 
 
 def test_quotes_and_toxicity(spark, small, docs, empty):
-    m = toxicity.ToxicityModel({"idiot": 2.0}, [-2.0, 3.0, 0.5, 0.0])
+    m = toxicity.ToxicityModel({"idiot": 2.0}, [-2.0, 3.0, 0.5, 0.0, 0.0, 0.0])
     assert m.score("you idi0t") > m.score('he said "idiot" once') > m.score("good day")
     d, lab = (spark.read.parquet(f"{small}/{t}.parquet") for t in ("documents", "labels"))
     model = toxicity.train(d, lab)
@@ -276,13 +276,32 @@ def test_quotes_and_toxicity(spark, small, docs, empty):
 
 def test_toxicity_finds_every_language(spark):
     d, lab = (spark.read.parquet(f"/root/testdata/sf0.1/{t}.parquet") for t in ("documents", "labels"))
-    got = toxicity.score(d, toxicity.train(d, lab)).where("held_out").join(lab.groupBy("doc_id").agg({"toxic": "max"}).toDF("doc_id", "toxic"), "doc_id").join(d.select("doc_id", "lang"), "doc_id").collect()
+    model = toxicity.train(d, lab)
+    got = toxicity.score(d, model).where("held_out").join(lab.groupBy("doc_id").agg({"toxic": "max"}).toDF("doc_id", "toxic"), "doc_id").join(d.select("doc_id", "lang"), "doc_id").collect()
     bad, good = ([r for r in got if r["toxic"] == t] for t in (1, 0))
-    for lang, least in (("en", 0.9), ("fr", 0.9), ("de", 0.9), ("es", 0.4)):
+    for lang in ("en", "fr", "de", "es"):
         own = [r["predicted"] for r in bad if r["lang"] == lang]
-        assert sum(own) >= least * len(own) > 0, lang
+        assert sum(own) >= 0.85 * len(own) > 0, lang
     assert sum(r["predicted"] for r in good) <= 0.02 * len(good)
-    assert sum((x["score"] > y["score"]) + 0.5 * (x["score"] == y["score"]) for x in bad for y in good) > 0.93 * len(bad) * len(good)
+    assert sum((x["score"] > y["score"]) + 0.5 * (x["score"] == y["score"]) for x in bad for y in good) > 0.95 * len(bad) * len(good)
+    # with the weights as trained, misspellings count for less than the term and for more than nothing
+    none, wrong, right, two = (model.score(t) for t in ("you are kind to all", "you are idi0t to all", "you are idiot to all", "you are idiot stupd all"))
+    assert none < wrong < right <= two and wrong >= toxicity.CUTOFF
+    assert model.score('they said "idiot" to all') < right
+
+
+def test_toxicity_edges(spark):
+    rows = [(i if i else None, "you vile creature" if i % 3 == 0 else "a kind letter" if i % 3 == 1 else "" if i % 2 else None, i, 0.5) for i in range(120)]
+    d = spark.createDataFrame(rows, "doc_id long, text string, predicted int, score double")
+    lab = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(120)] + [(3, 0), (None, 1), (4, None)], "doc_id long, toxic int")
+    got = toxicity.score(d, toxicity.train(d, lab)).collect()
+    assert len(got) == 120 and sum(r["doc_id"] is None for r in got) == 1 and all(0 <= r["score"] <= 1 for r in got)
+    assert toxicity.train(d, lab.where("toxic = 1")).score("you vile creature") < 0.3
+
+
+def test_stems_and_their_edges():
+    auto = toxicity.Automaton({"vileness": 2.0, "foulo*": 3.0})
+    assert [auto.match(t) for t in ("foulometer", "foulo", "foul", "vilenes", "vileness", "afoulo")] == [("foulo*", 0), ("foulo*", 0), None, ("vileness", 1), ("vileness", 0), None]
 
 
 def test_warc(spark):
