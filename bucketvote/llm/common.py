@@ -22,6 +22,8 @@ def shared_root(spark: SparkSession) -> str:
         set_dir = spark.sparkContext._jsc.sc().getCheckpointDir()
         if set_dir.isDefined():
             return set_dir.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = "file://" + os.path.join(tempfile.gettempdir(), f"bucketvote-shared-{getpass.getuser()}")
         spark.sparkContext.setCheckpointDir(root)
     return root
@@ -93,3 +95,21 @@ def bounded_sample(df: DataFrame, key: Column, bound: int, seed: int) -> DataFra
         return df
     scale = 1 << 30
     return df.where(F.pmod(F.xxhash64(F.lit(seed), key), F.lit(scale)) < int(scale * bound / total)).limit(2 * bound)
+
+
+#: Shares of all rows at which a key counts as hot: no more keys than this can.
+HOT_KEYS = 4096
+
+
+def with_facts(rows: DataFrame, facts: DataFrame, key: str, count: str = "n", least: int = 10_000) -> DataFrame:
+    """rows left-joined with facts (one row a key, `count` rows of it). Hot keys are not dealt to one task each.
+
+    Keys with a HOT_KEYS-th of all counted rows are HOT_KEYS at most, whatever the data: they are broadcast, and only
+    rows of other keys are shuffled. rows is read twice and should be a table.
+    """
+    total = facts.agg(F.sum(count)).first()[0] or 0
+    many = F.col(count) >= max(least, -(-int(total) // HOT_KEYS))
+    common, rare = F.broadcast(facts.where(many)), facts.where(~many)
+    if total < least:
+        return rows.join(rare, key, "left")
+    return rows.join(common, key).unionByName(rows.join(common.select(key), key, "left_anti").join(rare, key, "left"))

@@ -10,8 +10,12 @@ words; a text of fewer words is one shingle). Equal texts are joined by hash fir
 with the bucket's most popular members, and each such pair is verified exactly on the whole texts. Buckets that still
 hold several classes then compare the signatures of all members of different classes, in blocks, and verify the close ones.
 
+Similarity is of sets: weights other than 1 (`counts`) change signatures and verification alike, for callers who want
+similarity of multisets. Nodes of the search are distinct texts, not ids.
+
 Edge cases: null, empty and white texts have no shingle, and each is its own class; rows with a null doc_id are left
-out of the search and returned with a null class; repeated rows share a class; an empty table gives no rows.
+out of the search and returned with a null class; repeated rows share a class; texts that share a doc_id are searched
+one by one, and a class's id is the least doc_id of its texts; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -21,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import NO_ID, id_in, id_out, with_facts, written
 
 SIZE, ROWS, WORDS, THRESHOLD = 128, 4, 5, 0.8
 #: Members of a bucket that all its members are compared with.
@@ -149,7 +153,7 @@ def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.n
 
 
 def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int = WORDS, counts: bool = False) -> DataFrame:
-    """A written table (doc_id, text_key, bands, sketch) of the documents that have a word and an id."""
+    """A written table (doc_id, text_key, bands, sketch), a row per document row; rows without a word or an id have no band."""
 
     def task(frames):
         import pandas as pd
@@ -158,31 +162,45 @@ def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int =
             out = []
             for doc_id, text, key in zip(frame["doc_id"], frame["text"], frame["text_key"], strict=True):
                 elements, weights = weighted(text, words, counts)
-                if len(elements):
+                if len(elements) and doc_id != NO_ID:
                     s = darts(elements, weights, size)
                     out.append((doc_id, key, bands(s, rows), (s >> np.uint64(40)).astype(np.uint16).tobytes()))
+                else:
+                    out.append((doc_id, None, [], b""))
             yield pd.DataFrame(out, columns=["doc_id", "text_key", "bands", "sketch"])
 
-    found = docs.where(F.col("doc_id").isNotNull() & F.col("text").isNotNull()).select("doc_id", "text", F.md5("text").alias("text_key"))
-    return written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary"), "signatures")
+    found = docs.select(id_in("doc_id"), "text", F.md5("text").alias("text_key"))
+    return id_out(written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary"), "signatures"), "doc_id")
+
+
+def distinct_texts(signed: DataFrame) -> DataFrame:
+    """A written table (text_key, head, n, node): the least doc_id of each text, its rows, and an id for the text.
+
+    The id is the head, which one text of each doc_id may carry; further texts of that id get a hash instead.
+    """
+    firsts = signed.where("text_key is not null").groupBy("text_key").agg(F.min("doc_id").alias("head"), F.count("*").alias("n"))
+    firsts = written(firsts, "texts")
+    owner = firsts.groupBy("head").agg(F.min("text_key").alias("owner"))
+    node = F.when(F.col("text_key") == F.col("owner"), F.col("head")).otherwise(F.xxhash64("text_key", "head"))
+    return written(firsts.join(owner, "head").select("text_key", "head", "n", node.alias("node")), "nodes")
 
 
 def shared_bands(heads: DataFrame) -> DataFrame:
-    """A written table (key, doc_id, n) of the members of buckets of n > 1."""
-    rows = heads.select("doc_id", F.explode("bands").alias("key"))
+    """A written table (key, node, n) of the members of buckets of n > 1."""
+    rows = heads.select("node", F.explode("bands").alias("key"))
     return written(rows.join(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "key"), "buckets")
 
 
 def candidate_pairs(shared: DataFrame, pivots: int = PIVOTS) -> DataFrame:
-    """Pairs (a, b) of doc ids that share a band, b among the bucket's `pivots` most popular members.
+    """Pairs (a, b) of nodes that share a band, b among the bucket's `pivots` most popular members.
 
-    A document is popular if its buckets are large: then it lies in the middle of a family of copies. The limit by
+    A text is popular if its buckets are large: then it lies in the middle of a family of copies. The limit by
     rank runs before the shuffle (a window group limit), so a huge bucket sends a few rows a task.
     """
-    popular = shared.groupBy("doc_id").agg(F.sum("n").alias("popularity"))
-    ranked = shared.join(popular, "doc_id").withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("popularity"), "doc_id")))
-    chosen = ranked.where(F.col("place") <= pivots).select("key", F.col("doc_id").alias("b"))
-    both = shared.select("key", F.col("doc_id").alias("a")).join(chosen, "key").where("a <> b")
+    popular = shared.groupBy("node").agg(F.sum("n").alias("popularity"))
+    ranked = shared.join(popular, "node").withColumn("place", F.row_number().over(Window.partitionBy("key").orderBy(F.desc("popularity"), "node")))
+    chosen = ranked.where(F.col("place") <= pivots).select("key", F.col("node").alias("b"))
+    both = shared.select("key", F.col("node").alias("a")).join(chosen, "key").where("a <> b")
     return both.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
@@ -190,18 +208,18 @@ def pairs_across(shared: DataFrame, heads: DataFrame, classes: DataFrame, pivots
     """Pairs (a, b) of members of one bucket and different classes whose signatures agree in a share of `least`.
 
     In a bucket of pivots + 1 members every pair has a pivot. Larger ones that hold several classes are cut into blocks by
-    a hash of doc_id, and every two blocks meet in a group of their own: no group grows with the bucket.
+    a hash of the node, and every two blocks meet in a group of their own: no group grows with the bucket.
     """
-    part = shared.where(F.col("n") > pivots + 1).join(classes, "doc_id", "left").withColumn("class", F.coalesce("class", "doc_id"))
+    part = shared.where(F.col("n") > pivots + 1).join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))
     split = part.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
     blocks = F.ceil(F.col("n") / block)
-    placed = part.join(split, "key").withColumn("i", F.pmod(F.xxhash64(F.lit(17), "doc_id"), blocks)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
-    sides = placed.select("key", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "i", "doc_id", "class").join(heads.select("doc_id", "sketch"), "doc_id")
+    placed = part.join(split, "key").withColumn("i", F.pmod(F.xxhash64(F.lit(17), "node"), blocks)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
+    sides = placed.select("key", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "i", "node", "class").join(heads.select("node", "sketch"), "node")
 
     def close(frame):
         import pandas as pd
 
-        ids, kinds, place = (frame[c].to_numpy() for c in ("doc_id", "class", "i"))
+        ids, kinds, place = (frame[c].to_numpy() for c in ("node", "class", "i"))
         sketch = np.stack([np.frombuffer(x, np.uint16) for x in frame["sketch"]])
         left, right = np.flatnonzero(place == frame["u"].iloc[0]), np.flatnonzero(place == frame["v"].iloc[0])
         out = []
@@ -215,7 +233,7 @@ def pairs_across(shared: DataFrame, heads: DataFrame, classes: DataFrame, pivots
 
 
 def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFrame:
-    """docs whose id may be among ids, by a bitmap of hashed ids: most other texts are not shuffled.
+    """docs (doc_id, text) whose id may be among ids, by a bitmap of hashed ids: most other texts are not shuffled.
 
     The bitmap has bits / 64 rows at most, whatever the number of ids, so it may be broadcast; when it fills up, more pass.
     """
@@ -230,7 +248,6 @@ def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFra
 
 def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: float, words: int = WORDS, counts: bool = False, slack: float = 0.2) -> DataFrame:
     """Pairs whose similarity on the whole texts reaches the threshold; those whose signatures differ far too much are not read."""
-    sketch = heads.select("doc_id", "sketch")
 
     def near(frames):
         for frame in frames:
@@ -248,18 +265,18 @@ def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: flo
             yield frame.loc[np.array(keep, bool), ["a", "b"]]
 
     def beside(p: DataFrame, values: DataFrame, value: str) -> DataFrame:
-        one = p.join(values.select(F.col("doc_id").alias("b"), F.col(value).alias("y")), "b")
-        return one.join(values.select(F.col("doc_id").alias("a"), F.col(value).alias("x")), "a")
+        one = p.join(values.select(F.col("node").alias("b"), F.col(value).alias("y")), "b")
+        return one.join(values.select(F.col("node").alias("a"), F.col(value).alias("x")), "a")
 
-    close = written(beside(pairs, sketch, "sketch").select("a", "b", "x", "y").mapInPandas(near, "a long, b long"), "close-pairs")
-    needed = close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "doc_id").join(heads.select("doc_id", "text_key"), "doc_id")
+    close = written(beside(pairs, heads, "sketch").select("a", "b", "x", "y").mapInPandas(near, "a long, b long"), "close-pairs")
+    needed = close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "node").join(heads.select("node", "doc_id", "text_key"), "node")
     some = maybe_among(docs.where("doc_id is not null and text is not null").select("doc_id", "text"), needed).withColumn("text_key", F.md5("text"))
-    texts = written(some.join(needed, ["doc_id", "text_key"]).dropDuplicates(["doc_id", "text_key"]).select("doc_id", "text"), "pair-texts")
+    texts = written(some.join(needed, ["doc_id", "text_key"]).dropDuplicates(["node"]).select("node", "text"), "pair-texts")
     return written(beside(close, texts, "text").select("a", "b", "x", "y").mapInPandas(exact, "a long, b long"), "links")
 
 
 def components(links: DataFrame) -> DataFrame:
-    """(doc_id, class) of linked ids, class the smallest id: large-star and small-star rounds until nothing moves."""
+    """(node, class) of linked nodes, class the smallest node: large-star and small-star rounds until nothing moves."""
 
     def stars(edges: DataFrame, small: bool) -> DataFrame:
         both = edges if small else edges.union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
@@ -283,30 +300,49 @@ def components(links: DataFrame) -> DataFrame:
         before, now = now, state(edges)
         if now == before:
             break
-    return edges.groupBy("b").agg(F.min("a").alias("class")).withColumnRenamed("b", "doc_id")
+    return edges.groupBy("b").agg(F.min("a").alias("class")).withColumnRenamed("b", "node")
+
 
+def text_classes(docs: DataFrame, threshold: float = THRESHOLD, size: int = SIZE, rows: int = ROWS, words: int = WORDS, counts: bool = False, pivots: int = PIVOTS) -> tuple[DataFrame, DataFrame]:
+    """The signed rows, and (text_key, n, class_id, first_key) of the texts that share a class with another row.
 
-def near_duplicate_classes(docs: DataFrame, threshold: float = THRESHOLD, size: int = SIZE, rows: int = ROWS, words: int = WORDS, counts: bool = False, pivots: int = PIVOTS) -> DataFrame:
-    """A row per document: doc_id, class_id (the smallest doc_id of its class)."""
+    class_id is the least doc_id of the class, first_key the least text_key of that document in it.
+    """
     signed = signatures(docs, size, rows, words, counts)
-    firsts = written(signed.groupBy("text_key").agg(F.min("doc_id").alias("head")), "heads")
-    heads = signed.join(firsts.select(F.col("head").alias("doc_id"), "text_key"), ["doc_id", "text_key"]).dropDuplicates(["doc_id", "text_key"])
-    # one id may carry two different texts: such heads share it and are one class by definition
-    heads = written(heads.dropDuplicates(["doc_id"]), "head-signatures")
+    nodes = distinct_texts(signed)
+    own = nodes.select(F.col("head").alias("doc_id"), "text_key", "node")
+    heads = written(signed.join(own, ["doc_id", "text_key"]).dropDuplicates(["node"]), "head-signatures")
     shared = shared_bands(heads)
     links = verified(candidate_pairs(shared, pivots), heads, docs, threshold, words, counts)
-    across = pairs_across(shared, heads, written(components(links), "parts"), pivots, threshold - 0.2)
-    links = links.union(verified(across, heads, docs, threshold, words, counts))
-    same = signed.select("doc_id", "text_key").join(firsts, "text_key").where("doc_id <> head").select(F.col("head").alias("a"), F.col("doc_id").alias("b"))
-    classes = components(links)
-    own = same.groupBy("b").agg(F.min("a").alias("a")).select(F.col("b").alias("doc_id"), F.col("a").alias("head"))
-    ids = docs.select("doc_id")
-    with_head = ids.join(own, "doc_id", "left").withColumn("head", F.coalesce("head", "doc_id"))
-    return with_head.join(classes.withColumnRenamed("doc_id", "head"), "head", "left").select("doc_id", F.coalesce("class", "head").alias("class_id"))
+    parts = written(components(links), "parts")
+    more = verified(pairs_across(shared, heads, parts, pivots, threshold - 0.2), heads, docs, threshold, words, counts)
+    # what is joined already is a star; the new links join stars
+    upper = parts if more.isEmpty() else components(parts.select(F.col("class").alias("a"), F.col("node").alias("b")).unionByName(more))
+    # a class's root is its own node, which no link's upper end names
+    upper = upper.unionByName(upper.select(F.col("class").alias("node"), "class").distinct())
+    linked = written(upper.join(nodes, "node"), "linked-texts")
+    least = linked.groupBy("class").agg(F.min(F.struct("head", "text_key")).alias("least")).select("class", F.col("least.head").alias("class_id"), F.col("least.text_key").alias("first_key"))
+    near = linked.join(least, "class").select("text_key", "n", "class_id", "first_key")
+    alone = nodes.where("n > 1").join(linked.select("node"), "node", "left_anti").select("text_key", "n", F.col("head").alias("class_id"), F.col("text_key").alias("first_key"))
+    return signed, written(near.unionByName(alone), "text-classes")
+
+
+def near_duplicate_classes(docs: DataFrame, **options) -> DataFrame:
+    """A row per document row: doc_id, class_id (the smallest doc_id of its class)."""
+    signed, classes = text_classes(docs, **options)
+    rows = with_facts(signed.select("doc_id", "text_key"), classes, "text_key")
+    return rows.select("doc_id", F.coalesce("class_id", "doc_id").alias("class_id"))
 
 
 def keep_one(docs: DataFrame, **options) -> DataFrame:
-    """The documents of lowest id of each class, in docs' columns; rows with a null id stay."""
-    classes = near_duplicate_classes(docs, **options)
-    gone = classes.where("class_id < doc_id").select("doc_id").distinct()
-    return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
+    """One row of each class, of the lowest doc_id, in docs' columns whatever their names; rows without a word or an id stay."""
+    signed, classes = text_classes(docs, **options)
+    rows = with_facts(signed.where("text_key is not null").select("doc_id", "text_key"), classes, "text_key").where("class_id is not null")
+    # (document, text) pairs to decide on: all rows go but those of the class's first, and of its repeats one stays
+    told = rows.groupBy("doc_id", "text_key").agg(F.first((F.col("doc_id") == F.col("class_id")) & (F.col("text_key") == F.col("first_key"))).alias("stays"), F.count("*").alias("times"))
+    row = F.struct(*docs.columns)
+    keyed = docs.select(row.alias("row"), F.col("doc_id").alias("doc_id"), F.md5("text").alias("text_key"))
+    joined = keyed.join(told.where("times > 1 or not stays"), ["doc_id", "text_key"], "left").where("stays is null or stays")
+    once, repeated = joined.where("stays is null").select("row"), joined.where("stays")
+    # json holds rows of any type, in a fixed order of columns: repeats that differ elsewhere keep the least
+    return once.unionByName(repeated.groupBy("doc_id", "text_key").agg(F.min_by("row", F.to_json("row")).alias("row")).select("row")).select("row.*")

@@ -8,6 +8,7 @@ from collections import Counter
 import numpy as np
 import public_tokenizers
 import pytest
+from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
 from bucketvote.llm import dartminhash, flac, langid, linededup, mixing, mtree, packing, repair, toxicity, warc
@@ -321,3 +322,14 @@ def test_pipeline_stages(spark, small):
         docs = stage(spark, docs, small)
         assert docs.columns == columns, name
     assert 0.5 * n < docs.count() < n
+
+
+def test_near_duplicates_of_repeated_ids(spark):
+    one, two = (" ".join(f"{c}{i}" for i in range(60)) for c in "pq")
+    rows = [(1, one, "x"), (1, two, "x"), (2, one + " end", "y"), (3, two + " end", "y"), (4, one, "x"), (4, one, "x"), (5, "alone " * 3, "z"), (5, "alone " * 3, "z"), (6, "", "e"), (6, "", "e"), (None, one, "n")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, text_key string").withColumn("stays", F.lit(1)).withColumn("row", F.lit(2))
+    got = Counter(map(tuple, dartminhash.near_duplicate_classes(df).collect()))
+    assert got == Counter([(1, 1), (1, 1), (2, 1), (3, 1), (4, 1), (4, 1), (5, 5), (5, 5), (6, 6), (6, 6), (None, None)])
+    kept = dartminhash.keep_one(df)
+    assert kept.columns == df.columns
+    assert Counter((r["doc_id"], r["text"]) for r in kept.collect()) == Counter([(1, one), (1, two), (5, "alone " * 3), (6, ""), (6, ""), (None, one)])
