@@ -8,7 +8,7 @@ their number of coordinates.
 Classes are the connected components of texts of similarity 0.8 or more (on sets of five-word shingles of lower-cased
 words; a text of fewer words is one shingle). Equal texts are joined by hash first; texts that share a band are paired
 with the bucket's most popular members, and each such pair is verified exactly on the whole texts. Buckets that still
-hold several classes then compare the signatures of all members of different classes, in blocks, and verify the close ones.
+hold several classes then compare all close members of different classes exactly, in blocks.
 
 Similarity is of sets: weights other than 1 (`counts`) change signatures and verification alike, for callers who want
 similarity of multisets. Nodes of the search are distinct texts, not ids.
@@ -30,8 +30,8 @@ from .common import NO_ID, id_in, id_out, with_facts, written
 SIZE, ROWS, WORDS, THRESHOLD = 128, 4, 5, 0.8
 #: Members of a bucket that all its members are compared with.
 PIVOTS = 4
-#: Members of a bucket in a block; a task compares two blocks at a time.
-BLOCK = 512
+#: Members of a bucket in a block, and shingles of their texts; a task compares two blocks at a time.
+BLOCK, BLOCK_SHINGLES = 512, 1 << 21
 _GOLD, _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _FIRST, _STEP = 2.0**-6, 4.0
 
@@ -145,15 +145,19 @@ def weighted(text: str | None, words: int = WORDS, counts: bool = False) -> tupl
     return elements, n.astype(np.float64) if counts else np.ones(len(n))
 
 
-def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
+def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray], least: float = 0.0) -> float:
+    """Similarity of two weighted sets; 0 if their sums alone show that it is below `least`."""
+    x, y = float(a[1].sum()), float(b[1].sum())
+    if min(x, y) < least * max(x, y):
+        return 0.0
     _, i, j = np.intersect1d(a[0], b[0], assume_unique=True, return_indices=True)
     low = np.minimum(a[1][i], b[1][j]).sum()
-    total = a[1].sum() + b[1].sum() - low
+    total = x + y - low
     return float(low / total) if total else 0.0
 
 
 def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int = WORDS, counts: bool = False) -> DataFrame:
-    """A written table (doc_id, text_key, bands, sketch), a row per document row; rows without a word or an id have no band."""
+    """A written table (doc_id, text_key, bands, sketch, size), a row per document row; rows without a word or an id have no band."""
 
     def task(frames):
         import pandas as pd
@@ -164,13 +168,13 @@ def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int =
                 elements, weights = weighted(text, words, counts)
                 if len(elements) and doc_id != NO_ID:
                     s = darts(elements, weights, size)
-                    out.append((doc_id, key, bands(s, rows), (s >> np.uint64(40)).astype(np.uint16).tobytes()))
+                    out.append((doc_id, key, bands(s, rows), (s >> np.uint64(40)).astype(np.uint16).tobytes(), len(elements)))
                 else:
-                    out.append((doc_id, None, [], b""))
-            yield pd.DataFrame(out, columns=["doc_id", "text_key", "bands", "sketch"])
+                    out.append((doc_id, None, [], b"", 0))
+            yield pd.DataFrame(out, columns=["doc_id", "text_key", "bands", "sketch", "size"])
 
     found = docs.select(id_in("doc_id"), "text", F.md5("text").alias("text_key"))
-    return id_out(written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary"), "signatures"), "doc_id")
+    return id_out(written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary, size long"), "signatures"), "doc_id")
 
 
 def distinct_texts(signed: DataFrame) -> DataFrame:
@@ -186,9 +190,10 @@ def distinct_texts(signed: DataFrame) -> DataFrame:
 
 
 def shared_bands(heads: DataFrame) -> DataFrame:
-    """A written table (key, node, n) of the members of buckets of n > 1."""
-    rows = heads.select("node", F.explode("bands").alias("key"))
-    return written(rows.join(rows.groupBy("key").agg(F.count("*").alias("n")).where("n > 1"), "key"), "buckets")
+    """A written table (key, band, node, n, mass) of the members of buckets of n > 1; mass counts the shingles of all members."""
+    rows = heads.select("node", "size", F.posexplode("bands").alias("band", "key"))
+    sums = rows.groupBy("key").agg(F.count("*").alias("n"), F.sum("size").alias("mass")).where("n > 1")
+    return written(rows.drop("size").join(sums, "key"), "buckets")
 
 
 def candidate_pairs(shared: DataFrame, pivots: int = PIVOTS) -> DataFrame:
@@ -204,32 +209,76 @@ def candidate_pairs(shared: DataFrame, pivots: int = PIVOTS) -> DataFrame:
     return both.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def pairs_across(shared: DataFrame, heads: DataFrame, classes: DataFrame, pivots: int = PIVOTS, least: float = THRESHOLD - 0.2, block: int = BLOCK) -> DataFrame:
-    """Pairs (a, b) of members of one bucket and different classes whose signatures agree in a share of `least`.
+def close_across(sketch: np.ndarray, kinds: np.ndarray, x: int, right: np.ndarray, band: int, least: float, rows: int) -> np.ndarray:
+    """Members of `right` of another class than x whose signatures agree in a share of `least` and share no band before this one."""
+    other = right[kinds[right] != kinds[x]]
+    if not len(other):
+        return other
+    same = sketch[other] == sketch[x]
+    near = same.mean(axis=1) >= least
+    other, same = other[near], same[near]
+    return other[same.reshape(len(other), -1, rows).all(axis=2).argmax(axis=1) == band] if len(other) else other
+
+
+def links_across(shared: DataFrame, heads: DataFrame, docs: DataFrame, classes: DataFrame, threshold: float, words: int, counts: bool, pivots: int = PIVOTS, rows: int = ROWS, slack: float = 0.2, block: int = BLOCK) -> DataFrame:
+    """Links (a, b) of members of one bucket and different classes, enough of them to join all classes that hang together there.
 
     In a bucket of pivots + 1 members every pair has a pivot. Larger ones that hold several classes are cut into blocks by
-    a hash of the node, and every two blocks meet in a group of their own: no group grows with the bucket.
+    a hash of the node, and every two blocks meet in a group of their own: no group grows with the bucket. A group first
+    finds by signatures the members with a close one of another class, in the first band that the two share; only those
+    members' texts are sent to the group, which compares all their close pairs exactly and returns a link for each two
+    classes that it joins. Pairs are made inside a task and never become rows.
     """
     part = shared.where(F.col("n") > pivots + 1).join(classes, "node", "left").withColumn("class", F.coalesce("class", "node"))
     split = part.groupBy("key").agg(F.min("class").alias("lo"), F.max("class").alias("hi")).where("lo <> hi").select("key")
-    blocks = F.ceil(F.col("n") / block)
+    blocks = F.ceil(F.greatest(F.col("n") / block, F.col("mass") / BLOCK_SHINGLES))
     placed = part.join(split, "key").withColumn("i", F.pmod(F.xxhash64(F.lit(17), "node"), blocks)).withColumn("j", F.explode(F.sequence(F.lit(0).cast("long"), blocks - 1)))
-    sides = placed.select("key", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "i", "node", "class").join(heads.select("node", "sketch"), "node")
+    sides = placed.select("key", F.least("i", "j").alias("u"), F.greatest("i", "j").alias("v"), "band", "i", "node", "class").join(heads.select("node", "sketch"), "node")
+
+    def pairs_of(frame):
+        kinds, place, band, u = frame["class"].to_numpy(), frame["i"].to_numpy(), int(frame["band"].iloc[0]), frame["u"].iloc[0]
+        sketch = np.stack([np.frombuffer(x, np.uint16) for x in frame["sketch"]])
+        left, right = np.flatnonzero(place == u), np.flatnonzero(place == frame["v"].iloc[0])
+        for x in left:
+            yield x, close_across(sketch, kinds, x, right, band, threshold - slack, rows)
+
+    def active(frame):
+        took = np.zeros(len(frame), bool)
+        for x, other in pairs_of(frame):
+            took[other] = True
+            took[x] |= len(other) > 0
+        return frame[took]
 
-    def close(frame):
+    def join(frame):
         import pandas as pd
 
-        ids, kinds, place = (frame[c].to_numpy() for c in ("node", "class", "i"))
-        sketch = np.stack([np.frombuffer(x, np.uint16) for x in frame["sketch"]])
-        left, right = np.flatnonzero(place == frame["u"].iloc[0]), np.flatnonzero(place == frame["v"].iloc[0])
+        frame = frame.sort_values("node", kind="stable").reset_index(drop=True)
+        ids, kinds, texts = frame["node"].tolist(), frame["class"].tolist(), frame["text"].tolist()
+        root = {k: k for k in kinds}
+        sets: dict[int, tuple] = {}
+
+        def find(k):
+            while root[k] != k:
+                root[k] = k = root[root[k]]
+            return k
+
+        def elements(i):
+            if i not in sets:
+                sets[i] = weighted(texts[i], words, counts)
+            return sets[i]
+
         out = []
-        for x in left:
-            other = right[kinds[right] != kinds[x]]
-            other = other[(sketch[other] == sketch[x]).mean(axis=1) >= least] if len(other) else other
-            out += [(min(ids[x], y), max(ids[x], y)) for y in ids[other]]
-        return pd.DataFrame(sorted(set(out)), columns=["a", "b"], dtype="int64")
+        for x, other in pairs_of(frame):
+            for y in other.tolist():
+                p, q = find(kinds[x]), find(kinds[y])
+                if p != q and weighted_jaccard(elements(x), elements(y), threshold) >= threshold:
+                    root[max(p, q)] = min(p, q)
+                    out.append((min(ids[x], ids[y]), max(ids[x], ids[y])))
+        return pd.DataFrame(out, columns=["a", "b"], dtype="int64")
 
-    return sides.groupBy("key", "u", "v").applyInPandas(close, "a long, b long").distinct()
+    some = written(sides.groupBy("key", "u", "v").applyInPandas(active, sides.schema), "active-members")
+    texts = texts_of(some.select("node").distinct(), heads, docs)
+    return written(some.join(texts, "node").groupBy("key", "u", "v").applyInPandas(join, "a long, b long").distinct(), "links-across")
 
 
 def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFrame:
@@ -246,6 +295,13 @@ def maybe_among(docs: DataFrame, ids: DataFrame, bits: int = 1 << 24) -> DataFra
     return docs.withColumn("_h", slot("doc_id")).join(F.broadcast(words), hit, "left_semi").drop("_h")
 
 
+def texts_of(nodes: DataFrame, heads: DataFrame, docs: DataFrame) -> DataFrame:
+    """A written table (node, text)."""
+    needed = nodes.join(heads.select("node", "doc_id", "text_key"), "node")
+    some = maybe_among(docs.where("doc_id is not null and text is not null").select("doc_id", "text"), needed).withColumn("text_key", F.md5("text"))
+    return written(some.join(needed, ["doc_id", "text_key"]).dropDuplicates(["node"]).select("node", "text"), "pair-texts")
+
+
 def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: float, words: int = WORDS, counts: bool = False, slack: float = 0.2) -> DataFrame:
     """Pairs whose similarity on the whole texts reaches the threshold; those whose signatures differ far too much are not read."""
 
@@ -269,9 +325,7 @@ def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: flo
         return one.join(values.select(F.col("node").alias("a"), F.col(value).alias("x")), "a")
 
     close = written(beside(pairs, heads, "sketch").select("a", "b", "x", "y").mapInPandas(near, "a long, b long"), "close-pairs")
-    needed = close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "node").join(heads.select("node", "doc_id", "text_key"), "node")
-    some = maybe_among(docs.where("doc_id is not null and text is not null").select("doc_id", "text"), needed).withColumn("text_key", F.md5("text"))
-    texts = written(some.join(needed, ["doc_id", "text_key"]).dropDuplicates(["node"]).select("node", "text"), "pair-texts")
+    texts = texts_of(close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "node"), heads, docs)
     return written(beside(close, texts, "text").select("a", "b", "x", "y").mapInPandas(exact, "a long, b long"), "links")
 
 
@@ -315,7 +369,7 @@ def text_classes(docs: DataFrame, threshold: float = THRESHOLD, size: int = SIZE
     shared = shared_bands(heads)
     links = verified(candidate_pairs(shared, pivots), heads, docs, threshold, words, counts)
     parts = written(components(links), "parts")
-    more = verified(pairs_across(shared, heads, parts, pivots, threshold - 0.2), heads, docs, threshold, words, counts)
+    more = links_across(shared, heads, docs, parts, threshold, words, counts, pivots, rows)
     # what is joined already is a star; the new links join stars
     upper = parts if more.isEmpty() else components(parts.select(F.col("class").alias("a"), F.col("node").alias("b")).unionByName(more))
     # a class's root is its own node, which no link's upper end names
