@@ -101,7 +101,7 @@ def bounded_sample(df: DataFrame, key: Column, bound: int, seed: int) -> DataFra
 HOT_KEYS = 4096
 
 
-def with_facts(rows: DataFrame, facts: DataFrame, key: str, count: str = "n", least: int = 10_000) -> DataFrame:
+def with_facts(rows: DataFrame, facts: DataFrame, *key: str, count: str = "n", least: int = 10_000) -> DataFrame:
     """rows left-joined with facts (one row a key, `count` rows of it). Hot keys are not dealt to one task each.
 
     Keys with a HOT_KEYS-th of all counted rows are HOT_KEYS at most, whatever the data: they are broadcast, and only
@@ -110,6 +110,7 @@ def with_facts(rows: DataFrame, facts: DataFrame, key: str, count: str = "n", le
     total = facts.agg(F.sum(count)).first()[0] or 0
     many = F.col(count) >= max(least, -(-int(total) // HOT_KEYS))
     common, rare = F.broadcast(facts.where(many)), facts.where(~many)
+    keys = list(key)
     if total < least:
-        return rows.join(rare, key, "left")
-    return rows.join(common, key).unionByName(rows.join(common.select(key), key, "left_anti").join(rare, key, "left"))
+        return rows.join(rare, keys, "left")
+    return rows.join(common, keys).unionByName(rows.join(common.select(*keys), keys, "left_anti").join(rare, keys, "left"))

@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, WHITE, id_out, written
+from .common import NO_ID, WHITE, id_out, with_facts, written
 
 LEAST_CHARS, LEAST_DOCS = 40, 5
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -39,7 +39,8 @@ def keyed_lines(docs: DataFrame, least_chars: int = LEAST_CHARS) -> DataFrame:
 
 def dropped_lines(lines: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
     """(doc, row_key, pos) of the lines to drop."""
-    ordered = lines.repartitionByRange("hi", "lo", F.desc("doc")).sortWithinPartitions("hi", "lo", F.desc("doc"), "pos")
+    # hashes are stored first: the bounds of the ranges are sampled from them, not from texts read and hashed once more
+    ordered = written(lines, "line-hashes").repartitionByRange("hi", "lo", F.desc("doc")).sortWithinPartitions("hi", "lo", F.desc("doc"), "pos")
     kinds = "kind int, hi long, lo long, doc long, row_key long, pos int, docs long"
 
     def decide(block: np.ndarray, docs: int):
@@ -114,73 +115,78 @@ def dropped_lines(lines: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
             yield pd.concat(close(held, True))
 
     found = written(ordered.mapInPandas(task, kinds), "line-runs")
-    # at most two rows a partition: small enough to broadcast at any size
-    edges = found.where("kind = 2").groupBy("hi", "lo").agg(F.max("doc").alias("top"), F.sum("docs").alias("docs")).where(F.col("docs") >= least_docs)
-    waiting = found.where("kind = 1").join(F.broadcast(edges.drop("docs")), ["hi", "lo"]).where("doc <> top").select("doc", "row_key", "pos")
+    edges = found.where("kind = 2").groupBy("hi", "lo").agg(F.max("doc").alias("top"), F.sum("docs").alias("n")).where(F.col("n") >= least_docs)
+    waiting = with_facts(found.where("kind = 1").select("hi", "lo", "doc", "row_key", "pos"), edges, "hi", "lo").where("doc <> top").select("doc", "row_key", "pos")
     return found.where("kind = 0").select("doc", "row_key", "pos").unionByName(waiting)
 
 
-def drop_bitmaps(dropped: DataFrame) -> DataFrame:
-    """(doc, row_key, dropped): positions of dropped lines of a text; a text's own lines bound each list."""
-    return dropped.groupBy("doc", "row_key").agg(F.collect_set("pos").alias("gone"))
+def line_mask(gone) -> bytes:
+    """Compressed bitmap of the lines to drop, a bit a line up to the last of them: later lines stay."""
+    at = np.asarray(gone, np.int64)
+    mask = np.zeros(int(at.max()) + 1 if len(at) else 0, bool)
+    mask[at] = True
+    return zlib.compress(np.packbits(mask).tobytes(), 1)
 
 
-def keep_bitmap(lines: int, gone) -> bytes:
-    keep = np.ones(lines, bool)
-    keep[np.asarray(gone, np.int64)] = False
-    return zlib.compress(np.packbits(keep).tobytes())
-
-
-def kept_lines(text: str, bitmap: bytes) -> str:
+def kept_lines(text: str, mask: bytes) -> str:
+    drop = np.unpackbits(np.frombuffer(zlib.decompress(mask), np.uint8)).tolist()
     lines = text.split("\n")
-    keep = np.unpackbits(np.frombuffer(zlib.decompress(bitmap), np.uint8))
-    return "\n".join(line for line, k in zip(lines, keep, strict=False) if k)
+    return "\n".join([line for line, d in zip(lines, drop, strict=False) if not d] + lines[len(drop) :])
 
 
 def bitmaps(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """A row per document row: doc_id, row_key, n_lines, n_dropped, keep (compressed bitmap). No text is shuffled."""
-    gone = drop_bitmaps(dropped_lines(keyed_lines(docs, least_chars), least_docs))
-    ids = docs.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("doc"), F.xxhash64("text").alias("row_key"), F.coalesce(F.length("text") - F.length(F.replace("text", F.lit("\n"), F.lit(""))) + 1, F.lit(1)).cast("long").alias("n_lines"))
-    joined = ids.join(gone, ["doc", "row_key"], "left").select(F.col("doc").alias("doc_id"), "row_key", "n_lines", F.coalesce("gone", F.array().cast("array<int>")).alias("gone"))
+    """A written table (doc, row_key, n_dropped, mask) of the texts that lose lines: no text is shuffled or returned.
+
+    doc is doc_id, or NO_ID for null; row_key is xxhash64 of the text, so that rows that share an id have masks of their own.
+    """
+    gone = dropped_lines(keyed_lines(docs, least_chars), least_docs).groupBy("doc", "row_key").agg(F.collect_set("pos").alias("gone"))
 
     def task(frames):
         for f in frames:
             f["n_dropped"] = [len(g) for g in f["gone"]]
-            f["keep"] = [keep_bitmap(n, g) for n, g in zip(f["n_lines"], f["gone"], strict=True)]
+            f["mask"] = [line_mask(g) for g in f["gone"]]
             yield f.drop(columns="gone")
 
-    return id_out(joined.mapInPandas(task, "doc_id long, row_key long, n_lines long, n_dropped long, keep binary"), "doc_id")
+    return written(gone.mapInPandas(task, "doc long, row_key long, n_dropped long, mask binary"), "line-masks")
+
+
+def _masked(docs: DataFrame, found: DataFrame) -> DataFrame:
+    """(row, doc, text, n_dropped, mask): each row of docs as a struct, whatever its columns' names, beside its mask or null."""
+    row = F.struct(*docs.columns)
+    rows = docs.select(row.alias("row"), F.coalesce("doc_id", F.lit(NO_ID)).alias("doc"), F.xxhash64("text").alias("row_key"))
+    return rows.join(found, ["doc", "row_key"], "left")
 
 
 def apply(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """docs with the dropped lines gone from text; a null text without drops stays null. n_chars follows where there is one."""
-    gone = drop_bitmaps(dropped_lines(keyed_lines(docs, least_chars), least_docs)).withColumnsRenamed({"doc": "_doc", "row_key": "_row_key", "gone": "_gone"})
-    cols = docs.columns
-    keyed = docs.withColumns({"_d": F.coalesce("doc_id", F.lit(NO_ID)), "_k": F.xxhash64("text")})
-    joined = keyed.join(gone, (F.col("_d") == F.col("_doc")) & (F.col("_k") == F.col("_row_key")), "left")
-    lines = F.split("text", "\n")
-    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains("_gone", i)), "\n")
-    out = joined.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept))
-    if "n_chars" in cols:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast("long")))
-    return out.select(*cols)
+    """docs with the dropped lines gone from text, in docs' columns whatever their names; texts that lose none, null ones too, stay as they are. n_chars follows where there is one."""
+
+    @F.pandas_udf("string")
+    def kept(text, mask):
+        import pandas as pd
+
+        return pd.Series([t if m is None else kept_lines(t, m) for t, m in zip(text, mask, strict=True)], dtype=object)
+
+    joined = _masked(docs, bitmaps(docs, least_chars, least_docs)).withColumn("kept", kept(F.col("row.text"), F.col("mask")))
+    columns = {c: F.col("row").getField(c) for c in docs.columns}
+    columns["text"] = F.col("kept")
+    if "n_chars" in columns:
+        columns["n_chars"] = F.when(F.col("mask").isNull(), columns["n_chars"]).otherwise(F.length("kept").cast(docs.schema["n_chars"].dataType))
+    return joined.select(*[c.alias(name) for name, c in columns.items()])
 
 
 def digests(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int = LEAST_DOCS) -> DataFrame:
-    """Per document row: doc_id, n_lines, n_dropped, kept_sha256 of the kept lines, read through the bitmaps."""
-    gone = drop_bitmaps(dropped_lines(keyed_lines(docs, least_chars), least_docs))
-    texts = docs.select(F.coalesce("doc_id", F.lit(NO_ID)).alias("doc"), F.coalesce("text", F.lit("")).alias("text"), F.xxhash64("text").alias("row_key"))
-    joined = texts.join(gone, ["doc", "row_key"], "left").select(F.col("doc").alias("doc_id"), "text", F.coalesce("gone", F.array().cast("array<int>")).alias("gone"))
+    """Per document row: doc_id, n_lines, n_dropped, kept_sha256 of the kept lines, by the stored bitmaps."""
+    slim = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
+    joined = _masked(slim, bitmaps(slim, least_chars, least_docs)).select(F.col("doc").alias("doc_id"), F.col("row.text").alias("text"), F.coalesce("n_dropped", F.lit(0)).alias("n_dropped"), "mask")
 
     def task(frames):
         import pandas as pd
 
         for f in frames:
             rows = []
-            for doc_id, text, g in zip(f["doc_id"], f["text"], f["gone"], strict=True):
-                n = text.count("\n") + 1
-                kept = kept_lines(text, keep_bitmap(n, g)) if len(g) else text
-                rows.append((doc_id, n, len(g), hashlib.sha256(kept.encode()).hexdigest()))
+            for doc_id, text, dropped, mask in zip(f["doc_id"], f["text"], f["n_dropped"], f["mask"], strict=True):
+                kept = text if mask is None else kept_lines(text, mask)
+                rows.append((doc_id, text.count("\n") + 1, dropped, hashlib.sha256(kept.encode()).hexdigest()))
             yield pd.DataFrame(rows, columns=["doc_id", "n_lines", "n_dropped", "kept_sha256"])
 
     return id_out(joined.mapInPandas(task, "doc_id long, n_lines long, n_dropped long, kept_sha256 string"), "doc_id")
