@@ -18,7 +18,7 @@ import uuid
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, file_system, id_in, id_out, new_file, run_folder, written
+from .common import NO_ID, file_system, id_in, id_out, new_file, run_folder, with_facts, written
 
 LEAST = 1000
 FRAME, BUNDLE = 256 << 10, 64 << 20
@@ -126,11 +126,16 @@ class BundleReader:
 
 
 def plan(pages: DataFrame, least: int = LEAST) -> DataFrame:
-    """(page_id, url, payload, digest, refers_to) per row; only ids meet to find equal payloads, then each row learns its response."""
+    """(page_id, url, payload, digest, refers_to) per row.
+
+    Responses are chosen on (page_id, digest) alone; the choice then meets the payloads by both, so equal payloads do not
+    gather in one task.
+    """
     rows = pages.select(id_in("page_id"), "url", F.coalesce("html", F.lit("")).cast("binary").alias("payload")).withColumn("digest", F.sha1("payload"))
-    long_ = rows.where(F.length("payload") >= least).groupBy("digest").agg(F.max("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select(F.col("digest").alias("d"), "first")
-    joined = rows.join(long_, F.col("digest") == F.col("d"), "left")
-    return joined.select("page_id", "url", "payload", "digest", F.when(F.col("first") > F.col("page_id"), F.col("first")).alias("refers_to"))
+    ids = written(rows.where(F.length("payload") >= least).select("page_id", "digest"), "digests")
+    long_ = written(ids.groupBy("digest").agg(F.max("page_id").alias("refers_to"), F.count("*").alias("n")).where("n > 1"), "equal-payloads")
+    revisits = with_facts(ids, long_, "digest").where("refers_to > page_id").select("page_id", "digest", "refers_to").distinct()
+    return rows.join(revisits, ["page_id", "digest"], "left").select("page_id", "url", "payload", "digest", "refers_to")
 
 
 def write(planned: DataFrame, folder: str) -> DataFrame:
