@@ -155,13 +155,13 @@ def mix(docs: DataFrame, most: float = MOST, seed: int = 23) -> DataFrame:
 
 
 def apply(docs: DataFrame, **options) -> DataFrame:
-    """docs as the mix takes them: each row as many times as it is taken, in docs' columns."""
-    taken = mix(docs, **options).select(F.col("doc_id").alias("_id"), F.col("text_key").alias("_key"), "times")
+    """docs as the mix takes them: each row as many times as it is taken, in docs' columns whatever their names."""
+    taken = mix(docs, **options).select(F.col("doc_id").alias("id"), "text_key", "times")
     # rows of one id and text are alike: their times are summed and dealt out evenly
-    times = taken.groupBy("_id", "_key").agg(F.sum("times").alias("_times"), F.count("*").alias("_rows"))
-    keyed = docs.withColumn("_text_key", F.xxhash64("text"))
-    joined = keyed.join(times, F.col("doc_id").eqNullSafe(F.col("_id")) & (F.col("_text_key") == F.col("_key")))
-    turn = F.row_number().over(Window.partitionBy("_id", "_key").orderBy("_times"))
-    each = F.floor(F.col("_times") / F.col("_rows")) + F.when(turn <= F.col("_times") % F.col("_rows"), 1).otherwise(0)
-    dealt = joined.withColumn("_each", each.cast("int")).where("_each > 0")
-    return dealt.withColumn("_copy", F.explode(F.sequence(F.lit(1), F.col("_each")))).select(*docs.columns)
+    times = taken.groupBy("id", "text_key").agg(F.sum("times").alias("times"), F.count("*").alias("alike"))
+    keyed = docs.select(F.struct(*docs.columns).alias("row"), F.col("doc_id").alias("own"), F.xxhash64("text").alias("own_key"))
+    joined = keyed.join(times.where("times > 0"), F.col("own").eqNullSafe(F.col("id")) & (F.col("own_key") == F.col("text_key")))
+    turn = F.row_number().over(Window.partitionBy("id", "text_key").orderBy("times"))
+    each = F.floor(F.col("times") / F.col("alike")) + F.when(turn <= F.col("times") % F.col("alike"), 1).otherwise(0)
+    dealt = joined.withColumn("each", each.cast("int")).where("each > 0")
+    return dealt.withColumn("copy", F.explode(F.sequence(F.lit(1), F.col("each")))).select("row.*")
