@@ -83,18 +83,20 @@ class LanguageModel:
         return self.classes[best], float(p[best])
 
 
-def fit(texts: list[str], langs: list[str], epochs: int = 12, rate: float = 0.5, seed: int = 5) -> LanguageModel:
+def bag(text: str) -> tuple[np.ndarray, np.ndarray]:
+    """A text's subwords and their shares: 65,536 at most, however long the text."""
+    keys = np.concatenate([*subwords(text_bytes(text)), np.zeros(0, np.uint32)]).astype(np.int64)
+    ids, n = np.unique(keys, return_counts=True)
+    return ids, (n / max(1, n.sum())).astype(np.float32)
+
+
+def fit(bags: list[tuple[np.ndarray, np.ndarray]], langs: list[str], epochs: int = 12, rate: float = 0.5, seed: int = 5) -> LanguageModel:
     classes = sorted(set(langs))
     if not classes:
         return LanguageModel([], np.zeros((BUCKETS, 0), np.float32), np.zeros(0), 1.0, 0.0)
     rng = np.random.default_rng(seed)
     y = np.array([classes.index(x) for x in langs])
-    bags = []
-    for t in texts:
-        keys = np.concatenate([*subwords(text_bytes(t)), np.zeros(0, np.uint32)]).astype(np.int64)
-        ids, n = np.unique(keys, return_counts=True)
-        bags.append((ids, (n / max(1, n.sum())).astype(np.float32)))
-    order = rng.permutation(len(texts))
+    order = rng.permutation(len(bags))
     cut = max(1, int(len(order) * CALIBRATION)) if len(order) > 10 else 0
     check, train = order[:cut], order[cut:]
     emb = rng.normal(0, 0.1, (BUCKETS, DIMENSIONS)).astype(np.float32)
@@ -137,9 +139,18 @@ def fit(texts: list[str], langs: list[str], epochs: int = 12, rate: float = 0.5,
 def train(docs: DataFrame, bound: int = SAMPLE) -> LanguageModel:
     """Learns from text and lang of rows that are not held out; the sample is the same in every run."""
     known = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id"))).select("doc_id", "text", "lang")
-    rows = bounded_sample(known, F.col("doc_id"), bound, 17).collect()
-    rows = sorted((r for r in rows if has_letter(r["text"])), key=lambda r: (r["doc_id"] is None, r["doc_id"] or 0, r["text"], r["lang"]))
-    return fit([r["text"] for r in rows], [r["lang"] for r in rows])
+
+    def task(frames):
+        import pandas as pd
+
+        for f in frames:
+            found = [bag(t) if has_letter(t) else None for t in f["text"]]
+            yield pd.DataFrame([(d, lang, b[0].astype("<i4").tobytes(), b[1].tobytes()) for d, lang, b in zip(f["doc_id"], f["lang"], found, strict=True) if b], columns=["doc_id", "lang", "ids", "shares"])
+
+    # bags, not texts, come to the driver: each is bounded, and so is their number
+    rows = bounded_sample(known, F.col("doc_id"), bound, 17).select(id_in("doc_id"), "text", "lang").mapInPandas(task, "doc_id long, lang string, ids binary, shares binary").collect()
+    rows = sorted(rows, key=lambda r: (r["doc_id"], bytes(r["ids"]), bytes(r["shares"]), r["lang"]))
+    return fit([(np.frombuffer(r["ids"], "<i4").astype(np.int64), np.frombuffer(r["shares"], np.float32)) for r in rows], [r["lang"] for r in rows])
 
 
 def predict(docs: DataFrame, model: LanguageModel, keep: list[str] | None = None) -> DataFrame:
