@@ -82,6 +82,27 @@ def test_grammar_round_trip_and_random_access():
             assert (shard.slice(i, a, b) == whole[a:b]).all()
 
 
+def test_grammar_goes_to_its_end():
+    rng = np.random.default_rng(3)
+    sizes = rng.integers(1, 300, 400)
+    ids = (rng.zipf(1.3, int(sizes.sum())) % 3000).astype(np.uint32)
+    rules, symbols, spans = repair.grammar(ids, sizes, 3000, per_round=64)
+    times, at = Counter(), 0
+    for span in spans:
+        own, i = symbols[at : at + span].tolist(), 0
+        taken = {}
+        for i, pair in enumerate(zip(own, own[1:], strict=False)):
+            if taken.get(pair, -2) < i - 1:  # occurrences that overlap count once
+                times[pair], taken[pair] = times[pair] + 1, i
+        at += span
+    assert len(rules) > 100 and max(times.values()) < repair.LEAST
+    for top in (200, 65_536, 65_537, 300_000):
+        v = rng.integers(0, top, 1001).astype(np.uint32)
+        data = repair.to_planes(v, top) + b"rest"
+        back, size = repair.from_planes(memoryview(data), 1001, top)
+        assert (back == v).all() and size == len(data) - 4
+
+
 def exact_bins(items, capacity):
     """Least bins of a few items by search."""
     best = [len(items)]
@@ -316,20 +337,64 @@ def test_warc(spark):
 def test_pipeline_stages(spark, small):
     import corpus_pipeline as p
 
-    docs = spark.read.parquet(f"{small}/documents.parquet")
+    docs = spark.read.parquet(f"{small}/documents.parquet").drop("n_chars")
+    clashing = ["row", "doc", "id", "times", "text_key", "n_dropped", "mask", "_k", "kept", "own", "each", "copy", "stays", "n_chars", "rank", "length", "piece"]
+    docs = docs.withColumns({c: F.col("doc_id") for c in clashing})
+    odd = docs.limit(3).withColumns({"text": F.when(F.col("doc_id") % 2 == 0, F.lit("")), "lang": F.lit(None).cast("string"), "source": F.lit(None).cast("string")})
+    docs = docs.unionByName(odd).unionByName(odd.withColumn("doc_id", F.lit(None).cast("long"))).unionByName(docs.where("doc_id < 4"))
     columns, n = docs.columns, docs.count()
-    for name, stage in p.STAGES[:3]:
-        docs = stage(spark, docs, small)
-        assert docs.columns == columns, name
-    assert 0.5 * n < docs.count() < n
-
-
-def test_near_duplicates_of_repeated_ids(spark):
-    one, two = (" ".join(f"{c}{i}" for i in range(60)) for c in "pq")
-    rows = [(1, one, "x"), (1, two, "x"), (2, one + " end", "y"), (3, two + " end", "y"), (4, one, "x"), (4, one, "x"), (5, "alone " * 3, "z"), (5, "alone " * 3, "z"), (6, "", "e"), (6, "", "e"), (None, one, "n")]
-    df = spark.createDataFrame(rows, "doc_id long, text string, text_key string").withColumn("stays", F.lit(1)).withColumn("row", F.lit(2))
-    got = Counter(map(tuple, dartminhash.near_duplicate_classes(df).collect()))
-    assert got == Counter([(1, 1), (1, 1), (2, 1), (3, 1), (4, 1), (4, 1), (5, 5), (5, 5), (6, 6), (6, 6), (None, None)])
-    kept = dartminhash.keep_one(df)
-    assert kept.columns == df.columns
-    assert Counter((r["doc_id"], r["text"]) for r in kept.collect()) == Counter([(1, one), (1, two), (5, "alone " * 3), (6, ""), (6, ""), (None, one)])
+    for name, stage in p.STAGES:
+        before = docs
+        docs = p.written(stage(spark, docs, small), f"test-{name}")
+        if name != "pack":
+            assert docs.columns == columns, name
+        nothing = stage(spark, before.where("1 = 0"), small)
+        assert nothing.count() == 0, name
+        if name == "language":
+            assert docs.where("text is null or text = ''").count() == 0  # und: rejected
+            assert 0.9 * n < docs.count() < n
+        if name == "lines":
+            want = Counter((r["doc_id"], r["kept_sha256"]) for r in linededup.digests(before).collect())
+            assert Counter((r["doc_id"], hashlib.sha256(r["text"].encode()).hexdigest()) for r in docs.collect()) == want
+        if name == "near_copies":
+            classes = {r["class_id"] for r in dartminhash.near_duplicate_classes(before).collect()}
+            assert {r["doc_id"] for r in docs.collect()} == classes and docs.where("doc_id < 4").count() == len([c for c in classes if c is not None and c < 4])
+        if name == "mix":
+            want = Counter()
+            for r in mixing.mix(before).collect():
+                want[r["doc_id"]] += r["times"]
+            assert Counter(r["doc_id"] for r in docs.collect()) == +want
+        if name == "pack":
+            total = sum(len(ids(r["text"])) // 4 for r in before.collect())
+            rows = docs.collect()
+            assert sum(r["length"] for r in rows) == total
+            used = {r["sequence_id"] for r in rows}
+            # no fewer than the tokens need, and near it
+            assert -(-total // 4096) <= len(used) <= 1.02 * -(-total // 4096) + 2
+
+
+def test_language_of_long_and_odd_texts(spark):
+    rows = [(i, w * 40, lang) for i in range(60) for w, lang in (("the cat and the dog ", "en"), ("der hund und die katze ", "de"))] + [(900, "the dog " * 200_000, None), (901, "1234 !", "en"), (902, None, "de")]
+    d = spark.createDataFrame(rows, "doc_id long, text string, lang string").withColumns({"score": F.lit("x"), "held_out": F.lit(1)})
+    got = {(r["doc_id"], r["lang_pred"]) for r in langid.predict(d, langid.train(d)).where("doc_id >= 900").collect()}
+    assert got == {(900, "en"), (901, "und"), (902, "und")}
+
+
+def test_warc_random_access_and_empty(spark, tmp_path):
+    rows = [(i, f"u{i}", f"<p>{i % 3}" + "y" * 1500) for i in range(40)] + [(7, "u7", None)]
+    df = spark.createDataFrame(rows, "page_id long, url string, html string").withColumn("digest", F.lit(1))
+    folder = warc.run_folder(spark, "test-warc")
+    index = warc.write(warc.plan(df), folder).collect()
+    assert len(index) == len(rows)
+    for r in index[::7]:
+        fs, path = warc.file_system(f"{folder}/{r['file']}")
+        with fs.open_input_file(path) as f:
+            headers, _ = warc.BundleReader(f, f.size()).record(r["frame"], r["offset"])
+        assert headers["WARC-Record-ID"] == r["record_id"]
+    assert warc.round_trip(df.where("1 = 0")).count() == 0
+
+
+def test_line_masks():
+    text = "\n".join(f"l{i}" for i in range(50))
+    assert linededup.kept_lines(text, linededup.line_mask([0, 3, 49])) == "\n".join(f"l{i}" for i in range(50) if i not in (0, 3, 49))
+    assert linededup.kept_lines("", linededup.line_mask([])) == ""
