@@ -3,7 +3,8 @@
 Vectors of whole numbers get one more coordinate that makes all of a tree's vectors equally long; then the largest inner
 products are the nearest points. Vectors are dealt into cells of bounded size by a hash, a tree a cell. A search visits
 nodes by their least possible distance, and passes over entries whose stored distance to the parent already proves them
-too far. Blocks of queries meet each tree; every (tree, query) gives at most k rows.
+too far. Trees are built once and stored with their pages, radii and parent distances. A block of queries first searches
+one tree; the k-th best score found there is the opening radius for all other trees, which give at most k better rows each.
 
 Edge cases: vectors that are null, empty or hold null or non-finite components, and rows with a null id, take no part;
 vectors meet others of their dimension only; equal scores go to the smaller id; repeated rows of an id are all its own;
@@ -27,8 +28,9 @@ _SLACK = 1e-6
 class Tree:
     """Pages in arrays: each node has entries (object, distance to the node's own object, covering radius, child or -1)."""
 
-    def __init__(self, ids: np.ndarray, vectors: np.ndarray):
-        order = np.argsort(ids, kind="stable")
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, nodes: list | None = None):
+        """Builds the tree, or takes its nodes as stored; stored ids and vectors are in order."""
+        order = np.argsort(ids, kind="stable") if nodes is None else slice(None)
         self.ids, self.vectors = ids[order], vectors[order]
         self.dots = _exact(self.vectors)
         self.square = self._own_squares()
@@ -36,11 +38,25 @@ class Tree:
         self.most_alike = int(np.unique(self.ids, return_counts=True)[1].max(initial=0))
         self.length = float(max(self.square, default=0))
         self.lift = np.sqrt(np.maximum(self.length - np.array(self.square, np.float64), 0))
-        self.nodes: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
-        self.root = self._build(np.arange(len(ids)), None) if len(ids) else -1
+        self.nodes: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = nodes or []
+        self.root = -1 if not len(ids) else 0 if nodes else self._build(np.arange(len(ids)), None)
         #: Each page's vectors lie together, so that an unpruned page is one product.
         self.pages = [self.vectors[node[0]] for node in self.nodes]
 
+    def stored(self) -> dict[str, bytes]:
+        """Ids, vectors and pages as bytes."""
+        parts = [np.concatenate([n[i] for n in self.nodes]) if self.nodes else np.zeros(0) for i in range(4)]
+        return {
+            "ids": self.ids.astype("<i8").tobytes(), "vectors": self.vectors.astype("<i8").tobytes(), "entries": np.array([len(n[0]) for n in self.nodes], "<i4").tobytes(),
+            "objects": parts[0].astype("<i4").tobytes(), "parents": parts[1].astype("<f8").tobytes(), "radii": parts[2].astype("<f8").tobytes(), "children": parts[3].astype("<i4").tobytes(),
+        }
+
+    @classmethod
+    def load(cls, dim: int, ids: bytes, vectors: bytes, entries: bytes, objects: bytes, parents: bytes, radii: bytes, children: bytes) -> "Tree":
+        cuts = np.cumsum(np.frombuffer(entries, "<i4"))[:-1]
+        parts = [np.split(np.frombuffer(data, kind), cuts) for data, kind in ((objects, "<i4"), (parents, "<f8"), (radii, "<f8"), (children, "<i4"))]
+        return cls(np.frombuffer(ids, "<i8"), _matrix(np.frombuffer(vectors, "<i8").reshape(-1, dim)), list(zip(*parts, strict=True)))
+
     def _own_squares(self) -> list:
         if self.vectors.dtype == np.float64:
             return np.einsum("ij,ij->i", self.vectors, self.vectors).tolist()
@@ -81,14 +97,22 @@ class Tree:
         self.nodes[at] = (objects, d, np.array(radii), np.array(children))
         return at
 
-    def search(self, query: np.ndarray, own: int, k: int) -> tuple[list[tuple[int, int]], int]:
-        """((score, id) of the k best, ties to the smaller id; distances computed). Entries of id `own` are passed over."""
+    def search(self, query: np.ndarray, own: int, k: int, floor: int | None = None) -> tuple[list[tuple[int, int]], int]:
+        """((score, id) of the k best, ties to the smaller id; distances computed). Entries of id `own` and scores under `floor` are passed over."""
         if self.root < 0:
             return [], 0
         q = query.astype(np.float64)
         square = float((q * q).sum())
         best: list[tuple[int, int, int]] = []
-        reach, computed = float("inf"), 0
+        computed = 0
+
+        def radius_of(score: int) -> float:
+            return max(square + self.length - 2 * score, 0) ** 0.5 * (1 + _SLACK) + _SLACK
+
+        reach = float("inf") if floor is None else radius_of(floor)
+        # no score exceeds the product of the lengths
+        if floor is not None and floor > (square * self.length) ** 0.5 * (1 + _SLACK) + _SLACK:
+            return [], 0
         queue: list[tuple[float, int, float]] = [(0.0, self.root, -1.0)]
         while queue:
             low, node, to_parent = heapq.heappop(queue)
@@ -112,6 +136,8 @@ class Tree:
                 continue
             if len(best) == k:
                 few = np.flatnonzero(score >= best[0][0])
+            elif floor is not None:
+                few = np.flatnonzero(score >= floor)
             elif len(score) > 4 * k:  # the own row may be among the best, so one more than k
                 few = np.flatnonzero(score >= np.partition(score, -k - self.most_alike)[-k - self.most_alike]) if len(score) > k + self.most_alike else np.arange(len(score))
             else:
@@ -122,7 +148,7 @@ class Tree:
                 if key != own and (len(best) < k or item > best[0]):
                     heapq.heappushpop(best, item) if len(best) == k else heapq.heappush(best, item)
             if len(best) == k:
-                reach = max(square + self.length - 2 * best[0][0], 0) ** 0.5 * (1 + _SLACK) + _SLACK
+                reach = radius_of(best[0][0])
         return [(s, -i) for s, i, _ in sorted(best, reverse=True)], computed
 
 
@@ -142,40 +168,44 @@ def whole_vectors(table: DataFrame, scale: int = 256) -> DataFrame:
 
 
 def _matrix(rows) -> np.ndarray:
-    m = np.array([list(r) for r in rows], dtype=np.int64)
+    m = rows if isinstance(rows, np.ndarray) and rows.ndim == 2 else np.array([list(r) for r in rows], dtype=np.int64)
     small = m.size == 0 or float(np.abs(m).max()) ** 2 * m.shape[1] < 2**52
     return m.astype(np.float64) if small else m
 
 
-def search(table: DataFrame, queries: DataFrame, k: int = 5, cell: int = CELL, block: int = QUERIES) -> DataFrame:
-    """(query_id, rank, vec_id, score) of the k largest inner products; table and queries are (vec_id, v).
+_PAGES = ("ids", "vectors", "entries", "objects", "parents", "radii", "children")
+#: Stands for no opening score.
+_NO_FLOOR = -(1 << 63)
 
-    Trees are built once and written; a block of queries is sent to each tree's cell, and the join streams pairs of
-    (tree, block), both of bounded size.
-    """
-    data = written(table.select("vec_id", "v", F.size("v").alias("dim")), "vectors")
-    cells = max(1, -(-data.count() // cell))
-    asked = written(queries.select("vec_id", "v", F.size("v").alias("dim")), "queries")
-    blocks = max(1, -(-asked.count() // block))
+
+def build_trees(data: DataFrame, cells: int) -> DataFrame:
+    """A written table of trees with their pages, a row a cell; data is (vec_id, v, dim)."""
 
     def build(frame):
         import pandas as pd
 
-        frame = frame.sort_values("vec_id", kind="stable")
-        m = _matrix(frame["v"])
-        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "cell": frame["cell"].iloc[:1], "ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "vectors": [m.astype(np.int64).tobytes()]})
+        tree = Tree(frame["vec_id"].to_numpy(np.int64), _matrix(frame["v"]))
+        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "cell": frame["cell"].iloc[:1], **{c: [x] for c, x in tree.stored().items()}})
+
+    dealt = data.withColumn("cell", F.pmod(F.xxhash64("vec_id", "v"), F.lit(cells)))
+    return written(dealt.groupBy("dim", "cell").applyInPandas(build, "dim int, cell long, " + ", ".join(f"{c} binary" for c in _PAGES)), "tree-pages")
+
+
+def bundled(asked: DataFrame, blocks: int) -> DataFrame:
+    """A written table of query blocks: dim, block, q_ids, q_vectors, floors; asked is (vec_id, v, dim, floor)."""
 
     def bundle(frame):
         import pandas as pd
 
-        m = _matrix(frame["v"]).astype(np.int64)
-        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "block": frame["block"].iloc[:1], "q_ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "q_vectors": [m.tobytes()]})
+        m = np.array([list(r) for r in frame["v"]], np.int64)
+        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "block": frame["block"].iloc[:1], "q_ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "q_vectors": [m.tobytes()], "floors": [frame["floor"].to_numpy(np.int64).tobytes()]})
 
-    dealt = data.withColumn("cell", F.pmod(F.xxhash64("vec_id", "v"), F.lit(cells)))
-    trees = written(dealt.groupBy("dim", "cell").applyInPandas(build, "dim int, cell long, ids binary, vectors binary"), "tree-pages")
     grouped = asked.withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(3)), F.lit(blocks)))
-    bundles = written(grouped.groupBy("dim", "block").applyInPandas(bundle, "dim int, block long, q_ids binary, q_vectors binary"), "query-blocks")
-    sent = bundles.withColumn("cell", F.explode(F.sequence(F.lit(0), F.lit(cells - 1)))).withColumn("cell", F.col("cell").cast("long"))
+    return written(grouped.groupBy("dim", "block").applyInPandas(bundle, "dim int, block long, q_ids binary, q_vectors binary, floors binary"), "query-blocks")
+
+
+def visited(trees: DataFrame, sent: DataFrame, k: int) -> DataFrame:
+    """(query_id, vec_id, score): at most k rows a tree and query, none under the query's floor; sent is query blocks with a cell."""
 
     def visit(frames):
         import pandas as pd
@@ -183,19 +213,38 @@ def search(table: DataFrame, queries: DataFrame, k: int = 5, cell: int = CELL, b
         known, tree = None, None
         for frame in frames:
             out = []
-            for dim, at, ids, vectors, q_ids, q_vectors in zip(frame["dim"], frame["cell"], frame["ids"], frame["vectors"], frame["q_ids"], frame["q_vectors"], strict=True):
-                if known != (dim, at):
-                    own = np.frombuffer(vectors, np.int64).reshape(-1, dim)
-                    known, tree = (dim, at), Tree(np.frombuffer(ids, np.int64), _matrix(own))
-                asks = np.frombuffer(q_vectors, np.int64).reshape(-1, dim)
+            for row in frame.itertuples(index=False):
+                if known != (row.dim, row.cell):
+                    known, tree = (row.dim, row.cell), Tree.load(row.dim, *(getattr(row, c) for c in _PAGES))
+                asks = np.frombuffer(row.q_vectors, np.int64).reshape(-1, row.dim)
                 most = max(float(np.abs(asks).max()), float(np.abs(tree.vectors).max()))
-                if most * most * dim >= 2**52 and tree.vectors.dtype == np.float64:
-                    tree = Tree(tree.ids, tree.vectors.astype(np.int64))
-                for q, v in zip(np.frombuffer(q_ids, np.int64).tolist(), asks if tree.vectors.dtype == np.int64 else asks.astype(np.float64), strict=True):
-                    out += [(q, i, s) for s, i in tree.search(v, q, k)[0]]
+                if most * most * row.dim >= 2**52 and tree.vectors.dtype == np.float64:
+                    tree = Tree(tree.ids, tree.vectors.astype(np.int64), tree.nodes)
+                for q, v, low in zip(np.frombuffer(row.q_ids, np.int64).tolist(), asks if tree.vectors.dtype == np.int64 else asks.astype(np.float64), np.frombuffer(row.floors, np.int64).tolist(), strict=True):
+                    out += [(q, i, s) for s, i in tree.search(v, q, k, None if low == _NO_FLOOR else low)[0]]
             yield pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
 
     pairs = trees.join(sent, ["dim", "cell"]).sortWithinPartitions("dim", "cell")
-    found = pairs.select("dim", "cell", "ids", "vectors", "q_ids", "q_vectors").mapInPandas(visit, "query_id long, vec_id long, score long")
+    return pairs.select("dim", "cell", *_PAGES, "q_ids", "q_vectors", "floors").mapInPandas(visit, "query_id long, vec_id long, score long")
+
+
+def search(table: DataFrame, queries: DataFrame, k: int = 5, cell: int = CELL, block: int = QUERIES) -> DataFrame:
+    """(query_id, rank, vec_id, score) of the k largest inner products; table and queries are (vec_id, v).
+
+    Every block of queries meets the stored pages of every tree: both are of bounded size, and a pair of them gives at
+    most k rows a query.
+    """
+    data = written(table.select("vec_id", "v", F.size("v").alias("dim")), "vectors")
+    cells = max(1, -(-data.count() // cell))
+    asked = written(queries.select("vec_id", "v", F.size("v").alias("dim")), "queries")
+    blocks = max(1, -(-asked.count() // block))
+    trees = build_trees(data, cells)
+    home = F.pmod("block", F.lit(cells))
+    opening = written(visited(trees, bundled(asked.withColumn("floor", F.lit(_NO_FLOOR)), blocks).withColumn("cell", home), k), "opening")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    ranked = opening.withColumn("rank", F.row_number().over(order))
+    floors = ranked.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"), F.col("score").alias("floor"))
+    again = bundled(asked.join(floors, "vec_id", "left").withColumn("floor", F.coalesce("floor", F.lit(_NO_FLOOR))), blocks)
+    sent = again.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(cells - 1).cast("long")))).where(F.col("cell") != home)
+    found = opening.unionByName(visited(trees, sent, k))
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -154,6 +154,33 @@ def test_tree_equals_brute_force():
         assert [(-s, k) for s, k in want] == tree.search(v[i], i // 2, 5)[0]
 
 
+def test_stored_pages_and_opening_radius():
+    rng = np.random.default_rng(14)
+    centres = rng.integers(-4000, 4000, (6, 5))
+    v = (centres[rng.integers(0, 6, 1500)] + rng.integers(-30, 30, (1500, 5))).astype(np.float64)
+    tree = mtree.Tree(rng.permutation(1500), v)
+    again = mtree.Tree.load(5, **tree.stored())
+    for i in range(0, 1500, 75):
+        plain, computed = tree.search(tree.vectors[i], int(tree.ids[i]), 5)
+        assert again.search(again.vectors[i], int(again.ids[i]), 5) == (plain, computed) and computed < 1500
+        low, fewer = again.search(again.vectors[i], int(again.ids[i]), 5, plain[-1][0])
+        assert low == plain and fewer <= computed
+        assert again.search(again.vectors[i], int(again.ids[i]), 5, 1 << 60) == ([], 0)
+
+
+def test_topk_over_many_cells(spark):
+    rng = np.random.default_rng(15)
+    rows = [(int(i // 2), [float(x) for x in rng.normal(size=4)]) for i in range(300)]
+    v = mtree.whole_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>").withColumn("v", F.lit(1)))
+    got = sorted(tuple(r) for r in mtree.search(v, v.where("vec_id % 50 = 0"), cell=40, block=2).select("query_id", "rank", "score").collect())
+    whole = [(i, np.floor(256 * np.array(x))) for i, x in rows]
+    want = []
+    for q in (0, 50, 100):
+        scores = sorted((int(x @ y) for i, x in whole if i == q for j, y in whole if j != q), reverse=True)[:5]
+        want += [(q, r + 1, s) for r, s in enumerate(scores)]
+    assert got == sorted(want)
+
+
 def test_topk_edges(spark):
     rows = [(0, [1.0, 2.0]), (50, [0.5, 0.5]), (1, None), (2, [float("nan"), 1.0]), (3, [1.0, None]), (None, [1.0, 1.0]), (4, [])]
     v = mtree.whole_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<float>"))
