@@ -145,12 +145,12 @@ def train(docs: DataFrame, bound: int = SAMPLE) -> LanguageModel:
 
         for f in frames:
             found = [bag(t) if has_letter(t) else None for t in f["text"]]
-            yield pd.DataFrame([(d, lang, b[0].astype("<i4").tobytes(), b[1].tobytes()) for d, lang, b in zip(f["doc_id"], f["lang"], found, strict=True) if b], columns=["doc_id", "lang", "ids", "shares"])
+            yield pd.DataFrame([(d, lang, b[0].astype("<u2").tobytes(), b[1].tobytes()) for d, lang, b in zip(f["doc_id"], f["lang"], found, strict=True) if b], columns=["doc_id", "lang", "ids", "shares"])
 
-    # bags, not texts, come to the driver: each is bounded, and so is their number
+    # bags, not texts, come to the driver: each has 6 bytes a subword and BUCKETS subwords at most, and their number is bounded
     rows = bounded_sample(known, F.col("doc_id"), bound, 17).select(id_in("doc_id"), "text", "lang").mapInPandas(task, "doc_id long, lang string, ids binary, shares binary").collect()
     rows = sorted(rows, key=lambda r: (r["doc_id"], bytes(r["ids"]), bytes(r["shares"]), r["lang"]))
-    return fit([(np.frombuffer(r["ids"], "<i4").astype(np.int64), np.frombuffer(r["shares"], np.float32)) for r in rows], [r["lang"] for r in rows])
+    return fit([(np.frombuffer(r["ids"], "<u2"), np.frombuffer(r["shares"], np.float32)) for r in rows], [r["lang"] for r in rows])
 
 
 def predict(docs: DataFrame, model: LanguageModel, keep: list[str] | None = None) -> DataFrame:
