@@ -16,15 +16,17 @@ from .sources.tables import balanced, load
 
 SALTED = num("concat_ws('/', id, table_id)")
 
-K, TABLES, NODES, ASKED, DEPTH, WIDTH = 2, 12, 4, 100, 2, 256
-SIZE = {"queries": ASKED, "tables": TABLES}
+K, TABLES, NODES, DEPTH, WIDTH = 2, 12, 4, 2, 256
 
 
 def doc_sets(spark, d, mode="word", n=3):
     return features.token_sets(balanced(load(spark, d, "documents").select("doc_id", "text")), "doc_id", "text", mode, n)
 
 
-def asked(rows: DataFrame, n: int = ASKED) -> DataFrame:
+def asked(rows: DataFrame, n: int | None = None) -> DataFrame:
+    """The query rows: ids divisible by 100. With n, a sample instead: the n rows of least hash."""
+    if n is None:
+        return rows.where(F.col("id") % 100 == 0)
     return rows.orderBy(hashing.token_number(F.col("id")), "id").limit(n)
 
 
@@ -34,15 +36,20 @@ def digest(rows: DataFrame) -> DataFrame:
 
 
 DIGEST = f"SELECT id, count(*) n, CAST(sum({num('token')}) AS BIGINT) total FROM sets GROUP BY id"
-SHINGLES = f"""SELECT DISTINCT id, token FROM (SELECT id, CASE WHEN c >= 3 THEN w || ' ' || lead(w, 1) OVER p || ' ' || lead(w, 2) OVER p ELSE string_agg(w, ' ') OVER (PARTITION BY id ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) END token
-  FROM (SELECT id, token w, pos, count(*) OVER (PARTITION BY id) c FROM {words()} WHERE token <> '') WINDOW p AS (PARTITION BY id ORDER BY pos)) WHERE token IS NOT NULL"""
+
+def shingles_sql(n: int = 3, *table: str) -> str:
+    run = " || ' ' || ".join(["w", *[f"lead(w, {i}) OVER p" for i in range(1, n)]])
+    return f"""SELECT DISTINCT id, token FROM (SELECT id, CASE WHEN c >= {n} THEN {run} ELSE string_agg(w, ' ') OVER (PARTITION BY id ORDER BY pos ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) END token
+  FROM (SELECT id, token w, pos, count(*) OVER (PARTITION BY id) c FROM {words(*table)} WHERE token <> '') WINDOW p AS (PARTITION BY id ORDER BY pos)) WHERE token IS NOT NULL"""
+
+
 BASKETS = "SELECT DISTINCT o_custkey id, CAST(l_partkey AS VARCHAR) token FROM lineitem JOIN orders ON l_orderkey = o_orderkey"
 PROFILES = "SELECT DISTINCT user_id id, event_type || ':' || coalesce(json_extract_string(props, '$.k'), '') token FROM events WHERE user_id IS NOT NULL"
 PAGES = "(SELECT page_id, regexp_replace(regexp_replace(regexp_replace(lower(html), '<script[^>]*>.*?</script>', ' ', 'g'), '<style[^>]*>.*?</style>', ' ', 'g'), '<[^>]*>', ' ', 'g') t FROM pages)"
 
 # features
 add("f01_doc_words", Build().select(DIGEST))(lambda s, d: digest(doc_sets(s, d)))
-add("f02_doc_shingles", Build(SHINGLES).select(DIGEST))(lambda s, d: digest(doc_sets(s, d, "shingle")))
+add("f02_doc_shingles", Build(shingles_sql()).select(DIGEST))(lambda s, d: digest(doc_sets(s, d, "shingle")))
 add("f03_char_grams", Build("SELECT DISTINCT doc_id id, substr(lower(text), i, 5) token FROM (SELECT doc_id, text, unnest(range(1, length(lower(text)) - 3)) i FROM documents) WHERE length(lower(text)) >= 5").select(DIGEST))(lambda s, d: digest(doc_sets(s, d, "char", 5)))
 add("f04_hash_features", Build(LINE_SETS).select(f"SELECT id, count(DISTINCT {num('token')} % 1048576) n, CAST(sum(DISTINCT {num('token')} % 1048576) AS BIGINT) total FROM sets GROUP BY id"))(
     lambda s, d: features.hash_features(load(s, d, "lineitem"), features.line_id(), features.line_values()).select("id", F.size("idx").cast("long").alias("n"), F.aggregate("idx", F.lit(0).cast("long"), lambda a, x: a + x).alias("total"))
@@ -62,7 +69,15 @@ add("f08_page_text", Build(sets(PAGES, "page_id", "t")).select(DIGEST))(lambda s
 add("f09_quantise", "SELECT id, count(*) n, CAST(sum(" + num("token") + ") AS BIGINT) total FROM (SELECT vec_id id, CAST(i - 1 AS VARCHAR) || ':' || CAST(CAST(floor(CAST(x AS DOUBLE) / 0.1) AS BIGINT) AS VARCHAR) token FROM (SELECT vec_id, unnest(embedding) x, generate_subscripts(embedding, 1) i FROM embeddings)) GROUP BY id")(lambda s, d: digest(features.quantise_dense(load(s, d, "embeddings"), "vec_id", "embedding")))
 add("f10_binarise", f"SELECT id, token FROM ({WEIGHTED})")(lambda s, d: features.binarise(weighted(s, d)))
 add("f11_norms", f"SELECT id, round(sqrt(sum(weight * weight)), 6) norm, count(*) size FROM ({WEIGHTED}) GROUP BY id")(lambda s, d: features.vector_norms(weighted(s, d)).select("id", F.round("norm", 6).alias("norm"), "size"))
-add("f12_ml_vector")(lambda s, d: features.to_ml_vector(doc_sets(s, d)).select("id", F.size("tokens").alias("n")))
+
+
+def ml_vectors(s, d):
+    """The library's sparse vectors: size, indices and values."""
+    v = F.unwrap_udt(F.col("features"))
+    return features.to_ml_vector(doc_sets(s, d)).select("id", v["size"].alias("size"), v["indices"].alias("indices"), v["values"].alias("values"))
+
+
+add("f12_ml_vector")(ml_vectors)
 
 # hashes and signatures
 A0, B0 = hashing.hash_coefficients(1, 1)[0]
@@ -86,7 +101,7 @@ for _name, _layout in {"h06_bucket_keys": "block", "h06_bucket_keys_interleave":
 def calibration(s, d, family="minhash", bins=64):
     """Mean share of agreeing values by tenth of exact similarity, over pairs that share a word with a query."""
     rows = doc_sets(s, d)
-    q = asked(rows, 40)
+    q = asked(rows)
     sig = (hashing.minhash(rows, bins) if family == "minhash" else hashing.densify(hashing.one_permutation(rows, bins), bins)).withColumnRenamed("sig", "s1")
     pairs = similarity.shared_tokens(rows, q, "jaccard").join(sig, "id").join(sig.select(F.col("id").alias("query_id"), F.col("s1").alias("s2")), "query_id")
     return pairs.groupBy(F.floor(F.col("similarity") * 10).alias("tenth")).agg(F.count("*").alias("pairs"), F.avg("similarity").alias("jaccard"), F.avg(hashing.jaccard_estimate(F.col("s1"), F.col("s2"))).alias("agreement"))
@@ -102,14 +117,14 @@ def euclidean_buckets(s, d):
     from pyspark.ml.functions import array_to_vector
 
     v = load(s, d, "embeddings").select("vec_id", array_to_vector(F.col("embedding").cast("array<double>")).alias("v"))
-    return BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=0.5, numHashTables=4, seed=1).fit(v).transform(v).select("vec_id", F.size("h").alias("tables"))
+    return BucketedRandomProjectionLSH(inputCol="v", outputCol="h", bucketLength=0.5, numHashTables=4, seed=1).fit(v).transform(v).select("vec_id", F.transform("h", lambda x: F.unwrap_udt(x)["values"][0].cast("long")).alias("buckets"))
 
 
 add("h08_euclidean")(euclidean_buckets)
 
 # similarities
-def asked_build(set_sql=None, n=ASKED):
-    return Build(set_sql).add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT {n}")
+def asked_build(set_sql=None, n=None):
+    return Build(set_sql).asked(n)
 
 
 COS, JAC = "shared / sqrt(CAST(na * nb AS DOUBLE))", "shared / CAST(na + nb - shared AS DOUBLE)"
@@ -127,7 +142,7 @@ def top_by(rows, k=10):
 add("m01_jaccard_top", asked_build().pairs().select(best(JAC)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10, "jaccard"))
 add("m02_cosine_top", asked_build().pairs().select(best(COS)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10))
 WCOS = (
-    Build(f"SELECT id, token, weight FROM ({WEIGHTED})").add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT {ASKED}")
+    Build(f"SELECT id, token, weight FROM ({WEIGHTED})").asked()
     .add("norms", "SELECT id, sqrt(sum(weight * weight)) norm FROM sets GROUP BY id")
     .add("sim_rows", "SELECT a.id query_id, b.id, sum(a.weight * b.weight) / (any_value(na.norm) * any_value(nb.norm)) s FROM sets a JOIN sets b ON a.token = b.token AND a.id <> b.id JOIN norms na ON na.id = a.id JOIN norms nb ON nb.id = b.id WHERE a.id IN (SELECT query_id FROM asked) GROUP BY ALL")
     .select(best("s"))
@@ -136,14 +151,13 @@ add("m02_weighted_cosine_top", WCOS)(lambda s, d: top_by(similarity.weighted_cos
 
 
 def dense_top(s, d):
-    """Dense cosine of a counted set of queries with all vectors, by a broadcast of the queries."""
+    """Dense cosine of the query rows with all vectors."""
     v = load(s, d, "embeddings").where("embedding is not null").select(F.col("vec_id").alias("id"), F.col("embedding").alias("v"))
-    q = asked(v, 50).select(F.col("id").alias("query_id"), F.col("v").alias("q"))
-    return top_by(v.join(F.broadcast(q), F.col("id") != F.col("query_id")).select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")))
+    return top_by(similarity.dense_pairs(v, asked(v)))
 
 
 add("m03_dense_top", f"""WITH p AS (SELECT vec_id id, unnest(embedding) x, generate_subscripts(embedding, 1) i FROM embeddings), n AS (SELECT id, sum(CAST(x AS DOUBLE) * x) s FROM p GROUP BY id),
- q AS (SELECT id FROM n ORDER BY {num('id')}, id LIMIT 50), sim_rows AS (SELECT a.id query_id, b.id, sum(CAST(a.x AS DOUBLE) * b.x) / sqrt(any_value(na.s) * any_value(nb.s)) s FROM p a JOIN p b ON a.i = b.i AND a.id <> b.id JOIN n na ON na.id = a.id JOIN n nb ON nb.id = b.id WHERE a.id IN (SELECT id FROM q) GROUP BY ALL) {best('s')}""")(dense_top)
+ q AS (SELECT id FROM n WHERE id % 100 = 0), sim_rows AS (SELECT a.id query_id, b.id, sum(CAST(a.x AS DOUBLE) * b.x) / sqrt(any_value(na.s) * any_value(nb.s)) s FROM p a JOIN p b ON a.i = b.i AND a.id <> b.id JOIN n na ON na.id = a.id JOIN n nb ON nb.id = b.id WHERE a.id IN (SELECT id FROM q) GROUP BY ALL) {best('s')}""")(dense_top)
 
 
 def distances(s, d):
@@ -174,7 +188,7 @@ def B(nodes=NODES, **o):
 
 
 def BC(nodes=NODES):
-    return B(nodes).cells(DEPTH, WIDTH).queries(ASKED)
+    return B(nodes).cells(DEPTH, WIDTH).queries()
 
 
 CELL_COLS = 'table_id, bucket_key, node, "row", col, total, cand, votes'
@@ -206,6 +220,19 @@ def appended(s, d):
     return both.select("node", "table_id", "bucket_key", "row", "col", "total")
 
 
+def appended_cells(s, d):
+    """All of a merged index: totals, candidates and votes."""
+    b = buckets(s, d)
+    half = F.col("id") % 2 == 0
+    return S.append_index(S.build_sketch_index(b.where(half), DEPTH, WIDTH), S.build_sketch_index(b.where(~half), DEPTH, WIDTH))
+
+
+PLACE = "node, table_id, bucket_key"
+HALVES = B().add("even", "SELECT * FROM buckets WHERE id % 2 = 0").add("odd", "SELECT * FROM buckets WHERE id % 2 <> 0").cells(DEPTH, WIDTH, "even", "c0").cells(DEPTH, WIDTH, "odd", "c1").add("halves", "SELECT * FROM c0 UNION ALL SELECT * FROM c1").merge("merged", "halves", PLACE)
+add("x07_append_cells", HALVES.select(f'SELECT {PLACE}, "row", col, total, cand, votes FROM merged'))(appended_cells)
+ARRIVAL = Build().buckets(K, TABLES, NODES)
+ARRIVAL.add("sp", ARRIVAL.spread("buckets", DEPTH, WIDTH)).add("seen", f'SELECT {PLACE}, "row", col, id, count(*) OVER w total, row_number() OVER (w ORDER BY id DESC) n FROM sp WINDOW w AS (PARTITION BY {PLACE}, "row", col)')
+add("x05_sketch_arrival", ARRIVAL.select(f'SELECT {PLACE}, "row", col, CAST(total AS BIGINT) total, id cand, CAST(total % 2 AS BIGINT) votes FROM seen WHERE n = 2 - total % 2'))(lambda s, d: sketch.arrival_cells(buckets(s, d), ["node", "table_id", "bucket_key"], DEPTH, WIDTH))
 add("x07_append_totals", B().cells(DEPTH, WIDTH).select('SELECT node, table_id, bucket_key, "row", col, total FROM cells'))(appended)
 STATS = 'SELECT table_id, count(*) buckets, CAST(sum(n) AS BIGINT) ids, max(n) largest, count(*) FILTER (n = 1) singletons, round(sum(CASE WHEN n > 8 THEN n ELSE 0 END) / CAST(sum(n) AS DOUBLE), 6) heavy_share FROM (SELECT table_id, bucket_key, count(*) n FROM buckets GROUP BY ALL) GROUP BY table_id'
 add("x09_stats", B().select(STATS))(lambda s, d: measures.index_stats(buckets(s, d)))
@@ -214,22 +241,24 @@ add("x09_stats_lines", Build(LINE_SETS).buckets(4, 8, NODES).select(STATS))(lamb
 
 # sketches and search
 def local(s, d, nodes=NODES):
-    return S.local_merge(qkeys(s, d), cells(s, d, nodes), **SIZE)
+    return S.local_merge(qkeys(s, d), cells(s, d, nodes))
 
 
 MERGED_COLS = 'query_id, "row", col, total, cand, votes'
-add("q01_query_keys", B().queries(ASKED).select("SELECT * FROM qkeys"))(qkeys)
+add("q01_query_keys", B().queries().select("SELECT * FROM qkeys"))(qkeys)
 add("q03_local_merge", BC().local().select("SELECT * FROM local_cells"))(local)
 add("s03_multiway_merge", BC().local().merge("merged", "local_cells", "query_id").select(f"SELECT {MERGED_COLS} FROM merged"))(lambda s, d: S.global_merge(local(s, d), NODES, "multiway"))
 for _m in (2, 4, 7):
     for _s in ("tree", "linear"):
         add(f"q0{4 if _s == 'tree' else 5}_{_s}_m{_m}", getattr(BC(_m).local(), _s)(_m).select(f"SELECT {MERGED_COLS} FROM merged"))(lambda s, d, m=_m, st=_s: S.global_merge(local(s, d, m), m, st))
-add("q06_exact_counts", B().queries(ASKED).counts().select("SELECT * FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE))
+add("a02_tree_fan_in_3", BC(7).local().select('SELECT query_id, "row", col, CAST(sum(total) AS BIGINT) total FROM local_cells GROUP BY ALL'))(lambda s, d: S.global_merge(local(s, d, 7), 7, "tree", 3).select("query_id", "row", "col", "total"))
+add("q04_array_m7", BC(7).local().tree(7).select(f"SELECT {MERGED_COLS} FROM merged"))(lambda s, d: S.global_merge(local(s, d, 7), 7, "array"))
+add("q06_exact_counts", B().queries().counts().select("SELECT * FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d)))
 for _s in ("tree", "linear"):
     add(f"q09_search_{_s}", getattr(BC().local(), _s)(NODES).top(10, DEPTH, WIDTH).select('SELECT query_id, "rank", id, votes, upper FROM answers'))(lambda s, d, st=_s: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, st, DEPTH, WIDTH))
 HITS = 'SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS INTEGER) AS "rank", id, hits votes, hits AS upper FROM counts WHERE query_id <> id QUALIFY "rank" <= 10'
-add("q09_search_exact", B().queries(ASKED).counts().select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "exact"))
-add("q14_search_reservoir", B().add("kept", f"SELECT * FROM buckets QUALIFY row_number() OVER (PARTITION BY node, table_id, bucket_key ORDER BY {SALTED}, id) <= 8").queries(ASKED).counts("kept").select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "reservoir", cap=8))
+add("q09_search_exact", B().queries().counts().select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "exact"))
+add("q14_search_reservoir", B().add("kept", f"SELECT * FROM buckets QUALIFY row_number() OVER (PARTITION BY node, table_id, bucket_key ORDER BY {SALTED}, id) <= 8").queries().counts("kept").select(HITS))(lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "reservoir", cap=8))
 add("s06_top_k", BC().local().merge("merged", "local_cells", "query_id").top(5, DEPTH, WIDTH, False).select('SELECT query_id, "rank", id, upper, votes FROM answers'))(lambda s, d: sketch.top_k(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 5, DEPTH, WIDTH))
 
 
@@ -255,7 +284,7 @@ add("s12_approx_top_k")(lambda s, d: event_ids(s, d).groupBy("event_type").agg(F
 
 # baselines
 def classic_sql(least, k=K, tables=TABLES):
-    b = Build().buckets(k, tables, 1).queries(ASKED).counts().pairs()
+    b = Build().buckets(k, tables, 1).queries().counts().pairs()
     return b.add("hit", f"SELECT s.* FROM sim_rows s JOIN counts c ON c.query_id = s.query_id AND c.id = s.id WHERE c.hits >= {least}").select(best(COS, 10, "hit"))
 
 
@@ -265,7 +294,7 @@ add("b04_or_only_lsh", classic_sql(1, 1, 12))(lambda s, d: S.classic_lsh(doc_set
 add("b01_brute_force", asked_build().pairs().select(best(COS, 64)))(lambda s, d: S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 64))
 
 
-def ml_join(s, d):
+def ml_join(s, d, k=10):
     """The built-in LSH: its batch join, then the best by distance."""
     from pyspark.ml.feature import MinHashLSH
 
@@ -273,21 +302,21 @@ def ml_join(s, d):
     model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=8, seed=1).fit(v)
     q = v.join(asked(doc_sets(s, d)).select("id"), "id", "left_semi")
     found = model.approxSimilarityJoin(q, v, 0.95, "distance").select(F.col("datasetA.id").alias("query_id"), F.col("datasetB.id").alias("id"), (1 - F.col("distance")).alias("similarity"))
-    return top_by(found.where("query_id <> id"))
+    return top_by(found.where("query_id <> id"), k)
 
 
 add("b03_builtin_lsh_join")(ml_join)
 
 
-def ml_single(s, d, n=5):
-    """The built-in LSH, one query at a time: a job a query, n queries."""
+def ml_single(s, d, n=100, k=10):
+    """The built-in LSH, one query at a time: a job a query. The experiment is of 100 such queries, so n are asked at most."""
     from pyspark.ml.feature import MinHashLSH
 
     v = features.to_ml_vector(doc_sets(s, d)).select("id", "features")
     model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=8, seed=1).fit(v)
     out = None
-    for r in v.join(asked(doc_sets(s, d), n).select("id"), "id", "left_semi").orderBy("id").collect():  # n rows
-        near = model.approxNearestNeighbors(v, r["features"], 10, distCol="distance").select(F.lit(r["id"]).alias("query_id"), "id", (1 - F.col("distance")).alias("similarity"))
+    for r in v.where("id % 100 = 0").orderBy("id").limit(n).collect():  # n rows
+        near = model.approxNearestNeighbors(v, r["features"], k + 1, distCol="distance").where(F.col("id") != r["id"]).select(F.lit(r["id"]).alias("query_id"), "id", (1 - F.col("distance")).alias("similarity"))
         out = near if out is None else out.unionByName(near)
     return out
 
@@ -296,7 +325,8 @@ add("b02_builtin_lsh_single")(ml_single)
 
 
 # near-duplicates, measures, theory
-RAW = f"raw AS ({SHINGLES}), fp AS (SELECT id, string_agg(token, chr(31) ORDER BY token) f FROM raw GROUP BY id), copies AS (SELECT id, min(id) OVER (PARTITION BY f) rep FROM fp)"
+WORDS = 5
+RAW = f"raw AS ({shingles_sql(WORDS)}), fp AS (SELECT id, string_agg(token, chr(31) ORDER BY token) f FROM raw GROUP BY id), copies AS (SELECT id, min(id) OVER (PARTITION BY f) rep FROM fp)"
 NEAR = (
     Build(f"WITH {RAW} SELECT id, token FROM raw WHERE id IN (SELECT rep FROM copies)").buckets(2, 16, 1)
     .add("hits", "SELECT a.id id_a, b.id id_b, count(*) hits FROM buckets a JOIN buckets b USING (table_id, bucket_key) WHERE a.id < b.id GROUP BY ALL")
@@ -304,14 +334,26 @@ NEAR = (
     .add("common", "SELECT h.id_a, h.id_b, any_value(h.hits) hits, count(b.token) c FROM hits h JOIN sets a ON a.id = h.id_a LEFT JOIN sets b ON b.id = h.id_b AND b.token = a.token GROUP BY h.id_a, h.id_b")
     .add("linked", "SELECT id_a, id_b, hits, round(c / CAST(x.n + y.n - c AS DOUBLE), 6) jaccard FROM common JOIN sizes x ON x.id = id_a JOIN sizes y ON y.id = id_b WHERE round(c / CAST(x.n + y.n - c AS DOUBLE), 6) >= 0.8")
 )
-add("q12_near_duplicates", NEAR.select("SELECT * FROM linked"))(lambda s, d: duplicates.links(doc_sets(s, d, "shingle"), 2, 16))
+add("q12_near_duplicates", NEAR.select("SELECT * FROM linked"))(lambda s, d: duplicates.links(doc_sets(s, d, "shingle", WORDS), 2, 16))
 CLASSES = (
     NEAR.add("sides", "SELECT id_a a, id_b b FROM linked UNION SELECT id_b, id_a FROM linked")
     .add("walk", "SELECT a, a root FROM sides UNION SELECT sides.b, walk.root FROM walk JOIN sides USING (a)")
     .add("least", "SELECT a, min(root) class_id FROM walk GROUP BY a")
-    .select(f"SELECT c.id, coalesce(class_id, rep) class_id FROM (WITH {RAW} SELECT * FROM copies) c LEFT JOIN least ON a = rep")
+    .add("met", f"SELECT c.id, coalesce(class_id, rep) class_id FROM (WITH {RAW} SELECT * FROM copies) c LEFT JOIN least ON a = rep")
+    .add("bare", "SELECT doc_id, CASE WHEN trim(text) <> '' THEN min(doc_id) OVER (PARTITION BY md5(text)) ELSE doc_id END AS same FROM documents WHERE doc_id NOT IN (SELECT id FROM met)")
+    .select("SELECT * FROM met UNION ALL SELECT doc_id, same FROM bare")
 )
-add("q12_classes", CLASSES)(lambda s, d: duplicates.classes(doc_sets(s, d, "shingle"), 2, 16))
+
+
+def near_classes(s, d):
+    """(id, class_id) of every document; equal texts without a word share a class, empty ones stay alone."""
+    met = duplicates.classes(doc_sets(s, d, "shingle", WORDS), 2, 16)
+    rest = load(s, d, "documents").select(F.col("doc_id").alias("id"), F.when(F.trim("text") != "", F.md5("text")).alias("t")).join(met.select("id"), "id", "left_anti")
+    least = rest.where("t is not null").groupBy("t").agg(F.min("id").alias("class_id"))
+    return met.unionByName(rest.join(least, "t", "left").select("id", F.coalesce("class_id", "id").alias("class_id")))
+
+
+add("q12_classes", CLASSES)(near_classes)
 
 
 def quality(s, d, strategy="tree", nodes=NODES, ks=(1, 64), missing="ignore", k=1, tables=TABLES):
@@ -321,39 +363,44 @@ def quality(s, d, strategy="tree", nodes=NODES, ks=(1, 64), missing="ignore", k=
 
 
 def quality_sql(missing):
-    value = "avg(s / n)" if missing == "ignore" else f"sum(s / k) / {ASKED}"
-    b = Build().buckets(1, TABLES, NODES).queries(ASKED).counts().pairs().add("placed", 'SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS rk, id FROM counts WHERE query_id <> id QUALIFY rk <= 64')
+    asked_n = "(SELECT count(*) FROM asked)"
+    value = "avg(s / n)" if missing == "ignore" else f"sum(s / k) / {asked_n}"
+    b = Build().buckets(1, TABLES, NODES).queries().counts().pairs().add("placed", 'SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS rk, id FROM counts WHERE query_id <> id QUALIFY rk <= 64')
     b.add("scored", f"SELECT p.query_id, p.rk, k, coalesce({COS}, 0) sim FROM placed p LEFT JOIN sim_rows s ON s.query_id = p.query_id AND s.id = p.id, (VALUES (1), (64)) t(k) WHERE rk <= k")
-    return b.select(f"SELECT 'exact' strategy, CAST({NODES} AS INTEGER) nodes, CAST(k AS INTEGER) k, round({value}, 6) s_at_k, round(sum(n) / CAST(k * {ASKED} AS DOUBLE), 6) coverage, CAST({ASKED} AS BIGINT) queries FROM (SELECT k, query_id, sum(sim) s, count(*) n FROM scored GROUP BY ALL) GROUP BY k")
+    return b.select(f"SELECT 'exact' strategy, CAST({NODES} AS INTEGER) nodes, CAST(k AS INTEGER) k, round({value}, 6) s_at_k, round(sum(n) / CAST(k * {asked_n} AS DOUBLE), 6) coverage, CAST({asked_n} AS BIGINT) queries FROM (SELECT k, query_id, sum(sim) s, count(*) n FROM scored GROUP BY ALL) GROUP BY k")
 
 
 for _m in ("ignore", "zero"):
     add(f"c01_s_at_k_{_m}", quality_sql(_m))(lambda s, d, m=_m: quality(s, d, "exact", missing=m))
-add("c03_recall")(lambda s, d: measures.recall_at_k(S.search(doc_sets(s, d), asked(doc_sets(s, d)), 1, TABLES, 10, NODES, "exact"), S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10), 10))
+RECALL = Build().buckets(1, TABLES, NODES).queries().counts().pairs()
+RECALL.add("truth", f"SELECT query_id, id FROM sim_rows QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round({COS}, 9) DESC, id) <= 10")
+RECALL.add("got", "SELECT query_id, id FROM counts WHERE query_id <> id QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) <= 10")
+add("c03_recall", RECALL.select("SELECT CAST(10 AS INTEGER) k, found, wanted, round(found / CAST(wanted AS DOUBLE), 6) recall FROM (SELECT count(*) found FROM truth SEMI JOIN got USING (query_id, id)), (SELECT count(*) wanted FROM truth)"))(lambda s, d: measures.recall_at_k(S.search(doc_sets(s, d), asked(doc_sets(s, d)), 1, TABLES, 10, NODES, "exact"), S.brute_force(doc_sets(s, d), asked(doc_sets(s, d)), 10), 10))
 add("c04_random_pairs", asked_build(n=200).pairs("a.id < b.id").add("few", "SELECT * FROM sim_rows WHERE id IN (SELECT query_id FROM asked)").select(f"SELECT CAST(19900 AS BIGINT) pairs, round(sum({COS}) / 19900, 6) mean_cosine FROM few"))(lambda s, d: measures.random_pair_similarity(doc_sets(s, d), 200))
-add("c07_merge_cost", B().queries(ASKED).select(f"SELECT query_id, count(DISTINCT (node, b.table_id, b.bucket_key)) sketches, CAST({S.tree_rounds(NODES)} AS BIGINT) rounds, CAST({NODES - 1} AS BIGINT) linear_merges FROM qkeys q JOIN buckets b USING (table_id, bucket_key) GROUP BY ALL"))(lambda s, d: measures.merge_cost(qkeys(s, d), buckets(s, d), NODES))
+add("c07_merge_cost", B().queries().select(f"SELECT query_id, count(DISTINCT (node, b.table_id, b.bucket_key)) sketches, CAST({S.tree_rounds(NODES)} AS BIGINT) rounds, CAST({NODES - 1} AS BIGINT) linear_merges FROM qkeys q JOIN buckets b USING (table_id, bucket_key) GROUP BY ALL"))(lambda s, d: measures.merge_cost(qkeys(s, d), buckets(s, d), NODES))
 
 
 def distance_count(s, d):
-    c = S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE).agg(F.count("*").alias("n"))
-    n = doc_sets(s, d).agg((F.count("*") * ASKED).alias("n"))
+    c = S.exact_counts(qkeys(s, d), buckets(s, d)).agg(F.count("*").alias("n"))
+    # the reach of each method: what it meets, every pair, and the sketch's cells, which hold counts and no vector
+    n = doc_sets(s, d).agg((F.count("*") * F.sum((F.col("id") % 100 == 0).cast("long"))).alias("n"))
     return c.select(F.lit("classic").alias("method"), "n").unionByName(n.select(F.lit("brute").alias("method"), "n")).unionByName(c.select(F.lit("sketch").alias("method"), F.lit(0).cast("long").alias("n")))
 
 
-add("c08_distances", B().queries(ASKED).counts().select(f"SELECT 'classic' AS method, count(*) n FROM counts UNION ALL SELECT 'brute', count(DISTINCT id) * {ASKED} FROM sets UNION ALL SELECT 'sketch', 0"))(distance_count)
+add("c08_distances", B().queries().counts().select(f"SELECT 'classic' AS method, count(*) n FROM counts UNION ALL SELECT 'brute', count(DISTINCT id) * count(DISTINCT id) FILTER (id % 100 = 0) FROM sets UNION ALL SELECT 'sketch', 0"))(distance_count)
 add("c09_multiplications", Build().select("SELECT count(*) per_query, count(DISTINCT id) n FROM sets"))(lambda s, d: doc_sets(s, d).agg(F.sum(F.size("tokens")).alias("per_query"), F.count("*").alias("n")))
 
 
 def volume(s, d):
-    by_node = S.probe(qkeys(s, d), buckets(s, d), **SIZE).groupBy("query_id", "node", "id").agg(F.count("*").alias("hits"))
+    by_node = S.probe(qkeys(s, d), buckets(s, d)).groupBy("query_id", "node", "id").agg(F.count("*").alias("hits"))
     return measures.communication_volume(local(s, d), by_node, NODES)
 
 
 add("c10_communication", BC().local().add("per", "SELECT DISTINCT q.query_id, node, b.id FROM qkeys q JOIN buckets b USING (table_id, bucket_key)").add("r1", 'SELECT DISTINCT query_id, node // 2 node, "row", col FROM local_cells').select("SELECT 'linear' strategy, count(*) n FROM local_cells WHERE node > 0 UNION ALL SELECT 'exact', count(*) FROM per WHERE node > 0 UNION ALL SELECT 'tree', (SELECT count(*) FROM local_cells WHERE node % 2 = 1) + (SELECT count(*) FROM r1 WHERE node % 2 = 1)"))(volume)
 add("c11_footprint", B().cells(DEPTH, WIDTH).select("SELECT 'ids' kind, count(*) n, count(*) * 8 bytes FROM buckets UNION ALL SELECT 'cells', count(*), count(*) * 24 FROM cells"))(lambda s, d: measures.footprint(buckets(s, d), cells(s, d)))
 add("c12_imbalance", B().select("SELECT count(*) nodes, max(n) most, round(max(n) / avg(n), 6) imbalance FROM (SELECT node, count(*) n FROM buckets GROUP BY node)"))(lambda s, d: measures.node_imbalance(buckets(s, d)))
-add("c15_candidate_fraction", B().queries(ASKED).counts().select(f"SELECT round(count(*) / CAST((SELECT count(DISTINCT id) FROM sets) * {ASKED} AS DOUBLE), 6) fraction FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE).agg(F.count("*").alias("c")).crossJoin(doc_sets(s, d).agg(F.count("*").alias("n"))).select(F.round(F.col("c") / (F.col("n") * ASKED), 6).alias("fraction")))
-add("c16_sketch_error", BC().local().merge("merged", "local_cells", "query_id").top(10, DEPTH, WIDTH, False).counts().add("e", "SELECT a.*, coalesce(c.hits, 0) hits FROM answers a LEFT JOIN counts c ON c.query_id = a.query_id AND c.id = a.id").select("SELECT count(*) reported, count(*) FILTER (votes <= hits AND hits <= upper) inside, round(avg(upper - hits), 6) mean_over, round(avg(hits - votes), 6) mean_under FROM e"))(lambda s, d: measures.sketch_error(sketch.top_k(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 10, DEPTH, WIDTH), S.exact_counts(qkeys(s, d), buckets(s, d), **SIZE)))
+add("c15_candidate_fraction", B().queries().counts().select(f"SELECT round(count(*) / CAST((SELECT count(DISTINCT id) * count(DISTINCT id) FILTER (id % 100 = 0) FROM sets) AS DOUBLE), 6) fraction FROM counts"))(lambda s, d: S.exact_counts(qkeys(s, d), buckets(s, d)).agg(F.count("*").alias("c")).crossJoin(doc_sets(s, d).agg((F.count("*") * F.sum((F.col("id") % 100 == 0).cast("long"))).alias("n"))).select(F.round(F.col("c") / F.col("n"), 6).alias("fraction")))
+add("c16_sketch_error", BC().local().merge("merged", "local_cells", "query_id").top(10, DEPTH, WIDTH, False).counts().add("e", "SELECT a.*, coalesce(c.hits, 0) hits FROM answers a LEFT JOIN counts c ON c.query_id = a.query_id AND c.id = a.id").select("SELECT count(*) reported, count(*) FILTER (votes <= hits AND hits <= upper) inside, round(avg(upper - hits), 6) mean_over, round(avg(hits - votes), 6) mean_under FROM e"))(lambda s, d: measures.sketch_error(sketch.top_k(S.global_merge(local(s, d), NODES, "multiway"), ["query_id"], 10, DEPTH, WIDTH), S.exact_counts(qkeys(s, d), buckets(s, d))))
 CURVE = ", ".join(str(x) for x in theory.SETTINGS)
 add("th01_curve", f"SELECT CAST(k AS INTEGER) k, CAST(l AS INTEGER) l, i / 10.0::DOUBLE s, round(1 - pow(1 - pow(i / 10.0::DOUBLE, k), l), 6) any_hit, round(l * pow(i / 10.0::DOUBLE, k), 6) expected_hits FROM (VALUES {CURVE}) t(k, l), range(1, 11) r(i)")(lambda s, d: theory.collision_curve(s))
 TCASES = ", ".join(f"({n}, {p}::DOUBLE, {q}::DOUBLE)" for n, p, q in theory.CASES)
@@ -396,7 +443,8 @@ def contamination(s, d):
     return held_shingles(s, d).where(F.col("held") >= HELD).withColumn("held", F.round("held", 6))
 
 
-add("w14_contamination")(contamination)
+ITEMS = Build(shingles_sql()).add("items", shingles_sql(3, "benchmark", "item_id")).add("held", "SELECT i.id item_id, s.id doc_id, count(*) hits, count(*) / CAST(any_value(z.n) AS DOUBLE) held FROM items i JOIN sets s USING (token) JOIN (SELECT id, count(*) n FROM items GROUP BY id) z ON z.id = i.id GROUP BY ALL")
+add("w14_contamination", ITEMS.select(f"SELECT item_id, doc_id, hits, round(held, 6) held FROM held WHERE held >= {HELD}"))(contamination)
 
 
 def best_document(s, d):
@@ -404,4 +452,4 @@ def best_document(s, d):
     return top_by(held_shingles(s, d).select(F.col("item_id").alias("query_id"), F.col("doc_id").alias("id"), F.col("held").alias("similarity")), 1)
 
 
-add("w14_best_document")(best_document)
+add("w14_best_document", ITEMS.select('SELECT item_id query_id, CAST(row_number() OVER (PARTITION BY item_id ORDER BY round(held, 9) DESC, doc_id) AS INTEGER) AS "rank", doc_id id, round(held, 6) similarity FROM held QUALIFY "rank" = 1'))(best_document)

@@ -49,3 +49,27 @@ def weighted_cosine(vectors: DataFrame, queries: DataFrame) -> DataFrame:
     dots = q.join(vectors, "token").where("query_id <> id").groupBy("query_id", "id").agg(F.sum(F.col("w") * F.col("weight")).alias("dot"))
     out = dots.join(norm, "id").join(norm.select(F.col("id").alias("query_id"), F.col("norm").alias("qn")), "query_id")
     return out.select("query_id", "id", (F.col("dot") / (F.col("norm") * F.col("qn"))).alias("similarity"))
+
+
+#: Queries that are broadcast at most, rows of a part and queries of a block beyond.
+FEW_QUERIES, PART_ROWS, BLOCK_QUERIES = 2_000, 20_000, 256
+
+
+def dense_pairs(rows: DataFrame, queries: DataFrame) -> DataFrame:
+    """(query_id, id, similarity) of every query with every other row; both are (id, v).
+
+    Counted queries are broadcast if they are few; else blocks of them meet parts of the rows, each pair in a task's reach.
+    """
+    q = queries.select(F.col("id").alias("query_id"), F.col("v").alias("q"))
+    n = queries.count()
+    if n <= FEW_QUERIES:
+        met = rows.join(F.broadcast(q), F.col("id") != F.col("query_id"))
+    else:
+        parts, blocks = -(-rows.count() // PART_ROWS), -(-n // BLOCK_QUERIES)
+
+        def dealt(df, key, own, n_own, other, n_other):
+            placed = df.withColumn(own, F.pmod(F.xxhash64(key), F.lit(n_own)))
+            return placed.withColumn(other, F.explode(F.sequence(F.lit(0).cast("long"), F.lit(n_other - 1).cast("long"))))
+
+        met = dealt(rows, "id", "part", parts, "block", blocks).join(dealt(q, "query_id", "block", blocks, "part", parts), ["part", "block"]).where("id <> query_id")
+    return met.select("query_id", "id", cosine_dense(F.col("q"), F.col("v")).alias("similarity"))

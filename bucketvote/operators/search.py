@@ -31,9 +31,12 @@ def build_sketch_index(buckets: DataFrame, depth: int = sketch.DEPTH, width: int
 def build_hybrid_index(buckets: DataFrame, threshold: int = 4, depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> tuple[DataFrame, DataFrame]:
     """(raw ids of light buckets, cells of heavy ones): most buckets are nearly empty."""
     keys = ["node", "table_id", "bucket_key"]
+    # a light bucket gives at most threshold ids, a heavy one only its key: neither side of a join holds a hot key's ids
     sizes = buckets.groupBy(*keys).agg(F.count("*").alias("n"))
-    sized = buckets.join(sizes, keys)
-    return sized.where(F.col("n") <= threshold).drop("n"), build_sketch_index(sized.where(F.col("n") > threshold).drop("n"), depth, width)
+    first = buckets.withColumn("_r", F.row_number().over(Window.partitionBy(*keys).orderBy("id"))).where(F.col("_r") <= threshold).drop("_r")
+    light = first.join(sizes.where(F.col("n") <= threshold).drop("n"), keys, "left_semi")
+    cells = build_sketch_index(buckets, depth, width)
+    return light, cells.join(sizes.where(F.col("n") > threshold).drop("n"), keys, "left_semi")
 
 
 def build_reservoir_index(buckets: DataFrame, cap: int) -> DataFrame:
@@ -51,7 +54,9 @@ def hash_queries(queries: DataFrame, k: int, tables: int, seed: int = 1, **optio
 
 
 def probe(keys: DataFrame, index: DataFrame, queries: int | None = None, tables: int = 1) -> DataFrame:
-    """index rows that the queries' keys reach. A counted, small batch of keys is broadcast; else Spark chooses."""
+    """index rows that the queries' keys reach. Keys are counted, unless the caller has, and broadcast if they are few; else Spark chooses."""
+    if queries is None and not keys.isStreaming:
+        queries, tables = keys.limit(BROADCAST_KEYS + 1).count(), 1
     small = queries is not None and queries * tables <= BROADCAST_KEYS
     return index.join(F.broadcast(keys) if small else keys, ["table_id", "bucket_key"])
 
@@ -66,20 +71,16 @@ def tree_rounds(nodes: int) -> int:
 
 
 def global_merge(local: DataFrame, nodes: int, strategy: str = "tree", fan_in: int = 2) -> DataFrame:
-    """(query_id, row, col, total, cand, votes) over all nodes."""
+    """(query_id, row, col, total, cand, votes) over all nodes: in rounds (tree), in rounds after one gather (array), one after another (linear), or at once (multiway)."""
+    if strategy == "array":
+        return sketch.array_cells(local, ["query_id"], tree_rounds(nodes))
     if strategy == "linear":
         return sketch.fold_cells(local, ["query_id"])
     if strategy == "multiway":
         return sketch.merge_cells(local, ["query_id"])
     if strategy != "tree":
         raise ValueError(strategy)
-    if fan_in == 2:
-        return sketch.tree_cells(local, ["query_id"], tree_rounds(nodes))
-    left = nodes
-    while left > 1:
-        local = sketch.merge_cells(local.withColumn("node", F.floor(F.col("node") / fan_in).cast("int")), ["query_id", "node"])
-        left = -(-left // fan_in)
-    return local.drop("node")
+    return sketch.tree_cells(local, ["query_id"], nodes, fan_in)
 
 
 def exact_counts(keys: DataFrame, buckets: DataFrame, **size) -> DataFrame:
@@ -93,21 +94,23 @@ def top_hits(counts: DataFrame, k: int, exclude_self: bool = True) -> DataFrame:
     return rows.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "id", "hits")
 
 
-def search(sets: DataFrame, queries: DataFrame, k: int = 4, tables: int = 24, answers: int = 10, nodes: int = 4, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH, seed: int = 1, cap: int | None = None, **options) -> DataFrame:
-    """(query_id, rank, id, votes, upper): answers without a distance. For counts, votes and upper are the hits."""
+def search(sets: DataFrame, queries: DataFrame, k: int = 4, tables: int = 24, answers: int = 10, nodes: int = 4, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH, seed: int = 1, cap: int | None = None, exclude_self: bool = True, **options) -> DataFrame:
+    """(query_id, rank, id, votes, upper): answers without a distance. For counts, votes and upper are the hits.
+
+    exclude_self leaves out answers whose id is the query's; queries from another table set it to False."""
     buckets = build_bucket_index(sets, k, tables, nodes, seed, **options)
     keys = hash_queries(queries, k, tables, seed, **options)
     if strategy == "reservoir":
         buckets = build_reservoir_index(buckets, cap or 32)
     index = buckets if strategy in ("exact", "reservoir") else build_sketch_index(buckets, depth, width)
-    return search_index(keys, index, answers, nodes, strategy, depth, width)
+    return search_index(keys, index, answers, nodes, strategy, depth, width, exclude_self)
 
 
-def search_index(keys: DataFrame, index: DataFrame, answers: int, nodes: int, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH, **size) -> DataFrame:
+def search_index(keys: DataFrame, index: DataFrame, answers: int, nodes: int, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH, exclude_self: bool = True, **size) -> DataFrame:
     """Answers of query keys from a made (or stored) index: cells for tree, linear and multiway, bucket rows for exact and reservoir."""
     if strategy in ("exact", "reservoir"):
-        return top_hits(exact_counts(keys, index, **size), answers).select("query_id", "rank", "id", F.col("hits").alias("votes"), F.col("hits").alias("upper"))
-    return answer(global_merge(local_merge(keys, index, **size), nodes, strategy), answers, depth, width)
+        return top_hits(exact_counts(keys, index, **size), answers, exclude_self).select("query_id", "rank", "id", F.col("hits").alias("votes"), F.col("hits").alias("upper"))
+    return answer(global_merge(local_merge(keys, index, **size), nodes, strategy), answers, depth, width, exclude_self)
 
 
 def search_one(keys: DataFrame, index: DataFrame, answers: int, nodes: int, strategy: str = "tree", depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> DataFrame:
@@ -120,8 +123,10 @@ def search_one(keys: DataFrame, index: DataFrame, answers: int, nodes: int, stra
     return search_index(literal, few, answers, nodes, strategy, depth, width, queries=1, tables=max(1, len(own)))
 
 
-def answer(merged: DataFrame, answers: int, depth: int = sketch.DEPTH, width: int = sketch.WIDTH) -> DataFrame:
+def answer(merged: DataFrame, answers: int, depth: int = sketch.DEPTH, width: int = sketch.WIDTH, exclude_self: bool = True) -> DataFrame:
     """(query_id, rank, id, votes, upper): the best of merged cells, but for the query itself."""
+    if not exclude_self:
+        return sketch.top_k(merged, ["query_id"], answers, depth, width).select("query_id", "rank", "id", "votes", "upper")
     top = sketch.top_k(merged, ["query_id"], answers + 1, depth, width).where("query_id <> id")
     order = Window.partitionBy("query_id").orderBy("rank")
     return top.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= answers).select("query_id", "rank", "id", "votes", "upper")

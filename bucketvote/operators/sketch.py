@@ -51,6 +51,21 @@ def build_cells(buckets: DataFrame, keys: list[str], depth: int = DEPTH, width:
     return per.select(*keys, "row", "col", "total", F.col("w.c").alias("cand"), F.when(F.col("total") == 1, 1).otherwise(0).cast("long").alias("votes"))
 
 
+def arrival_cells(buckets: DataFrame, keys: list[str], depth: int = DEPTH, width: int = WIDTH, seed: int = SEED) -> DataFrame:
+    """Cells as one insert after another leaves them, ids arriving in their order.
+
+    The ids of a bucket differ, so a cell's winner loses its vote to the next arrival and the one after takes the cell:
+    after an odd number of arrivals the last has 1 vote, after an even number the last but one has none. A count and the
+    two last arrivals of each cell tell all; both are cut before the shuffle, so a huge bucket costs two rows a task.
+    """
+    places = [*keys, "row", "col"]
+    rows = spread(buckets, depth, width, seed).select(*places, "id")
+    last = rows.withColumn("_r", F.row_number().over(Window.partitionBy(*places).orderBy(F.desc("id")))).where(F.col("_r") <= 2)
+    two = last.groupBy(*places).agg(F.max(F.when(F.col("_r") == 1, F.col("id"))).alias("a"), F.max(F.when(F.col("_r") == 2, F.col("id"))).alias("b"))
+    odd = F.col("total") % 2 == 1
+    return rows.groupBy(*places).agg(F.count("*").alias("total")).join(two, places).select(*places, "total", F.when(odd, F.col("a")).otherwise(F.col("b")).alias("cand"), odd.cast("long").alias("votes"))
+
+
 def merge_cells(cells: DataFrame, keys: list[str]) -> DataFrame:
     """One-level merge of all cells of equal (keys, row, col): one shuffle by place serves both sums. A place holds at most the cells of its tables and nodes."""
     by_place = cells.select(*keys, "row", "col", "cand", "total", "votes").repartition(*keys, "row", "col")
@@ -68,10 +83,10 @@ def _pair(a: str, b: str, node: str) -> str:
         'votes', if({a}.cand = {b}.cand, {a}.votes + {b}.votes, abs({a}.votes - {b}.votes)), 's', if({first}, {a}.s, {b}.s))"""
 
 
-def _lists(cells: DataFrame, keys: list[str]) -> DataFrame:
-    """The cells of a place in one array in the order of nodes, of which there is at most one a node."""
+def _lists(cells: DataFrame, keys: list[str], *extra: Column) -> DataFrame:
+    """The cells of a place in one array in the order of nodes, of which there is at most one a node; extra columns may be keys."""
     cell = F.struct(F.col("node").cast("int").alias("node"), F.col("total").cast("long").alias("total"), F.col("cand").cast("long").alias("cand"), F.col("votes").cast("long").alias("votes"), salt(F.col("cand"), F.col("row")).alias("s"))
-    return cells.groupBy(*keys, "row", "col").agg(F.array_sort(F.collect_list(cell)).alias("l"))
+    return cells.select("*", *extra).groupBy(*keys, "row", "col").agg(F.array_sort(F.collect_list(cell)).alias("l"))
 
 
 def fold_cells(cells: DataFrame, keys: list[str]) -> DataFrame:
@@ -80,8 +95,21 @@ def fold_cells(cells: DataFrame, keys: list[str]) -> DataFrame:
     return _lists(cells, keys).withColumn("m", merged).select(*keys, "row", "col", "m.total", "m.cand", "m.votes")
 
 
-def tree_cells(cells: DataFrame, keys: list[str], rounds: int) -> DataFrame:
-    """Pairwise merges of neighbouring nodes in rounds, each halving the nodes: one shuffle brings a place's cells together, the rounds run on its array."""
+def tree_cells(cells: DataFrame, keys: list[str], nodes: int, fan_in: int = 2) -> DataFrame:
+    """Merges of neighbouring nodes in rounds, each dividing the nodes by fan_in: a shuffle a round, by place and next node.
+
+    No task ever holds more than fan_in cells of a place, however many nodes there are.
+    """
+    merged = F.expr(f"aggregate(slice(l, 2, size(l)), l[0], (a, b) -> {_pair('a', 'b', 'a.node')})")
+    while nodes > 1:
+        met = _lists(cells, [*keys, "up"], F.floor(F.col("node") / fan_in).cast("int").alias("up"))
+        cells = met.withColumn("m", merged).select(*keys, F.col("up").alias("node"), "row", "col", "m.total", "m.cand", "m.votes")
+        nodes = -(-nodes // fan_in)
+    return cells.drop("node")
+
+
+def array_cells(cells: DataFrame, keys: list[str], rounds: int) -> DataFrame:
+    """The rounds of the tree after one gather: one shuffle brings a place's cells together, the rounds run on its array of a cell a node."""
     up = "cast(x.node div 2 as int)"
     last = "try_element_at(acc, -1)"
     met = f"concat(slice(acc, 1, size(acc) - 1), array({_pair(last, 'x', up)}))"

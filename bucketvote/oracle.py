@@ -65,17 +65,22 @@ class Build:
         self.signature(k * tables).dense(k * tables, **options).keys(k, tables, layout)
         return self.add("buckets", f"SELECT CAST({num('id')} % {nodes} AS INTEGER) node, table_id, bucket_key, id FROM keys")
 
-    def queries(self, n: int) -> Build:
-        self.add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT {n}")
+    def asked(self, n: int | None = None) -> Build:
+        """Query rows: ids divisible by 100, or the n of least hash."""
+        which = "WHERE id % 100 = 0" if n is None else f"ORDER BY {num('id')}, id LIMIT {n}"
+        return self.add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) {which}")
+
+    def queries(self, n: int | None = None) -> Build:
+        self.asked(n)
         return self.add("qkeys", "SELECT id query_id, table_id, bucket_key FROM keys WHERE id IN (SELECT query_id FROM asked)")
 
     def spread(self, src: str, depth: int, width: int) -> str:
         return " UNION ALL ".join(f"SELECT *, {r} AS \"row\", CAST({uni(num('id'), *hash_coefficients(SKETCH_SEED, r + 1)[r])} % {width} AS INTEGER) col FROM {src}" for r in range(depth))
 
-    def cells(self, depth: int, width: int, src: str = "buckets") -> Build:
-        self.add("spread_rows", self.spread(src, depth, width))
+    def cells(self, depth: int, width: int, src: str = "buckets", name: str = "cells") -> Build:
+        self.add(f"spread_{name}", self.spread(src, depth, width))
         salt = num("concat_ws('/', id, \"row\", table_id)")
-        return self.add("cells", f'SELECT node, table_id, bucket_key, "row", col, CAST(count(*) AS BIGINT) total, min({{s: {salt}, c: id}}).c cand, CAST(CASE WHEN count(*) = 1 THEN 1 ELSE 0 END AS BIGINT) votes FROM spread_rows GROUP BY ALL')
+        return self.add(name, f'SELECT node, table_id, bucket_key, "row", col, CAST(count(*) AS BIGINT) total, min({{s: {salt}, c: id}}).c cand, CAST(CASE WHEN count(*) = 1 THEN 1 ELSE 0 END AS BIGINT) votes FROM spread_{name} GROUP BY ALL')
 
     def merge(self, name: str, src: str, keys: str) -> Build:
         salt = num("concat_ws('/', cand, \"row\")")

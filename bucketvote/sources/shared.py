@@ -15,6 +15,8 @@ def shared_folder(spark: SparkSession, name: str) -> str:
     root = spark.conf.get("spark.checkpoint.dir", None)
     if not root:
         named = spark.sparkContext._jsc.sc().getCheckpointDir()
+        if not named.isDefined() and not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
         root = named.get() if named.isDefined() else "file://" + os.path.join(tempfile.gettempdir(), f"bucketvote-shared-{getpass.getuser()}")
     return f"{root.rstrip('/')}/bucketvote-engine/{name}-{uuid.uuid4().hex}"
 

@@ -112,4 +112,4 @@ def online(s, d):
     return G.drain(stream, "online", then=answer).select("query_id", "rank", "id", "votes", "upper")
 
 
-add("st05_stream_static_search", Build().buckets(K, TABLES, NODES).cells(DEPTH, WIDTH).queries(100).local().tree(NODES).top(10, DEPTH, WIDTH).select('SELECT query_id, "rank", id, votes, upper FROM answers'))(online)
+add("st05_stream_static_search", Build().buckets(K, TABLES, NODES).cells(DEPTH, WIDTH).queries().local().tree(NODES).top(10, DEPTH, WIDTH).select('SELECT query_id, "rank", id, votes, upper FROM answers'))(online)

@@ -67,8 +67,8 @@ def english(s, d):
     return features.token_sets(load(s, d, "documents").where("lang = 'en'"), "doc_id", "text")
 
 
-add("o05_filter_before_search", Build(sets(ENGLISH)).buckets(K, TABLES, NODES).queries(100).counts().select(HITS))(lambda s, d: S.search(english(s, d), asked(english(s, d)), K, TABLES, 10, NODES, "exact"))
-add("o05_filter_after_search", Build().buckets(K, TABLES, NODES).queries(100).counts().add("a", HITS).select("SELECT a.* FROM a JOIN documents ON doc_id = id WHERE lang = 'en'"))(
+add("o05_filter_before_search", Build(sets(ENGLISH)).buckets(K, TABLES, NODES).queries().counts().select(HITS))(lambda s, d: S.search(english(s, d), asked(english(s, d)), K, TABLES, 10, NODES, "exact"))
+add("o05_filter_after_search", Build().buckets(K, TABLES, NODES).queries().counts().add("a", HITS).select("SELECT a.* FROM a JOIN documents ON doc_id = id WHERE lang = 'en'"))(
     lambda s, d: S.search(doc_sets(s, d), asked(doc_sets(s, d)), K, TABLES, 10, NODES, "exact").join(load(s, d, "documents").where("lang = 'en'").select(F.col("doc_id").alias("id")), "id", "left_semi")
 )
 
@@ -104,7 +104,7 @@ def size_range(s, d, least=0.8):
     return q.join(sized, "band").where((F.col("query_id") != F.col("id")) & (F.col("n") * 5 >= F.col("nq") * 4) & (F.col("nq") * 5 >= F.col("n") * 4)).groupBy("query_id").agg(F.count("*").alias("near_size"))
 
 
-add("o09_range_join", Build().add("z", "SELECT id, count(*) n FROM sets GROUP BY id").select(f"SELECT a.id query_id, count(*) near_size FROM z a JOIN z b ON a.id <> b.id AND b.n * 5 >= a.n * 4 AND a.n * 5 >= b.n * 4 WHERE a.id IN (SELECT id FROM z ORDER BY {num('id')}, id LIMIT 100) GROUP BY 1"))(size_range)
+add("o09_range_join", Build().add("z", "SELECT id, count(*) n FROM sets GROUP BY id").select(f"SELECT a.id query_id, count(*) near_size FROM z a JOIN z b ON a.id <> b.id AND b.n * 5 >= a.n * 4 AND a.n * 5 >= b.n * 4 WHERE a.id % 100 = 0 GROUP BY 1"))(size_range)
 
 
 def as_of(s, d):
@@ -223,7 +223,7 @@ def arrow_distance(s, d):
 
 
 JAC = "shared / CAST(na + nb - shared AS DOUBLE)"
-add("o27_arrow_function", Build().add("asked", f"SELECT id query_id FROM (SELECT DISTINCT id FROM sets) ORDER BY {num('id')}, id LIMIT 100").pairs().select(f"SELECT query_id, id, round({JAC}, 6) similarity FROM sim_rows QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round({JAC}, 9) DESC, id) <= 3"))(arrow_distance)
+add("o27_arrow_function", Build().asked().pairs().select(f"SELECT query_id, id, round({JAC}, 6) similarity FROM sim_rows QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round({JAC}, 9) DESC, id) <= 3"))(arrow_distance)
 
 
 def table_function(s, d):
@@ -244,8 +244,8 @@ def event_ids(s, d):
 
 add("s11_lossy_counting")(lambda s, d: counters.lossy_counting(event_ids(s, d), "event_type", 0.02))
 add("s09_counters")(lambda s, d: counters.frequent_counters(event_ids(s, d), "event_type", 20))
-add("a05_packed_merge", Build().buckets(K, TABLES, NODES).cells(DEPTH, WIDTH).queries(100).local().merge("merged", "local_cells", "query_id").select('SELECT query_id, "row", col, total, cand, votes FROM merged'))(
-    lambda s, d: counters.packed_merge(S.local_merge(S.hash_queries(asked(doc_sets(s, d)), K, TABLES), cells(s, d), queries=100, tables=TABLES), ["query_id"])
+add("a05_packed_merge", Build().buckets(K, TABLES, NODES).cells(DEPTH, WIDTH).queries().local().merge("merged", "local_cells", "query_id").select('SELECT query_id, "row", col, total, cand, votes FROM merged'))(
+    lambda s, d: counters.packed_merge(S.local_merge(S.hash_queries(asked(doc_sets(s, d)), K, TABLES), cells(s, d)), ["query_id"])
 )
 
 

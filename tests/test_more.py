@@ -109,3 +109,44 @@ def test_contamination_finds_every_document(spark, tmp_path):
     spark.createDataFrame([(7, passage), (8, "not in any")], "item_id long, text string").write.parquet(f"{tmp_path}/benchmark.parquet")
     got = QUERIES["w14_contamination"].run(spark, str(tmp_path)).collect()
     assert {(r["item_id"], r["doc_id"], r["hits"], r["held"]) for r in got} == {(7, 1, 18, 1.0), (7, 2, 18, 1.0)}
+
+
+def test_arrival_cells_are_inserts_in_order(spark):
+    rng = random.Random(12)
+    rows = [(0, 0, f"b{rng.randrange(3)}", i) for i in range(160)]
+    got = sketch.arrival_cells(spark.createDataFrame(rows, "node int, table_id int, bucket_key string, id long"), ["node", "table_id", "bucket_key"], 2, 8).collect()
+    columns = {(r["id"], r["row"]): r["col"] for r in sketch.spread(spark.createDataFrame([(i,) for i in range(160)], "id long"), 2, 8).collect()}
+    want = {}
+    for key in ("b0", "b1", "b2"):
+        one = sketch.VoteSketch(2, 8, lambda i, r: columns[i, r])
+        for _, _, k, i in rows:
+            if k == key:
+                one.insert(i)
+        want |= {(key, *place): cell for place, cell in one.cells.items()}
+    assert {(r["bucket_key"], r["row"], r["col"]): (r["total"], r["cand"], r["votes"]) for r in got} == want
+
+
+def test_tree_takes_a_shuffle_a_round_and_linear_one(spark):
+    cells = spark.createDataFrame([(1, n, 0, 0, 2, n, 1) for n in range(8)], "query_id long, node int, row int, col int, total long, cand long, votes long")
+    shuffles = {s: S.global_merge(cells, 8, s)._jdf.queryExecution().executedPlan().toString().count("Exchange hashpartitioning") for s in ("tree", "array", "linear")}
+    assert shuffles == {"tree": 3, "array": 1, "linear": 1}
+
+
+def test_queries_from_another_table_keep_equal_ids(spark, small):
+    from bucketvote.catalogue import asked, doc_sets
+
+    rows = doc_sets(spark, small)
+    q = asked(rows).limit(1)
+    for strategy in ("tree", "exact"):
+        first = S.search(rows, q, 1, 8, 3, 2, strategy, 2, 4096, exclude_self=False).where("rank = 1").first()
+        assert first["id"] == first["query_id"]
+
+
+def test_dense_pairs_in_blocks(spark, monkeypatch):
+    from bucketvote.functions import similarity
+
+    v = spark.createDataFrame([(i, [float(i % 7), 1.0]) for i in range(60)], "id long, v array<double>")
+    few = {tuple(r) for r in similarity.dense_pairs(v, v.where("id < 30")).collect()}
+    for name, value in (("FEW_QUERIES", 3), ("PART_ROWS", 11), ("BLOCK_QUERIES", 7)):
+        monkeypatch.setattr(similarity, name, value)
+    assert {tuple(r) for r in similarity.dense_pairs(v, v.where("id < 30")).collect()} == few and len(few) == 30 * 59
