@@ -34,9 +34,10 @@ GAIN = 0.01
 def grammar(ids: np.ndarray, sizes: np.ndarray, vocabulary: int, per_round: int = 4096, least: int = LEAST, gain: float = GAIN):
     """(rules [r,2], symbols, symbols per document) of the ids of documents of the given sizes.
 
-    Rounds go on until no adjacent pair of `least` occurrences is left, or one saves less than `gain` of the symbols. Pairs are counted by hashed slot; a slot stands
-    for one of its pairs, whose occurrences are then counted exactly; a pair that shares its slot has another in the next
-    round, as the hash changes, and a round without a find is repeated once under another hash before the end.
+    Rounds go on until no adjacent pair of `least` occurrences is left, or one saves less than `gain` of the symbols.
+    Pairs are counted by hashed slot; a slot stands for one of its pairs, whose occurrences are then counted exactly; a
+    pair that shares its slot has another in the next round, as the hash changes, and a round without a find is repeated
+    once under another hash before the end.
     """
     seq = ids.astype(np.uint32)
     last = np.zeros(len(seq), bool)
