@@ -1,4 +1,9 @@
-"""A corpus made from documents: language, repeated lines, near copies, mix, packing. Each stage reads what the last one wrote."""
+"""A corpus made from documents: language, repeated lines, near copies, mix, packing. Each stage reads what the last one wrote.
+
+Edge cases, alike in all stages: an empty table gives no rows; columns of any name pass unchanged through all but the
+last stage; null lang or source, ties and repeated rows are allowed; texts are read whole, however long. Null, empty
+and letterless texts have no language and go in the first stage; a null doc_id is kept throughout and is no near copy.
+"""
 
 from __future__ import annotations
 
@@ -20,7 +25,7 @@ def lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document, of the smallest id, of each class of near copies."""
+    """One row, of the smallest id, of each class of near copies; of repeated rows one stays."""
     return dartminhash.keep_one(docs)
 
 
@@ -36,7 +41,7 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("language", language), ("lines", lines), ("near_copies", near_copies), ("mix", mix), ("pack", pack)]
 
-#: SQL cannot express the learned and sampled stages; they are tested against brute force.
+#: SQL cannot express the learned and sampled stages; tests hold each stage against its operator, and the operators against brute force.
 ORACLE_SQL = None
 
 
