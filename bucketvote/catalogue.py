@@ -9,7 +9,7 @@ from .functions import features, hashing, similarity
 from .operators import duplicates
 from .operators import search as S
 from .operators import sketch
-from .oracle import LINE_SETS, Build, num, sets, uni, words
+from .oracle import LINE_SETS, Build, num, sets, uni, union_all, words
 from .plans import measures, theory
 from .registry import add
 from .sources.tables import balanced, load
@@ -104,12 +104,22 @@ def calibration(s, d, family="minhash", bins=64):
     q = asked(rows)
     sig = (hashing.minhash(rows, bins) if family == "minhash" else hashing.densify(hashing.one_permutation(rows, bins), bins)).withColumnRenamed("sig", "s1")
     pairs = similarity.shared_tokens(rows, q, "jaccard").join(sig, "id").join(sig.select(F.col("id").alias("query_id"), F.col("s1").alias("s2")), "query_id")
-    return pairs.groupBy(F.floor(F.col("similarity") * 10).alias("tenth")).agg(F.count("*").alias("pairs"), F.avg("similarity").alias("jaccard"), F.avg(hashing.jaccard_estimate(F.col("s1"), F.col("s2"))).alias("agreement"))
+    return pairs.groupBy(F.floor(F.col("similarity") * 10).alias("tenth")).agg(F.count("*").alias("pairs"), F.round(F.avg("similarity"), 6).alias("jaccard"), F.round(F.avg(hashing.jaccard_estimate(F.col("s1"), F.col("s2"))), 6).alias("agreement"))
 
 
-add("h03_jaccard_estimate")(calibration)
-add("h09_calibration")(lambda s, d: calibration(s, d, "one_permutation"))
-add("h07_signed_projection")(lambda s, d: hashing.signed_projection(load(s, d, "embeddings"), "vec_id", "embedding", 16, 64))
+JACCARD = "shared / CAST(na + nb - shared AS DOUBLE)"
+TENTHS = f"SELECT CAST(floor({JACCARD} * 10) AS BIGINT) tenth, count(*) pairs, round(avg({JACCARD}), 6) jaccard, round(avg(rate), 6) agreement FROM agreed GROUP BY ALL"
+add("h03_jaccard_estimate", Build().asked().minhash(64).pairs().agreement().select(TENTHS))(calibration)
+add("h09_calibration", Build().asked().signature(64).dense(64).pairs().agreement().select(TENTHS))(lambda s, d: calibration(s, d, "one_permutation"))
+#: (vec_id, bit, sign) of random projections, the directions from the engine's seed
+SIGNS = "SELECT vec_id id, CAST({i} AS INTEGER) bin, CAST(list_dot_product(CAST(embedding AS DOUBLE[]), [{r}]) >= 0 AS BIGINT) AS value FROM embeddings WHERE embedding IS NOT NULL"
+
+
+def signs_sql(bits, dims):
+    return " UNION ALL ".join(SIGNS.format(i=i, r=", ".join(f"{x!r}::DOUBLE" for x in row)) for i, row in enumerate(hashing.directions(bits, dims)))
+
+
+add("h07_signed_projection", signs_sql(16, 64))(lambda s, d: long_sig(hashing.signed_projection(load(s, d, "embeddings"), "vec_id", "embedding", 16, 64)))
 
 
 def euclidean_buckets(s, d):
@@ -412,18 +422,39 @@ add("th08_repetitions", "SELECT failure, success, CAST(ceil(ln(failure) / ln(1 -
 
 
 # workloads over the tables; more are in workload_queries
+def set_families(s, d):
+    """The eight families of sets, each by name."""
+    line, pages = load(s, d, "lineitem"), load(s, d, "pages")
+    return {
+        "documents": doc_sets(s, d), "shingles": doc_sets(s, d, "shingle"), "characters": doc_sets(s, d, "char", 5), "lineitem": features.line_rows(line),
+        "baskets": features.baskets(load(s, d, "orders"), line), "events": features.event_profiles(load(s, d, "events")),
+        "pages": features.token_sets(pages.select("page_id", features.page_text(F.col("html")).alias("t")), "page_id", "t"), "embeddings": features.quantise_dense(load(s, d, "embeddings"), "vec_id", "embedding", 0.1),
+    }
+
+
+CHARS = "SELECT DISTINCT doc_id id, substr(lower(text), i, 5) token FROM (SELECT doc_id, text, unnest(range(1, length(lower(text)) - 3)) i FROM documents) WHERE length(lower(text)) >= 5"
+COARSE = "SELECT vec_id id, CAST(i - 1 AS VARCHAR) || ':' || CAST(CAST(floor(CAST(x AS DOUBLE) / 0.1) AS BIGINT) AS VARCHAR) token FROM (SELECT vec_id, unnest(embedding) x, generate_subscripts(embedding, 1) i FROM embeddings)"
+FAMILIES = {"documents": sets(), "shingles": shingles_sql(), "characters": CHARS, "lineitem": LINE_SETS, "baskets": BASKETS, "events": PROFILES, "pages": sets(PAGES, "page_id", "t"), "embeddings": COARSE}
+
+
 def statistics(s, d):
-    """Rows, distinct tokens, tokens a row and random cosine of each set family."""
-    families = {"documents": doc_sets(s, d), "lineitem": features.line_rows(load(s, d, "lineitem")), "baskets": features.baskets(load(s, d, "orders"), load(s, d, "lineitem")), "events": features.event_profiles(load(s, d, "events"))}
+    """Rows, distinct tokens, tokens a row and mean cosine of pairs of 100 random rows, of each set family."""
     out = None
-    for name, rows in families.items():
+    for name, rows in set_families(s, d).items():
         flat = rows.select("id", F.explode("tokens").alias("token")).agg(F.count_distinct("id").alias("rows"), F.count_distinct("token").alias("vocabulary"), F.count("*").alias("nonzeros"))
         one = flat.crossJoin(measures.random_pair_similarity(rows, 100)).select(F.lit(name).alias("family"), "rows", "vocabulary", "nonzeros", "mean_cosine")
         out = one if out is None else out.unionByName(one)
     return out
 
 
-add("w01_statistics")(statistics)
+def statistics_sql(name, set_sql):
+    few = Build(set_sql).asked(100).add("sampled", "SELECT id, token, count(*) OVER (PARTITION BY id) n FROM sets WHERE id IN (SELECT query_id FROM asked)")
+    few.add("cosines", "SELECT count(*) / sqrt(CAST(any_value(a.n) * any_value(b.n) AS DOUBLE)) c FROM sampled a JOIN sampled b ON a.token = b.token AND a.id < b.id GROUP BY a.id, b.id")
+    pairs = "(SELECT count(*) * (count(*) - 1) / 2.0::DOUBLE FROM asked)"
+    return few.select(f"SELECT '{name}' family, count(DISTINCT id) AS rows, count(DISTINCT token) vocabulary, count(*) nonzeros, round((SELECT coalesce(sum(c), 0) FROM cosines) / {pairs}, 6) mean_cosine FROM sets")
+
+
+add("w01_statistics", union_all([statistics_sql(n, q) for n, q in FAMILIES.items()]))(statistics)
 
 
 #: Share of an item's shingles that a document holds when the item counts as found in it.

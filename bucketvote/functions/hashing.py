@@ -94,9 +94,12 @@ def jaccard_estimate(a: Column, b: Column) -> Column:
     return same / F.size(a)
 
 
+def directions(bits: int, dims: int, seed: int = 1) -> list[list[float]]:
+    rng = random.Random(seed)
+    return [[rng.gauss(0, 1) for _ in range(dims)] for _ in range(bits)]
+
+
 def signed_projection(df: DataFrame, id_col: str, vec_col: str, bits: int, dims: int, seed: int = 1) -> DataFrame:
     """(id, sig): signs of random projections of dense vectors."""
-    rng = random.Random(seed)
-    rows = [[rng.gauss(0, 1) for _ in range(dims)] for _ in range(bits)]
-    dot = [F.aggregate(F.zip_with(F.col(vec_col), F.array(*[F.lit(x) for x in r]), lambda p, q: p.cast("double") * q), F.lit(0.0), lambda s, x: s + x) for r in rows]
+    dot = [F.aggregate(F.zip_with(F.col(vec_col), F.array(*[F.lit(x) for x in r]), lambda p, q: p.cast("double") * q), F.lit(0.0), lambda s, x: s + x) for r in directions(bits, dims, seed)]
     return df.where(F.col(vec_col).isNotNull()).select(F.col(id_col).alias("id"), F.array(*[(d >= 0).cast("long") for d in dot]).alias("sig"))

@@ -56,13 +56,20 @@ class Build:
         self.add("near", f"SELECT f.id, t.bin, t.coin, min({right}) rd, arg_min(f.value, {right}) rv, min({left}) ld, arg_min(f.value, {left}) lv FROM sig f, toss t GROUP BY ALL")
         return self.add("full_sig", f"SELECT id, bin, CASE WHEN rd = 0 THEN rv WHEN {pick} THEN rv{far}rd ELSE lv{far}ld END AS value FROM near")
 
+    def minhash(self, bins: int, seed: int = 1) -> Build:
+        co = hash_coefficients(seed, bins)
+        return self.add("full_sig", " UNION ALL ".join(f"SELECT id, CAST({i} AS INTEGER) bin, min({uni(num('token'), a, b)}) AS value FROM sets GROUP BY id" for i, (a, b) in enumerate(co)))
+
     def keys(self, k: int, tables: int, layout: str = "block") -> Build:
         table = f"bin // {k}" if layout == "block" else f"bin % {tables}"
         return self.add("keys", f"SELECT id, CAST({table} AS INTEGER) table_id, string_agg(CAST(value AS VARCHAR), '-' ORDER BY bin) bucket_key FROM full_sig GROUP BY ALL")
 
     def buckets(self, k: int, tables: int, nodes: int, **options) -> Build:
         layout = options.pop("layout", "block")
-        self.signature(k * tables).dense(k * tables, **options).keys(k, tables, layout)
+        if options.pop("family", "") == "minhash":
+            self.minhash(k * tables).keys(k, tables, layout)
+        else:
+            self.signature(k * tables).dense(k * tables, **options).keys(k, tables, layout)
         return self.add("buckets", f"SELECT CAST({num('id')} % {nodes} AS INTEGER) node, table_id, bucket_key, id FROM keys")
 
     def asked(self, n: int | None = None) -> Build:
@@ -121,3 +128,25 @@ class Build:
     def pairs(self, where: str = "a.id <> b.id") -> Build:
         self.add("sizes", "SELECT id, count(*) n FROM sets GROUP BY id")
         return self.add("sim_rows", f"SELECT a.id query_id, b.id, count(*) AS shared, any_value(sa.n) na, any_value(sb.n) nb FROM sets a JOIN sets b ON a.token = b.token AND {where} JOIN sizes sa ON sa.id = a.id JOIN sizes sb ON sb.id = b.id WHERE a.id IN (SELECT query_id FROM asked) GROUP BY ALL")
+
+    def agreement(self) -> Build:
+        """Pairs of sim_rows with the share of bins in which their full_sig values agree."""
+        self.add("bins", "SELECT count(DISTINCT bin) b FROM full_sig")
+        self.add("same", "SELECT s.query_id, s.id, count(*) c FROM sim_rows s JOIN full_sig x ON x.id = s.query_id JOIN full_sig y ON y.id = s.id AND y.bin = x.bin AND y.value = x.value GROUP BY ALL")
+        return self.add("agreed", "SELECT s.*, coalesce(c, 0) / CAST(b AS DOUBLE) rate FROM sim_rows s LEFT JOIN same m ON m.query_id = s.query_id AND m.id = s.id, bins")
+
+    def hits(self, k: int, src: str = "counts", name: str = "placed_ids") -> Build:
+        return self.add(name, f"SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) AS rk, id FROM {src} WHERE query_id <> id QUALIFY rk <= {k}")
+
+    def graded(self, src: str = "placed_ids", ks: tuple[int, ...] = (10,), name: str = "graded") -> Build:
+        """(k, s_at_k, coverage, queries) of placed answers (query_id, rk, id) by exact cosine; missing answers are left out of the mean."""
+        self.add(f"{name}_c", f"SELECT p.query_id, p.rk, p.id, count(a.token) na, count(b.token) both_n FROM {src} p JOIN sets a ON a.id = p.query_id LEFT JOIN sets b ON b.id = p.id AND b.token = a.token GROUP BY ALL")
+        self.add(f"{name}_s", f"SELECT c.*, both_n / sqrt(CAST(na * n AS DOUBLE)) sim FROM {name}_c c JOIN (SELECT id, count(*) n FROM sets GROUP BY id) z ON z.id = c.id")
+        wanted = ", ".join(f"({k})" for k in ks)
+        per = f"SELECT k, query_id, sum(sim) s, count(*) n FROM {name}_s, (VALUES {wanted}) t(k) WHERE rk <= k GROUP BY ALL"
+        n = "(SELECT count(*) FROM asked)"
+        return self.add(name, f"SELECT CAST(k AS INTEGER) k, round(avg(s / n), 6) s_at_k, round(sum(n) / CAST(k * {n} AS DOUBLE), 6) coverage, CAST({n} AS BIGINT) queries FROM ({per}) GROUP BY k")
+
+
+def union_all(parts: list[str]) -> str:
+    return " UNION ALL ".join(f"SELECT * FROM ({p})" for p in parts)

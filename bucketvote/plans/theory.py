@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -26,6 +28,12 @@ def choose_parameters(spark: SparkSession, boost: float = 1.0) -> DataFrame:
     return base.select("n", "p1", "p2", F.round(F.col("a") / F.col("b"), 6).alias("ratio"), F.round(rho, 6).alias("rho"), F.round(k, 6).alias("k"), F.round(F.pow(F.col("n").cast("double"), rho) * boost, 4).alias("l"), (F.col("a") / F.col("b") < 0.5).alias("strong"))
 
 
+def theorem_setting(n: int, p1: float, p2: float) -> tuple[int, int]:
+    """Whole K and L of the closed forms, for n rows and sensitivities p1, p2."""
+    gap = math.log(p1) - math.log(p2)
+    return math.ceil(math.log(n) / gap), math.ceil(n ** (-math.log(p1) / gap))
+
+
 def signal_to_noise(spark: SparkSession) -> DataFrame:
     p = choose_parameters(spark)
     return p.select("n", "p1", "p2", F.round(F.col("l") * F.pow("p1", "k"), 3).alias("near_signal"), F.round(F.col("n") * F.col("l") * F.pow("p2", "k") / F.col("l"), 3).alias("far_per_table"))

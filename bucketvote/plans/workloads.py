@@ -47,7 +47,11 @@ class Trial:
         return measures.similarity_at_k(found, self.rows, self.queries, ks, missing)
 
 
-def quality_over_nodes(trial: Trial, nodes=(2, 8, 16), ks=(1, 64), depth=2, width=1024) -> DataFrame:
+#: The node counts of the scaling experiments.
+EVERY_NODES = (2, 4, 6, 8, 10, 12, 14, 16)
+
+
+def quality_over_nodes(trial: Trial, nodes=EVERY_NODES, ks=(1, 64), depth=2, width=1024) -> DataFrame:
     """S@k of tree, linear and exact by nodes, with the gap to brute force."""
     out = []
     for m in nodes:
@@ -56,10 +60,12 @@ def quality_over_nodes(trial: Trial, nodes=(2, 8, 16), ks=(1, 64), depth=2, widt
             found = trial.search(ids if strategy == "exact" else cells, max(ks), m, strategy, depth, width)
             out.append(trial.quality(found, ks).select(F.lit(strategy).alias("strategy"), F.lit(m).alias("nodes"), "k", "s_at_k", "coverage", "queries"))
     ideal = trial.quality(S.brute_force(trial.rows, trial.queries, max(ks)), ks)
-    return measures.quality_gap(stored(together(out), "quality"), ideal)
+    # one table a node count: its three plans run side by side, and no plan grows with the sweep
+    parts = [stored(together(out[i : i + 3]), "quality") for i in range(0, len(out), 3)]
+    return measures.quality_gap(together(parts), stored(ideal, "ideal"))
 
 
-def index_scaling(spark, families: dict[str, tuple[DataFrame, int, int]], nodes=(2, 4, 8, 16), depth=2, width=256) -> DataFrame:
+def index_scaling(spark, families: dict[str, tuple[DataFrame, int, int]], nodes=EVERY_NODES, depth=2, width=1024) -> DataFrame:
     """Seconds to build sketch indexes, a node being a partition of the sets; speed-up over the fewest nodes."""
     times = []
     for name, (rows, k, tables) in families.items():
@@ -70,7 +76,7 @@ def index_scaling(spark, families: dict[str, tuple[DataFrame, int, int]], nodes=
     return measures.scaling(rows_of(spark, times, "family string, nodes int, seconds double"), ["family"])
 
 
-def query_scaling(spark, trials: dict[str, Trial], nodes=(2, 8, 16), answers=64, depth=2, width=256) -> DataFrame:
+def query_scaling(spark, trials: dict[str, Trial], nodes=EVERY_NODES, answers=64, depth=2, width=1024) -> DataFrame:
     """Milliseconds a query, by nodes and strategy, from stored indexes; one batch each, after one that warms up."""
     times = []
     for name, trial in trials.items():
@@ -83,36 +89,47 @@ def query_scaling(spark, trials: dict[str, Trial], nodes=(2, 8, 16), answers=64,
     return rows_of(spark, times, "family string, strategy string, nodes int, queries int, ms_per_query double")
 
 
-def large_scale(spark, rows: DataFrame, queries: DataFrame, nodes=(5, 10, 15, 20), k=4, tables=32) -> DataFrame:
-    """Index seconds and query milliseconds on the largest table, by nodes."""
+#: Fixed value: rows of the published large run.
+PUBLISHED_ROWS = 4_195_197_692
+
+
+def large_scale(spark, rows: DataFrame, queries: DataFrame, nodes=(5, 10, 15, 20), k=4, tables=32, depth=2, width=1024) -> DataFrame:
+    """Index seconds and query milliseconds on the largest table, by nodes, and what the largest node count's index
+    would take at the published size, in proportion to rows and cores: a build is one pass over the rows and one shuffle of its cells."""
     trial, times = Trial(rows, queries, k, tables), []
+    n, cores = trial.rows.count(), spark.sparkContext.defaultParallelism
     for m in nodes:
-        built = measures.timed(S.build_sketch_index(S.build_bucket_index(trial.rows, k, tables, m), 2, 256))
-        run = trial.search(trial.index(m, 2, 256), 64, m, "tree", 2, 256)
+        built = measures.timed(S.build_sketch_index(S.build_bucket_index(trial.rows, k, tables, m), depth, width))
+        run = trial.search(trial.index(m, depth, width), 64, m, "tree", depth, width)
         measures.timed(run)
-        times.append((m, round(built, 3), round(1000 * measures.timed(run) / max(1, trial.n), 3)))
-    return rows_of(spark, times, "nodes int, index_seconds double, ms_per_query double")
+        core_seconds_a_million = built * cores / max(1, n) * 1e6
+        times.append((m, n, round(built, 3), round(1000 * measures.timed(run) / max(1, trial.n), 3), round(core_seconds_a_million, 3), round(core_seconds_a_million * PUBLISHED_ROWS / 1e6 / 3600, 1)))
+    return rows_of(spark, times, "nodes int, rows long, index_seconds double, ms_per_query double, core_seconds_per_million double, published_core_hours double")
 
 
-def sketch_sizes(trial: Trial, depths=(1, 2), widths=(64, 256, 1024), answers=10, nodes=4) -> DataFrame:
+def sketch_sizes(trial: Trial, depths=(1, 2, 3, 4), widths=(64, 128, 256, 512, 1024, 2048, 4096), answers=10, nodes=4) -> DataFrame:
     """Quality and error of the sketch by depth and width."""
     exact = stored(S.exact_counts(trial.asked, at_nodes(trial.keys, nodes), queries=trial.n, tables=trial.tables), "counts")
     out = []
     for depth in depths:
         for width in widths:
-            found = stored(trial.search(trial.index(nodes, depth, width), answers, nodes, "tree", depth, width), "found")
+            cells = S.build_sketch_index(at_nodes(trial.keys, nodes), depth, width)
+            found = stored(trial.search(cells, answers, nodes, "tree", depth, width), "found")
             error = measures.sketch_error(found, exact)
             out.append(trial.quality(found, (answers,)).crossJoin(error).select(F.lit(depth).alias("depth"), F.lit(width).alias("width"), "s_at_k", "coverage", "mean_over", "mean_under"))
     return together(out)
 
 
-def reservoirs(trial: Trial, caps=(8, 32, 128), answers=10, nodes=4) -> DataFrame:
-    """Quality by the cap of reservoir buckets, beside uncapped buckets (cap 0)."""
+def reservoirs(rows: DataFrame, queries: DataFrame, k=1, tables=(8, 16, 24, 32), caps=(8, 32, 128), answers=10, nodes=4) -> DataFrame:
+    """Quality by the number of tables and the cap of reservoir buckets, beside uncapped buckets (cap 0)."""
     out = []
-    for cap in (*caps, 0):
-        strategy = "reservoir" if cap else "exact"
-        found = trial.search(trial.index(nodes, strategy=strategy, cap=cap), answers, nodes, strategy)
-        out.append(trial.quality(found, (answers,)).select(F.lit(cap).alias("cap"), "s_at_k", "coverage"))
+    for t in tables:
+        trial = Trial(rows, queries, k, t)
+        for cap in (*caps, 0):
+            strategy = "reservoir" if cap else "exact"
+            index = S.build_reservoir_index(at_nodes(trial.keys, nodes), cap) if cap else at_nodes(trial.keys, nodes)
+            found = trial.search(index, answers, nodes, strategy)
+            out.append(trial.quality(found, (answers,)).select(F.lit(t).alias("tables"), F.lit(cap).alias("cap"), "s_at_k", "coverage"))
     return together(out)
 
 
@@ -127,14 +144,13 @@ def hash_families(rows: DataFrame, queries: DataFrame, k=1, tables=24, answers=1
     return together(out)
 
 
-def parameter_sweep(rows: DataFrame, queries: DataFrame, ks=(1, 2, 4), tables=(8, 24), answers=10) -> DataFrame:
-    """Quality, coverage and candidates a query of exact counting by K and L."""
+def parameter_sweep(rows: DataFrame, queries: DataFrame, settings: tuple[tuple[int, int], ...], answers=10) -> DataFrame:
+    """Quality, coverage and candidates a query of exact counting by settings (K, L)."""
     out = []
-    for k in ks:
-        for t in tables:
-            trial = Trial(rows, queries, k, t)
-            counts = stored(S.exact_counts(trial.asked, at_nodes(trial.keys, 1), queries=trial.n, tables=t), "counts")
-            found = S.top_hits(counts, answers)
-            load = counts.agg(F.round(F.count("*") / trial.n, 3).alias("candidates"))
-            out.append(trial.quality(found, (answers,)).crossJoin(load).select(F.lit(k).alias("k"), F.lit(t).alias("tables"), "s_at_k", "coverage", "candidates"))
+    for k, t in settings:
+        trial = Trial(rows, queries, k, t)
+        counts = stored(S.exact_counts(trial.asked, at_nodes(trial.keys, 1), queries=trial.n, tables=t), "counts")
+        found = S.top_hits(counts, answers)
+        load = counts.agg(F.round(F.count("*") / trial.n, 3).alias("candidates"))
+        out.append(trial.quality(found, (answers,)).crossJoin(load).select(F.lit(k).alias("k"), F.lit(t).alias("tables"), "s_at_k", "coverage", "candidates"))
     return together(out)

@@ -5,10 +5,10 @@ from __future__ import annotations
 from pyspark.sql import Window
 from pyspark.sql import functions as F
 
-from .catalogue import B, CLASSES, COS, DEPTH, K, NODES, TABLES, WIDTH, asked, asked_build, buckets, cells, doc_sets, ml_join, ml_single, near_classes, qkeys, top_by
+from .catalogue import B, CLASSES, COS, DEPTH, JACCARD, K, NODES, TABLES, WIDTH, WORDS, asked, asked_build, buckets, cells, doc_sets, ml_join, ml_single, near_classes, qkeys, shingles_sql, signs_sql, top_by
 from .functions import features, hashing, similarity
 from .operators import search as S
-from .oracle import LINE_SETS, Build, num
+from .oracle import LINE_SETS, Build, num, union_all
 from .plans import measures, theory, workloads
 from .registry import add
 from .sources.shared import shared_folder, stored
@@ -61,7 +61,7 @@ def sensitivity(s, d):
     return measures.estimate_sensitivity(hashing.minhash(rows, 64), pairs, 0.5, 0.2)
 
 
-add("th04_sensitivity")(sensitivity)
+add("th04_sensitivity", Build().asked().minhash(64).pairs().agreement().select(f"SELECT round(avg(rate) FILTER ({JACCARD} >= 0.5), 6) p1, round(avg(rate) FILTER ({JACCARD} <= 0.2), 6) p2 FROM agreed"))(sensitivity)
 
 
 # baselines
@@ -73,19 +73,38 @@ def dense_truth(v, q, k):
     return top_by(similarity.dense_pairs(v, q), k)
 
 
-def projection(s, d, bits=4, tables=16, k=5):
-    """Recall of projection keys with exact distances among what they meet."""
+def projected(s, d, bits=4, tables=16):
+    """Vectors, queries, and the hits of projection keys."""
     v = stored(dense(s, d), "vectors")
     q = stored(asked(v), "queries")
     keys = hashing.bucket_keys(hashing.signed_projection(v, "id", "v", bits * tables, 64), bits, tables)
     mine = keys.join(q.select("id"), "id", "left_semi").withColumnRenamed("id", "query_id")
-    met = S.exact_counts(mine, keys).where("query_id <> id")
+    return v, q, S.exact_counts(mine, keys)
+
+
+def with_cosine(met, v, q):
     both = met.join(v, "id").join(q.select(F.col("id").alias("query_id"), F.col("v").alias("q")), "query_id")
-    found = top_by(both.select("query_id", "id", similarity.cosine_dense(F.col("q"), F.col("v")).alias("similarity")), k)
+    return both.withColumn("similarity", similarity.cosine_dense(F.col("q"), F.col("v"))).drop("q", "v")
+
+
+def projection(s, d, bits=4, tables=16, k=5):
+    """Recall of projection keys with exact distances among what they meet."""
+    v, q, met = projected(s, d, bits, tables)
+    found = top_by(with_cosine(met.where("query_id <> id"), v, q), k)
     return measures.recall_at_k(found, dense_truth(v, q, k), k)
 
 
-add("b09_projection_lsh")(projection)
+def projected_sql(bits=4, tables=16):
+    """Common table expressions `hit` (query_id, id, hits) and `near` (query_id, id, c) of query rows with all others."""
+    return f"""WITH signs AS ({signs_sql(bits * tables, 64)}), keys AS (SELECT id, bin // {bits} table_id, string_agg(CAST(value AS VARCHAR), '-' ORDER BY bin) bucket_key FROM signs GROUP BY ALL),
+ vec AS (SELECT vec_id id, CAST(embedding AS DOUBLE[]) v FROM embeddings WHERE embedding IS NOT NULL),
+ hit AS (SELECT a.id query_id, b.id, count(*) hits FROM keys a JOIN keys b USING (table_id, bucket_key) WHERE a.id % 100 = 0 AND a.id <> b.id GROUP BY ALL),
+ near AS (SELECT a.id query_id, b.id, list_dot_product(a.v, b.v) / sqrt(list_dot_product(a.v, a.v) * list_dot_product(b.v, b.v)) c FROM vec a JOIN vec b ON a.id % 100 = 0 AND a.id <> b.id)"""
+
+
+add("b09_projection_lsh", f"""{projected_sql()}, truth AS (SELECT query_id, id FROM near QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round(c, 9) DESC, id) <= 5),
+ got AS (SELECT query_id, id FROM near SEMI JOIN hit USING (query_id, id) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY round(c, 9) DESC, id) <= 5)
+ SELECT CAST(5 AS INTEGER) k, found, wanted, round(found / CAST(wanted AS DOUBLE), 6) recall FROM (SELECT count(*) found FROM truth SEMI JOIN got USING (query_id, id)), (SELECT count(*) wanted FROM truth)""")(projection)
 
 
 def coarse(s, d, lists=16, probes=10, k=5, fit_rows=20_000):
@@ -133,7 +152,31 @@ add("w02_against_builtin")(against_builtin)
 add("w03_index_scaling")(lambda s, d: workloads.index_scaling(s, {"lineitem": (line_sets(s, d), 4, 16), "documents": (doc_sets(s, d), 4, 24)}))
 add("w04_query_scaling")(lambda s, d: workloads.query_scaling(s, {"lineitem": click_trial(s, d), "documents": text_trial(s, d, 4, 24)}))
 add("w05_quality_clicks")(lambda s, d: workloads.quality_over_nodes(click_trial(s, d)))
-add("w06_quality_text")(lambda s, d: workloads.quality_over_nodes(text_trial(s, d)))
+#: K and L of the text experiment, and of short keys that cover more.
+TEXT = ((4, 24), (1, 12))
+
+
+def quality_text(s, d):
+    out = [workloads.quality_over_nodes(text_trial(s, d, k, t)).select(F.lit(k).alias("per_key"), F.lit(t).alias("tables"), "strategy", "nodes", "k", "s_at_k", "coverage", "queries", "ideal", "gap") for k, t in TEXT]
+    return workloads.together(out)
+
+
+def quality_text_sql(k, t, ks=(1, 64), depth=2, width=1024):
+    parts = []
+    for m in workloads.EVERY_NODES:
+        for strategy in ("tree", "linear"):
+            b = getattr(Build().buckets(k, t, m).cells(depth, width).queries().local(), strategy)(m).top(max(ks), depth, width)
+            b.add("placed_ids", 'SELECT query_id, "rank" rk, id FROM answers').graded(ks=ks)
+            parts.append(b.select(f"SELECT '{strategy}' strategy, CAST({m} AS INTEGER) nodes, * FROM graded"))
+    nodes = ", ".join(f"({m})" for m in workloads.EVERY_NODES)
+    # exact counts are the same on any number of nodes
+    parts.append(Build().buckets(k, t, 1).queries().counts().hits(max(ks)).graded(ks=ks).select(f"SELECT 'exact' strategy, CAST(m AS INTEGER) nodes, g.* FROM graded g, (VALUES {nodes}) t(m)"))
+    best = asked_build().pairs().add("placed_ids", f"SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY round({COS}, 9) DESC, id) AS rk, id FROM sim_rows QUALIFY rk <= {max(ks)}")
+    ideal = best.graded(ks=ks).select("SELECT k, s_at_k AS ideal FROM graded")
+    return f"SELECT CAST({k} AS INTEGER) per_key, CAST({t} AS INTEGER) AS tables, a.*, ideal, round(ideal - s_at_k, 6) gap FROM ({union_all(parts)}) a JOIN ({ideal}) i ON a.k = i.k"
+
+
+add("w06_quality_text", union_all([quality_text_sql(k, t) for k, t in TEXT]))(quality_text)
 add("w07_large_scale")(lambda s, d: workloads.large_scale(s, line_sets(s, d), asked(line_sets(s, d))))
 
 
@@ -146,6 +189,16 @@ BATCH = B().add("c", "SELECT a.id query_id, b.id, count(*) hits FROM buckets a J
 add("w08_large_batch", BATCH.select("SELECT count(*) answers, count(DISTINCT query_id) answered, CAST(sum(hits) AS BIGINT) hits FROM t"))(whole_batch)
 
 
+def whole_batch_sketch(s, d):
+    """Every document asks at once, answered by sketches and the tree."""
+    found = S.search(doc_sets(s, d), doc_sets(s, d), K, TABLES, 10, NODES, "tree", DEPTH, WIDTH)
+    return found.agg(F.count("*").alias("answers"), F.count_distinct("query_id").alias("answered"), F.sum("votes").alias("votes"), F.sum("upper").alias("upper"))
+
+
+EVERY = B().cells(DEPTH, WIDTH).add("qkeys", "SELECT id query_id, table_id, bucket_key FROM keys").local().tree(NODES).top(10, DEPTH, WIDTH)
+add("w08_sketch_batch", EVERY.select("SELECT count(*) answers, count(DISTINCT query_id) answered, CAST(sum(votes) AS BIGINT) votes, CAST(sum(upper) AS BIGINT) AS upper FROM answers"))(whole_batch_sketch)
+
+
 def class_report(s, d):
     """Classes of two or more documents: how many, their documents, and how many hold one language only."""
     c = near_classes(s, d).join(load(s, d, "documents").select(F.col("doc_id").alias("id"), "lang"), "id")
@@ -154,7 +207,37 @@ def class_report(s, d):
 
 
 add("w09_near_duplicates", f"SELECT count(*) classes, CAST(sum(n) AS BIGINT) documents, count(*) FILTER (langs <= 1) one_language FROM (SELECT class_id, count(*) n, count(DISTINCT lang) langs FROM ({CLASSES}) c JOIN documents ON doc_id = id GROUP BY class_id) WHERE n > 1")(class_report)
-add("w10_reservoirs")(lambda s, d: workloads.reservoirs(text_trial(s, d)))
+
+
+def duplicate_recall(s, d, least=0.8):
+    """Distances computed, links found and true links of the query rows: every pair of `least` or more, by a join on all shingles."""
+    rows = doc_sets(s, d, "shingle", WORDS)
+    q = asked(rows)
+    met = S.with_similarity(S.exact_counts(S.hash_queries(q, 2, 16), S.build_bucket_index(rows, 2, 16)).where("query_id <> id"), rows, q, "jaccard")
+    got = met.agg(F.count("*").alias("distances"), F.count_if(F.col("similarity") >= least).alias("links"))
+    true = similarity.shared_tokens(rows, q, "jaccard").agg(F.count_if(F.col("similarity") >= least).alias("true_links"))
+    share = {"precision": F.expr("round(links / nullif(distances, 0), 6)"), "recall": F.expr("round(links / nullif(true_links, 0), 6)")}
+    return got.crossJoin(true).withColumns(share)  # a row each
+
+
+add("w09_recall", Build(shingles_sql(WORDS)).buckets(2, 16, 1).queries().counts().pairs().add("tried", f"SELECT count(*) distances, count(*) FILTER ({JACCARD} >= 0.8) links FROM counts c LEFT JOIN sim_rows s ON s.query_id = c.query_id AND s.id = c.id WHERE c.query_id <> c.id").add("truth", f"SELECT count(*) FILTER ({JACCARD} >= 0.8) true_links FROM sim_rows").select("SELECT *, round(links / CAST(nullif(distances, 0) AS DOUBLE), 6) AS precision, round(links / CAST(nullif(true_links, 0) AS DOUBLE), 6) recall FROM tried, truth"))(duplicate_recall)
+CAPS, SWEPT = (8, 32, 128), (8, 16, 24, 32)
+
+
+def reservoirs_sql(set_sql, k, tables):
+    parts = []
+    for t in tables:
+        for cap in (*CAPS, 0):
+            b = Build(set_sql).buckets(k, t, NODES)
+            if cap:
+                b.add("kept", f"SELECT * FROM buckets QUALIFY row_number() OVER (PARTITION BY node, table_id, bucket_key ORDER BY {num("concat_ws('/', id, table_id)")}, id) <= {cap}")
+            b.queries().counts("kept" if cap else "buckets").hits(10).graded()
+            parts.append(b.select(f"SELECT CAST({t} AS INTEGER) AS tables, CAST({cap} AS INTEGER) cap, s_at_k, coverage FROM graded"))
+    return union_all(parts)
+
+
+add("w10_reservoirs", reservoirs_sql(None, 1, SWEPT))(lambda s, d: workloads.reservoirs(doc_sets(s, d), asked(doc_sets(s, d)), 1, SWEPT, CAPS))
+add("w10_reservoirs_lines")(lambda s, d: workloads.reservoirs(line_sets(s, d), asked(line_sets(s, d)), 4, SWEPT, CAPS))
 
 
 def traffic(s, d, m=16):
@@ -165,6 +248,39 @@ def traffic(s, d, m=16):
 
 ROUNDS = " + ".join(f'(SELECT count(*) FROM (SELECT DISTINCT query_id, node // {1 << i} n, "row", col FROM local_cells) WHERE n % 2 = 1)' for i in range(4))
 add("w11_communication", B(16).cells(DEPTH, WIDTH).queries().local().add("per", "SELECT DISTINCT q.query_id, node, b.id FROM qkeys q JOIN buckets b USING (table_id, bucket_key)").select(f"SELECT 'linear' strategy, count(*) n FROM local_cells WHERE node > 0 UNION ALL SELECT 'exact', count(*) FROM per WHERE node > 0 UNION ALL SELECT 'tree', {ROUNDS}"))(traffic)
-add("w12_sketch_size")(lambda s, d: workloads.sketch_sizes(text_trial(s, d)))
-add("w13_hash_families")(lambda s, d: workloads.hash_families(doc_sets(s, d), asked(doc_sets(s, d))))
-add("w15_parameter_sweep")(lambda s, d: workloads.parameter_sweep(doc_sets(s, d), asked(doc_sets(s, d))))
+DEPTHS, WIDTHS = (1, 2, 3, 4), (64, 128, 256, 512, 1024, 2048, 4096)
+
+
+def sketch_size_sql(depth, width):
+    b = Build().buckets(1, 12, NODES).cells(depth, width).queries().local().tree(NODES).top(10, depth, width).counts()
+    b.add("placed_ids", 'SELECT query_id, "rank" rk, id FROM answers').graded()
+    b.add("err", "SELECT round(avg(a.upper - coalesce(hits, 0)), 6) mean_over, round(avg(coalesce(hits, 0) - votes), 6) mean_under FROM answers a LEFT JOIN counts c ON c.query_id = a.query_id AND c.id = a.id")
+    return b.select(f"SELECT CAST({depth} AS INTEGER) AS depth, CAST({width} AS INTEGER) width, s_at_k, coverage, mean_over, mean_under FROM graded, err")
+
+
+add("w12_sketch_size", union_all([sketch_size_sql(x, w) for x in DEPTHS for w in WIDTHS]))(lambda s, d: workloads.sketch_sizes(text_trial(s, d), DEPTHS, WIDTHS, 10, NODES))
+
+
+def family_quality(s, d, answers=10):
+    """Set families on documents by exact counting, and projections on embeddings; quality is the mean cosine of the first answers."""
+    v, q, met = projected(s, d, 4, 16)
+    first = with_cosine(S.top_hits(met, answers), v, q).groupBy("query_id").agg(F.avg("similarity").alias("s"), F.count("*").alias("n"))
+    dense_row = first.agg(F.round(F.avg("s"), 6).alias("s_at_k"), F.sum("n").alias("n")).select(F.lit("projection").alias("family"), F.lit(64).alias("hashes_per_token"), "s_at_k", F.round(F.col("n") / F.lit(answers * q.count()), 6).alias("coverage"))
+    return workloads.hash_families(doc_sets(s, d), asked(doc_sets(s, d)), answers=answers).unionByName(dense_row)
+
+
+WAYS = {"minhash": {"family": "minhash"}, "per_bin": {}, "rotation": {"coin": "always_right"}, "closest": {"coin": "closest_side"}, "offset": {"offset": True}, "interleave": {"layout": "interleave"}}
+WAYS_SQL = [Build().buckets(1, 24, 1, **o).queries().counts().hits(10).graded().select(f"SELECT '{n}' AS family, CAST({24 if n == 'minhash' else 1} AS INTEGER) hashes_per_token, s_at_k, coverage FROM graded") for n, o in WAYS.items()]
+WAYS_SQL.append(f"""{projected_sql()}, first AS (SELECT * FROM hit JOIN near USING (query_id, id) QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY hits DESC, id) <= 10),
+ per AS (SELECT query_id, avg(c) s, count(*) n FROM first GROUP BY query_id) SELECT 'projection' AS family, CAST(64 AS INTEGER) hashes_per_token, round(avg(s), 6) s_at_k, round(sum(n) / (10 * CAST((SELECT count(*) FROM vec WHERE id % 100 = 0) AS DOUBLE)), 6) coverage FROM per""")
+add("w13_hash_families", union_all(WAYS_SQL))(family_quality)
+#: K and L of a grid, and those the closed forms give for 10,000 rows.
+GRID = (*[(k, t) for k in (1, 2, 4) for t in (8, 24)], *dict.fromkeys(theory.theorem_setting(10_000, p1, p2) for p1, p2 in ((0.8, 0.3), (0.9, 0.4))))
+
+
+def setting_sql(k, t):
+    b = Build().buckets(k, t, 1).queries().counts().hits(10).graded()
+    return b.select(f"SELECT CAST({k} AS INTEGER) k, CAST({t} AS INTEGER) AS tables, s_at_k, coverage, round((SELECT count(*) FROM counts) / CAST(queries AS DOUBLE), 3) candidates FROM graded")
+
+
+add("w15_parameter_sweep", union_all([setting_sql(k, t) for k, t in GRID]))(lambda s, d: workloads.parameter_sweep(doc_sets(s, d), asked(doc_sets(s, d)), GRID))
