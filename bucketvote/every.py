@@ -1,6 +1,6 @@
 """All queries of the engine: importing this registers them."""
 
-from . import catalogue, stream_queries, surface, workload_queries  # noqa: F401
+from . import catalogue, physical_queries, stream_queries, surface, workload_queries  # noqa: F401
 from .registry import QUERIES
 
 __all__ = ["QUERIES"]

@@ -30,3 +30,21 @@ class lsh_keys:
             filled.append(least[next(j for n in range(bins) if (j := (i + step * n) % bins) in least)])
         for t in range(tables):
             yield t, "-".join(map(str, filled[t * k : t * k + k]))
+
+
+@udtf(returnType="query_id: long, rank: int, id: long, upper: long, votes: long")
+class sketch_top:
+    """sketch_top(TABLE(cells) PARTITION BY (query_id), k, depth, width): the best ids of each query's merged cells, at most depth x width a partition."""
+
+    def __init__(self):
+        self.held, self.settings, self.key = {}, None, None
+
+    def eval(self, cell, k: int, depth: int, width: int):
+        self.key, self.settings = cell["query_id"], (k, depth, width)
+        self.held[cell["row"], cell["col"]] = cell["total"], cell["cand"], cell["votes"]
+
+    def terminate(self):
+        from ..operators.counters import top_of
+
+        for n, (ident, upper, votes) in enumerate(top_of(self.held, *self.settings) if self.settings else []):
+            yield self.key, n + 1, ident, upper, votes

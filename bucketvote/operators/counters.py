@@ -9,10 +9,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 from hashlib import md5
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..functions.hashing import PRIME, hash_coefficients
+from .sketch import SEED
+
 SHAPE = "key string, id long, n long, slack long"
 
 
@@ -77,11 +81,14 @@ def lossy_counting(rows: DataFrame, key: str, eps: float) -> DataFrame:
 
 def merge_sketch(row: pd.Series, total: pd.Series, cand: pd.Series, votes: pd.Series) -> list:
     """[total, cand, votes] of cells of one place: the same merge as the engine's expressions, as an aggregate function for SQL users."""
-    sums = votes.groupby(cand).sum()
-    r = int(row.iloc[0])
-    order = sorted(((-int(v), int(md5(f"{c}/{r}".encode()).hexdigest()[:7], 16), int(c)) for c, v in sums.items()))
-    runner = -order[1][0] if len(order) > 1 else 0
-    return [int(total.sum()), order[0][2], -order[0][0] - runner]
+    sums = {int(c): int(v) for c, v in votes.groupby(cand).sum().items()}
+    return [int(total.sum()), *merged_place(int(row.iloc[0]), sums)]
+
+
+def merged_place(row: int, votes: dict) -> tuple[int, int]:
+    """(cand, votes) of a place from the votes of its candidates, ties by the salted hash of the engine's expressions."""
+    order = sorted((-v, int(md5(f"{c}/{row}".encode()).hexdigest()[:7], 16), c) for c, v in votes.items())
+    return order[0][2], -order[0][0] + (order[1][0] if len(order) > 1 else 0)
 
 
 def packed_merge(cells: DataFrame, keys: list[str]) -> DataFrame:
@@ -108,3 +115,73 @@ def tree_reduced(cells: DataFrame, keys: list[str], depth: int = 2) -> dict:
         return a
 
     return cells.rdd.mapPartitions(pack).treeReduce(join, depth)
+
+
+def reduced_cells(cells: DataFrame, keys: list[str], depth: int = 2) -> DataFrame:
+    """(keys, row, col, total, cand, votes): the cells that treeReduce leaves, as a DataFrame again. For bounded sketches only, like `tree_reduced`."""
+    rows = [(*at, total, *merged_place(at[-2], votes)) for at, (total, votes) in tree_reduced(cells, keys, depth).items()]
+    return cells.sparkSession.createDataFrame(rows, cells.select(*keys, "row", "col", "total", "cand", "votes").schema)
+
+
+def sketch_columns(ident: int, depth: int, width: int) -> list[int]:
+    """An id's column in each row of a sketch, as `sketch.column_of` gives it."""
+    number = int(md5(str(ident).encode()).hexdigest()[:7], 16)
+    return [(number * a + b) % PRIME % width for a, b in (hash_coefficients(SEED, r + 1)[r] for r in range(depth))]
+
+
+def top_of(held: dict, k: int, depth: int, width: int) -> list[tuple[int, int, int]]:
+    """(id, upper, votes) of the best candidates of one sketch, held as (row, col) to (total, cand, votes)."""
+    best = []
+    for ident in {cand for _, cand, _ in held.values()}:
+        own = [held.get((r, c), (0, None, 0)) for r, c in enumerate(sketch_columns(ident, depth, width))]
+        best.append((-max(v if c == ident else 0 for _, c, v in own), -min(t for t, _, _ in own), ident))
+    return [(i, -u, -v) for v, u, i in sorted(best)[:k]]
+
+
+def packed_top_k(cells: DataFrame, keys: list[str], k: int, depth: int, width: int) -> DataFrame:
+    """(keys, rank, id) by an aggregate function over a sketch's cells, which are at most depth x width a group."""
+
+    def sketch_top_k(row: pd.Series, col: pd.Series, total: pd.Series, cand: pd.Series, votes: pd.Series) -> list:
+        held = {(int(r), int(c)): (int(t), int(i), int(v)) for r, c, t, i, v in zip(row, col, total, cand, votes)}
+        return [i for i, _, _ in top_of(held, k, depth, width)]
+
+    top = F.pandas_udf(sketch_top_k, "array<bigint>")
+    made = cells.groupBy(*keys).agg(top("row", "col", "total", "cand", "votes").alias("t"))
+    return made.select(*keys, F.posexplode("t").alias("place", "id")).select(*keys, (F.col("place") + 1).alias("rank"), "id")
+
+
+def cogrouped_merge(left: DataFrame, right: DataFrame, key: str) -> DataFrame:
+    """(key, row, col, total, cand, votes): two sketches a key, at most depth x width cells each, merged side by side in one cogroup."""
+
+    def merge(a: pd.DataFrame, b: pd.DataFrame) -> pd.DataFrame:
+        out = []
+        for at, part in pd.concat([a, b]).groupby([key, "row", "col"], sort=False):
+            total, cand, votes = merge_sketch(part["row"], part["total"], part["cand"], part["votes"])
+            out.append((*at, total, cand, votes))
+        return pd.DataFrame(out, columns=[key, "row", "col", "total", "cand", "votes"])
+
+    shape = left.select(key, "row", "col", "total", "cand", "votes").schema
+    return left.groupBy(key).cogroup(right.groupBy(key)).applyInPandas(merge, shape)
+
+
+def packed_estimates(counts: DataFrame) -> DataFrame:
+    """(key, id, estimate) from the built-in count-min sketch: counts is (key, packed, id). The bytes are Spark's own public layout: version, total, depth, width, a multiplier a row, then the table."""
+
+    @F.pandas_udf("long")
+    def estimate(packed: pd.Series, ident: pd.Series) -> pd.Series:
+        out, read = [], {}
+        for data, i in zip(packed, ident):
+            if data not in read:
+                depth, width = (int.from_bytes(data[at : at + 4], "big") for at in (12, 16))
+                numbers = np.frombuffer(data, ">i8", offset=20).astype("int64")
+                read[data] = depth, width, numbers[:depth], numbers[depth:].reshape(depth, width)
+            depth, width, by, table = read[data]
+            least = None
+            for r in range(depth):
+                h = (int(by[r]) * int(i) + (1 << 63)) % (1 << 64) - (1 << 63)
+                c = int(table[r][((h + (h >> 32)) & PRIME) % width])
+                least = c if least is None else min(least, c)
+            out.append(least)
+        return pd.Series(out, dtype="int64")
+
+    return counts.select("key", "id", estimate("packed", "id").alias("estimate"))

@@ -83,6 +83,12 @@ def global_merge(local: DataFrame, nodes: int, strategy: str = "tree", fan_in: i
     return sketch.tree_cells(local, ["query_id"], nodes, fan_in)
 
 
+def on_every_node(merged: DataFrame, nodes: int) -> DataFrame:
+    """The merged cells as every node would hold them after an exchange of results: a copy a node, dealt by node. Costs nodes times the cells; only where all nodes go on with the answer."""
+    copies = F.explode(F.sequence(F.lit(0), F.lit(nodes - 1)))
+    return merged.withColumn("node", copies).repartition(nodes, "node")
+
+
 def exact_counts(keys: DataFrame, buckets: DataFrame, **size) -> DataFrame:
     """(query_id, id, hits): how many of the tables hold the candidate."""
     return probe(keys, buckets, **size).groupBy("query_id", "id").agg(F.count("*").alias("hits"))

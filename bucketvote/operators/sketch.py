@@ -152,6 +152,13 @@ def count_sketch(rows: DataFrame, keys: list[str], depth: int = 3, width: int =
     return spread(rows, depth, width, seed).groupBy(*keys, "row", "col").agg(F.sum(sign).alias("total"))
 
 
+def count_sketch_estimate(cells: DataFrame, ids: DataFrame, keys: list[str], depth: int = 3, width: int = WIDTH, seed: int = SEED) -> DataFrame:
+    """(keys, id, estimate): the median over rows of the signed totals that an id meets; ids is (keys, id)."""
+    sign = 1 - 2 * (salt(F.col("id"), F.col("row")) % 2)
+    hit = spread(ids, depth, width, seed).join(cells, [*keys, "row", "col"], "left")
+    return hit.groupBy(*keys, "id").agg(F.median(sign * F.coalesce("total", F.lit(0))).alias("estimate"))
+
+
 class VoteSketch:
     """Reference in plain Python: one sketch, inserts in arrival order. For tests."""
 

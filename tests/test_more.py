@@ -12,7 +12,7 @@ from bucketvote.operators import counters, duplicates, sketch
 from bucketvote.operators import search as S
 from bucketvote.sources.tables import TABLES, balanced
 
-SOME = ["st02_session", "st04_late_data", "s14_stream_cells", "w16_stream_totals", "st05_stream_static_search", "q12_classes", "o09_range_join", "o10_interval_join", "c12_skew", "q10_near_neighbor", "q11_bounded", "q13_search_one", "w11_communication", "a05_packed_merge", "o29_table_function", "s13_mergeability"]
+SOME = ["st02_session", "st04_late_data", "s14_stream_cells", "w16_stream_totals", "st05_stream_static_search", "q12_classes", "o09_range_join", "o10_interval_join", "c12_skew", "q10_near_neighbor", "q11_bounded", "q13_search_one", "w11_communication", "a05_packed_merge", "o29_table_function", "s13_mergeability", "a06_tree_reduce", "o28_sketch_top_k", "o29_sketch_top", "o30_cogroup", "s08_builtin_estimates", "s10_estimates", "o02_bucketed", "st06_complete", "o27_sql_function", "o32_plan_claims"]
 
 
 @pytest.mark.parametrize("name", SOME)
