@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
+import functools
 import getpass
 import os
 import tempfile
@@ -62,6 +64,31 @@ def file_system(uri: str):
     return fs.FileSystem.from_uri(uri)
 
 
+def give_back() -> None:
+    """Returns to the system what Arrow's pool and the C library hold unused: a worker waits for its next task with little memory."""
+    import pyarrow
+
+    pyarrow.default_memory_pool().release_unused()
+    trim = getattr(ctypes.CDLL(None), "malloc_trim", None)  # glibc only
+    if trim:
+        trim(0)
+
+
+def lean(task):
+    """A task over frames that gives unused memory back after each of them."""
+
+    @functools.wraps(task)
+    def run(frames):
+        try:
+            for out in task(frames):
+                yield out
+                give_back()
+        finally:
+            give_back()
+
+    return run
+
+
 def new_file(folder: str, stem: str) -> str:
     """A file name no other task attempt uses; only files named in a committed manifest count."""
     from pyspark import TaskContext

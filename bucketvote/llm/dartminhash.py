@@ -25,7 +25,7 @@ import xxhash
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import NO_ID, id_in, id_out, with_facts, written
+from .common import NO_ID, id_in, id_out, lean, with_facts, written
 
 SIZE, ROWS, WORDS, THRESHOLD = 128, 4, 5, 0.8
 #: Members of a bucket that all its members are compared with.
@@ -174,7 +174,7 @@ def signatures(docs: DataFrame, size: int = SIZE, rows: int = ROWS, words: int =
             yield pd.DataFrame(out, columns=["doc_id", "text_key", "bands", "sketch", "size"])
 
     found = docs.select(id_in("doc_id"), "text", F.md5("text").alias("text_key"))
-    return id_out(written(found.mapInPandas(task, "doc_id long, text_key string, bands array<long>, sketch binary, size long"), "signatures"), "doc_id")
+    return id_out(written(found.mapInPandas(lean(task), "doc_id long, text_key string, bands array<long>, sketch binary, size long"), "signatures"), "doc_id")
 
 
 def distinct_texts(signed: DataFrame) -> DataFrame:
@@ -324,9 +324,9 @@ def verified(pairs: DataFrame, heads: DataFrame, docs: DataFrame, threshold: flo
         one = p.join(values.select(F.col("node").alias("b"), F.col(value).alias("y")), "b")
         return one.join(values.select(F.col("node").alias("a"), F.col(value).alias("x")), "a")
 
-    close = written(beside(pairs, heads, "sketch").select("a", "b", "x", "y").mapInPandas(near, "a long, b long"), "close-pairs")
+    close = written(beside(pairs, heads, "sketch").select("a", "b", "x", "y").mapInPandas(lean(near), "a long, b long"), "close-pairs")
     texts = texts_of(close.select("a").union(close.select("b")).distinct().withColumnRenamed("a", "node"), heads, docs)
-    return written(beside(close, texts, "text").select("a", "b", "x", "y").mapInPandas(exact, "a long, b long"), "links")
+    return written(beside(close, texts, "text").select("a", "b", "x", "y").mapInPandas(lean(exact), "a long, b long"), "links")
 
 
 def components(links: DataFrame) -> DataFrame:

@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import bounded_sample, held_out, id_in, id_out
+from .common import bounded_sample, give_back, held_out, id_in, id_out, lean
 
 UNKNOWN = "und"
 ORDERS = (2, 3, 4)
@@ -148,7 +148,7 @@ def train(docs: DataFrame, bound: int = SAMPLE) -> LanguageModel:
             yield pd.DataFrame([(d, lang, b[0].astype("<u2").tobytes(), b[1].tobytes()) for d, lang, b in zip(f["doc_id"], f["lang"], found, strict=True) if b], columns=["doc_id", "lang", "ids", "shares"])
 
     # bags, not texts, come to the driver: each has 6 bytes a subword and BUCKETS subwords at most, and their number is bounded
-    rows = bounded_sample(known, F.col("doc_id"), bound, 17).select(id_in("doc_id"), "text", "lang").mapInPandas(task, "doc_id long, lang string, ids binary, shares binary").collect()
+    rows = bounded_sample(known, F.col("doc_id"), bound, 17).select(id_in("doc_id"), "text", "lang").mapInPandas(lean(task), "doc_id long, lang string, ids binary, shares binary").collect()
     rows = sorted(rows, key=lambda r: (r["doc_id"], bytes(r["ids"]), bytes(r["shares"]), r["lang"]))
     return fit([(np.frombuffer(r["ids"], "<u2"), np.frombuffer(r["shares"], np.float32)) for r in rows], [r["lang"] for r in rows])
 
@@ -168,7 +168,7 @@ def predict(docs: DataFrame, model: LanguageModel, keep: list[str] | None = None
 
     cols = docs.select(id_in("doc_id"), held_out(F.col("doc_id")).alias("held_out"), F.col("text").alias("_text"), *[F.col(c).alias(f"_keep{i}") for i, c in enumerate(keep)])
     extra = "".join(f", _keep{i} {docs.schema[c].dataType.simpleString()}" for i, c in enumerate(keep))
-    out = id_out(cols.mapInPandas(task, f"doc_id long, held_out boolean{extra}, lang_pred string, score double"), "doc_id")
+    out = id_out(cols.mapInPandas(lean(task), f"doc_id long, held_out boolean{extra}, lang_pred string, score double"), "doc_id")
     return out.select("doc_id", "held_out", "lang_pred", "score", ((F.col("lang_pred") == UNKNOWN) | (F.col("score") < model.threshold)).alias("rejected"), *[F.col(f"_keep{i}").alias(c) for i, c in enumerate(keep)])
 
 
@@ -182,6 +182,7 @@ def keep_known(docs: DataFrame, model: LanguageModel | None = None) -> DataFrame
         import pandas as pd
 
         found = [shared.value.predict(t) for t in text]
+        give_back()
         return pd.Series([lang != UNKNOWN and score >= shared.value.threshold for lang, score in found], dtype=bool)
 
     return docs.where(kept("text"))

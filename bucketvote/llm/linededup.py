@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import NO_ID, WHITE, id_out, with_facts, written
+from .common import NO_ID, WHITE, id_out, lean, with_facts, written
 
 LEAST_CHARS, LEAST_DOCS = 40, 5
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
@@ -114,7 +114,7 @@ def dropped_lines(lines: DataFrame, least_docs: int = LEAST_DOCS) -> DataFrame:
         if held is not None:
             yield pd.concat(close(held, True))
 
-    found = written(ordered.mapInPandas(task, kinds), "line-runs")
+    found = written(ordered.mapInPandas(lean(task), kinds), "line-runs")
     edges = found.where("kind = 2").groupBy("hi", "lo").agg(F.max("doc").alias("top"), F.sum("docs").alias("n")).where(F.col("n") >= least_docs)
     waiting = with_facts(found.where("kind = 1").select("hi", "lo", "doc", "row_key", "pos"), edges, "hi", "lo").where("doc <> top").select("doc", "row_key", "pos")
     return found.where("kind = 0").select("doc", "row_key", "pos").unionByName(waiting)
@@ -147,7 +147,7 @@ def bitmaps(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int = L
             f["mask"] = [line_mask(g) for g in f["gone"]]
             yield f.drop(columns="gone")
 
-    return written(gone.mapInPandas(task, "doc long, row_key long, n_dropped long, mask binary"), "line-masks")
+    return written(gone.mapInPandas(lean(task), "doc long, row_key long, n_dropped long, mask binary"), "line-masks")
 
 
 def _masked(docs: DataFrame, found: DataFrame) -> DataFrame:
@@ -189,4 +189,4 @@ def digests(docs: DataFrame, least_chars: int = LEAST_CHARS, least_docs: int = L
                 rows.append((doc_id, text.count("\n") + 1, dropped, hashlib.sha256(kept.encode()).hexdigest()))
             yield pd.DataFrame(rows, columns=["doc_id", "n_lines", "n_dropped", "kept_sha256"])
 
-    return id_out(joined.mapInPandas(task, "doc_id long, n_lines long, n_dropped long, kept_sha256 string"), "doc_id")
+    return id_out(joined.mapInPandas(lean(task), "doc_id long, n_lines long, n_dropped long, kept_sha256 string"), "doc_id")

@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import id_in, id_out, written
+from .common import id_in, id_out, lean, written
 from .tokens import END_ID, encoder
 
 CAPACITY = 4096
@@ -42,7 +42,7 @@ def token_pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY) -> D
                     out.append((doc_id, piece, a // 4, len(part) // 4, zlib.crc32(part), tie))
             yield pd.DataFrame(out, columns=["doc_id", "piece", "start", "length", "ids_crc32", "tie"])
 
-    return id_out(docs.select(id_in("doc_id"), "text", F.xxhash64("doc_id", "text").alias("tie")).mapInPandas(task, PIECES), "doc_id")
+    return id_out(docs.select(id_in("doc_id"), "text", F.xxhash64("doc_id", "text").alias("tie")).mapInPandas(lean(task), PIECES), "doc_id")
 
 
 def reduce_dominated(counts: dict[int, int], capacity: int) -> tuple[list[tuple[tuple[int, ...], int]], dict[int, int]]:
