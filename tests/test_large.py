@@ -1,9 +1,13 @@
 """What failed on large tables: against DuckDB and brute force."""
 
+import random
+
 import duckdb
+import pytest
 from pyspark.sql import functions as F
 
 from bucketvote.every import QUERIES
+from bucketvote.operators import pairs
 from bucketvote.sources.tables import TABLES
 
 
@@ -23,3 +27,22 @@ def test_combined_top_is_exact_beyond_a_sketch(spark, tmp_path):
     rows.select(F.xxhash64("id", "i").alias("event_id"), F.col("id").alias("user_id"), F.lit("view").alias("event_type")).write.parquet(f"{tmp_path}/events.parquet")
     q = QUERIES["s12_combined_top_k"]
     assert sorted(map(tuple, q.run(spark, str(tmp_path)).collect())) == by_sql(tmp_path, q.sql)
+
+
+SHINGLED = ("b01_brute_force", "m01_jaccard_top", "m02_weighted_cosine_top", "m04_distances", "q11_within", "q07_classic_lsh", "b04_or_only_lsh", "th04_sensitivity", "o27_arrow_function")
+
+
+@pytest.mark.parametrize("name", SHINGLED)
+def test_blocks_give_what_sql_gives_and_shuffle_no_pair(spark, tmp_path, monkeypatch, name):
+    """Small blocks, steps and postings; copies, near copies, repeated words and a word in every text."""
+    for what, value in (("BLOCK", 3), ("STEP", 7), ("POSTINGS", 50)):
+        monkeypatch.setattr(pairs, what, value)
+    rng = random.Random(3)
+    texts = [" ".join(["the", *rng.choices([f"w{i}" for i in range(60)], k=rng.randrange(1, 60))]) for _ in range(60)]
+    docs = [(i * 10, texts[rng.randrange(60)] + (" more" if i % 3 else "")) for i in range(150)] + [(7, None), (8, " !"), (9, "alone")]
+    spark.createDataFrame(docs, "doc_id long, text string").coalesce(3).write.parquet(f"{tmp_path}/documents.parquet")
+    q = QUERIES[name]
+    made = q.run(spark, str(tmp_path))
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "explode" not in plan.lower()
+    assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(tmp_path, f"SELECT {', '.join(chr(34) + c + chr(34) for c in sorted(made.columns))} FROM ({q.sql})")
