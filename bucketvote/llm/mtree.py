@@ -19,9 +19,11 @@ import numpy as np
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import file_system, run_folder, written
 
 CELL, PAGE, FAN, QUERIES = 2048, 256, 8, 256
+#: Trees of a task on average: it reads the query blocks once for all of them.
+TREES = 64
 _SLACK = 1e-6
 
 
@@ -47,7 +49,7 @@ class Tree:
         """Ids, vectors and pages as bytes."""
         parts = [np.concatenate([n[i] for n in self.nodes]) if self.nodes else np.zeros(0) for i in range(4)]
         return {
-            "ids": self.ids.astype("<i8").tobytes(), "vectors": self.vectors.astype("<i8").tobytes(), "entries": np.array([len(n[0]) for n in self.nodes], "<i4").tobytes(),
+            "ids": self.ids.astype("<i8").tobytes(), "vectors": packed(self.vectors), "entries": np.array([len(n[0]) for n in self.nodes], "<i4").tobytes(),
             "objects": parts[0].astype("<i4").tobytes(), "parents": parts[1].astype("<f8").tobytes(), "radii": parts[2].astype("<f8").tobytes(), "children": parts[3].astype("<i4").tobytes(),
         }
 
@@ -55,7 +57,7 @@ class Tree:
     def load(cls, dim: int, ids: bytes, vectors: bytes, entries: bytes, objects: bytes, parents: bytes, radii: bytes, children: bytes) -> "Tree":
         cuts = np.cumsum(np.frombuffer(entries, "<i4"))[:-1]
         parts = [np.split(np.frombuffer(data, kind), cuts) for data, kind in ((objects, "<i4"), (parents, "<f8"), (radii, "<f8"), (children, "<i4"))]
-        return cls(np.frombuffer(ids, "<i8"), _matrix(np.frombuffer(vectors, "<i8").reshape(-1, dim)), list(zip(*parts, strict=True)))
+        return cls(np.frombuffer(ids, "<i8"), _matrix(unpacked(vectors, len(ids) // 8, dim)), list(zip(*parts, strict=True)))
 
     def _own_squares(self) -> list:
         if self.vectors.dtype == np.float64:
@@ -159,6 +161,17 @@ def _exact(vectors: np.ndarray):
     return lambda page, q: np.array([sum(int(a) * int(b) for a, b in zip(v, q, strict=True)) for v in page], object)
 
 
+def packed(vectors: np.ndarray) -> bytes:
+    """Whole numbers in two bytes each, if all fit, else in eight."""
+    small = vectors.size == 0 or float(np.abs(vectors).max()) < 2**15
+    return vectors.astype("<i2" if small else "<i8").tobytes()
+
+
+def unpacked(data: bytes, rows: int, dim: int) -> np.ndarray:
+    kind = "<i2" if len(data) == 2 * rows * dim else "<i8"
+    return np.frombuffer(data, kind).astype(np.int64).reshape(rows, dim)
+
+
 def whole_vectors(table: DataFrame, scale: int = 256) -> DataFrame:
     """(vec_id, v): floor(scale * x) of each component, as double."""
     x = F.transform("embedding", lambda c: c.cast("double"))
@@ -191,41 +204,68 @@ def build_trees(data: DataFrame, cells: int) -> DataFrame:
     return written(dealt.groupBy("dim", "cell").applyInPandas(build, "dim int, cell long, " + ", ".join(f"{c} binary" for c in _PAGES)), "tree-pages")
 
 
-def bundled(asked: DataFrame, blocks: int) -> DataFrame:
-    """A written table of query blocks: dim, block, q_ids, q_vectors, floors; asked is (vec_id, v, dim, floor)."""
+def bundled(asked: DataFrame, blocks: int) -> str:
+    """The shared folder of query blocks, a row each: dim, block, q_ids, q_vectors, floors; asked is (vec_id, v, dim, floor)."""
 
     def bundle(frame):
         import pandas as pd
 
         m = np.array([list(r) for r in frame["v"]], np.int64)
-        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "block": frame["block"].iloc[:1], "q_ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "q_vectors": [m.tobytes()], "floors": [frame["floor"].to_numpy(np.int64).tobytes()]})
+        return pd.DataFrame({"dim": frame["dim"].iloc[:1], "block": frame["block"].iloc[:1], "q_ids": [frame["vec_id"].to_numpy(np.int64).tobytes()], "q_vectors": [packed(m)], "floors": [frame["floor"].to_numpy(np.int64).tobytes()]})
 
+    folder = run_folder(asked.sparkSession, "query-blocks") + "/table"
     grouped = asked.withColumn("block", F.pmod(F.xxhash64("vec_id", F.lit(3)), F.lit(blocks)))
-    return written(grouped.groupBy("dim", "block").applyInPandas(bundle, "dim int, block long, q_ids binary, q_vectors binary, floors binary"), "query-blocks")
+    grouped.groupBy("dim", "block").applyInPandas(bundle, "dim int, block long, q_ids binary, q_vectors binary, floors binary").write.parquet(folder)
+    return folder
+
+
+def _asked_of(folder: str):
+    """The query blocks in the files of a folder, one after another: a task never holds more than one row group of them."""
+    import pyarrow.parquet as pq
+    from pyarrow import fs as pafs
 
+    fs, inside = file_system(folder)
+    for path in sorted(f.path for f in fs.get_file_info(pafs.FileSelector(inside)) if f.base_name.endswith(".parquet")):
+        with fs.open_input_file(path) as f:
+            for batch in pq.ParquetFile(f).iter_batches(batch_size=8):
+                yield from batch.to_pylist()
 
-def visited(trees: DataFrame, sent: DataFrame, k: int) -> DataFrame:
-    """(query_id, vec_id, score): at most k rows a tree and query, none under the query's floor; sent is query blocks with a cell."""
+
+def visited(trees: DataFrame, folder: str, cells: int, k: int, home: bool) -> DataFrame:
+    """(query_id, vec_id, score): at most k rows a tree and query, none under the query's floor.
+
+    The blocks lie in `folder`, which all executors share; every task reads them past its own trees, a bounded number of
+    which it holds at once. So no pair of a block and a tree is ever a row, in a shuffle or in a broadcast. With `home`
+    a block meets its home tree only, else all others.
+    """
 
     def visit(frames):
         import pandas as pd
 
-        known, tree = None, None
         for frame in frames:
-            out = []
+            held = {}
             for row in frame.itertuples(index=False):
-                if known != (row.dim, row.cell):
-                    known, tree = (row.dim, row.cell), Tree.load(row.dim, *(getattr(row, c) for c in _PAGES))
-                asks = np.frombuffer(row.q_vectors, np.int64).reshape(-1, row.dim)
-                most = max(float(np.abs(asks).max()), float(np.abs(tree.vectors).max()))
-                if most * most * row.dim >= 2**52 and tree.vectors.dtype == np.float64:
-                    tree = Tree(tree.ids, tree.vectors.astype(np.int64), tree.nodes)
-                for q, v, low in zip(np.frombuffer(row.q_ids, np.int64).tolist(), asks if tree.vectors.dtype == np.int64 else asks.astype(np.float64), np.frombuffer(row.floors, np.int64).tolist(), strict=True):
-                    out += [(q, i, s) for s, i in tree.search(v, q, k, None if low == _NO_FLOOR else low)[0]]
-            yield pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
-
-    pairs = trees.join(sent, ["dim", "cell"]).sortWithinPartitions("dim", "cell")
-    return pairs.select("dim", "cell", *_PAGES, "q_ids", "q_vectors", "floors").mapInPandas(visit, "query_id long, vec_id long, score long")
+                held.setdefault(int(row.dim), {})[int(row.cell)] = Tree.load(row.dim, *(getattr(row, c) for c in _PAGES))
+            for sent in _asked_of(folder):
+                near = held.get(sent["dim"], {})
+                if not near:
+                    continue
+                ids, floors = np.frombuffer(sent["q_ids"], np.int64).tolist(), np.frombuffer(sent["floors"], np.int64).tolist()
+                asks = unpacked(sent["q_vectors"], len(ids), sent["dim"])
+                out = []
+                for cell, tree in near.items():
+                    if (cell == sent["block"] % cells) != home:
+                        continue
+                    most = max(float(np.abs(asks).max()), float(np.abs(tree.vectors).max()))
+                    if most * most * sent["dim"] >= 2**52 and tree.vectors.dtype == np.float64:
+                        tree = near[cell] = Tree(tree.ids, tree.vectors.astype(np.int64), tree.nodes)
+                    for q, v, low in zip(ids, asks if tree.vectors.dtype == np.int64 else asks.astype(np.float64), floors, strict=True):
+                        out += [(q, i, s) for s, i in tree.search(v, q, k, None if low == _NO_FLOOR else low)[0]]
+                if out:
+                    yield pd.DataFrame(out, columns=["query_id", "vec_id", "score"])
+
+    spread = max(-(-cells // TREES), min(cells, 2 * trees.sparkSession.sparkContext.defaultParallelism))
+    return trees.select("dim", "cell", *_PAGES).repartition(spread).mapInPandas(visit, "query_id long, vec_id long, score long")
 
 
 def search(table: DataFrame, queries: DataFrame, k: int = 5, cell: int = CELL, block: int = QUERIES) -> DataFrame:
@@ -239,12 +279,10 @@ def search(table: DataFrame, queries: DataFrame, k: int = 5, cell: int = CELL, b
     asked = written(queries.select("vec_id", "v", F.size("v").alias("dim")), "queries")
     blocks = max(1, -(-asked.count() // block))
     trees = build_trees(data, cells)
-    home = F.pmod("block", F.lit(cells))
-    opening = written(visited(trees, bundled(asked.withColumn("floor", F.lit(_NO_FLOOR)), blocks).withColumn("cell", home), k), "opening")
+    opening = written(visited(trees, bundled(asked.withColumn("floor", F.lit(_NO_FLOOR)), blocks), cells, k, True), "opening")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     ranked = opening.withColumn("rank", F.row_number().over(order))
     floors = ranked.where(F.col("rank") == k).select(F.col("query_id").alias("vec_id"), F.col("score").alias("floor"))
     again = bundled(asked.join(floors, "vec_id", "left").withColumn("floor", F.coalesce("floor", F.lit(_NO_FLOOR))), blocks)
-    sent = again.withColumn("cell", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(cells - 1).cast("long")))).where(F.col("cell") != home)
-    found = opening.unionByName(visited(trees, sent, k))
+    found = opening.unionByName(visited(trees, again, cells, k, False))
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")

@@ -181,6 +181,19 @@ def test_topk_over_many_cells(spark):
     assert got == sorted(want)
 
 
+def test_topk_makes_no_row_of_a_block_and_a_tree(spark):
+    rng = np.random.default_rng(8)
+    rows = [(i, [float(x) for x in rng.normal(size=6)]) for i in range(300)]
+    v = mtree.whole_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    made = mtree.search(v, v.where("vec_id % 50 = 0"), cell=10, block=2)
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "Generate" not in plan and "Join" not in plan and "MapInPandas" in plan
+    m = {i: np.floor(256 * np.array(x)).astype(int) for i, x in rows}
+    for q in (0, 100):
+        want = sorted((-int(m[q] @ m[i]), i) for i in m if i != q)[:5]
+        assert [(-r["score"], r["vec_id"]) for r in made.where(f"query_id = {q}").orderBy("rank").collect()] == want
+
+
 def test_topk_edges(spark):
     rows = [(0, [1.0, 2.0]), (50, [0.5, 0.5]), (1, None), (2, [float("nan"), 1.0]), (3, [1.0, None]), (None, [1.0, 1.0]), (4, [])]
     v = mtree.whole_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<float>"))
