@@ -1,6 +1,7 @@
 """What failed on large tables: against DuckDB and brute force."""
 
 import random
+from pathlib import Path
 
 import duckdb
 import pytest
@@ -46,3 +47,13 @@ def test_blocks_give_what_sql_gives_and_shuffle_no_pair(spark, tmp_path, monkeyp
     plan = made._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "explode" not in plan.lower()
     assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(tmp_path, f"SELECT {', '.join(chr(34) + c + chr(34) for c in sorted(made.columns))} FROM ({q.sql})")
+
+
+MOVED = ["c14_hash_cost"]
+
+
+@pytest.mark.parametrize("name", MOVED)
+def test_closed_forms_read_a_table(spark, small, name):
+    made = QUERIES[name].run(spark, small)
+    assert "FileScan parquet" in made._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(Path(small), f"SELECT {', '.join(sorted(made.columns))} FROM ({QUERIES[name].sql})")
