@@ -89,7 +89,7 @@ def test_search_reads_no_vectors_for_ranking(spark, small):
 
 
 def test_weak_instance_and_sizes(spark):
-    rows = {(r["n"], r["p1"]): r["strong"] for r in theory.choose_parameters(spark).collect()}
+    rows = {(r["n"], r["p1"]): r["strong"] for r in theory.choose_parameters(spark.range(1000).withColumn("o_orderpriority", F.lit("1-URGENT"))).collect()}
     assert rows[1000, 0.8] and not rows[1000, 0.7]
     assert S.tree_rounds(7) == 3 and S.tree_rounds(1) == 0 and theory.size_sketch(800, 4) == 400
 
