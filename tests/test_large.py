@@ -49,7 +49,7 @@ def test_blocks_give_what_sql_gives_and_shuffle_no_pair(spark, tmp_path, monkeyp
     assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(tmp_path, f"SELECT {', '.join(chr(34) + c + chr(34) for c in sorted(made.columns))} FROM ({q.sql})")
 
 
-MOVED = ["c14_hash_cost", "th01_curve", "th02_parameters", "th05_signal_to_noise", "th06_cost_model", "th07_dedup_limit", "th08_repetitions"]
+MOVED = ["c14_hash_cost", "th01_curve", "th02_parameters", "th05_signal_to_noise", "th06_cost_model", "th07_dedup_limit", "th08_repetitions", "th09_sketch_size"]
 
 
 @pytest.mark.parametrize("name", MOVED)
