@@ -1,4 +1,4 @@
-"""Token ids of whole texts, by the tokenizers library, with a bounded cache of white-space separated chunks.
+"""Token ids of whole texts, by the tokenizers library, with a bounded cache of white-space separated chunks, of two generations.
 
 The word vocabulary drops white space and never joins across it, so a text's ids are those of its chunks one after
 another. Every chunk is encoded by the library once while it stays in the cache. Other vocabularies, whose ids may
@@ -28,21 +28,32 @@ def byte_letters() -> str:
 
 
 class _Cache(dict):
-    """Ids by chunk, made when first asked for."""
+    """Ids by chunk, made when first asked for. What the generation before holds is taken over when it is asked for again."""
 
-    def __init__(self, make):
+    def __init__(self, make, before: dict | None = None):
         super().__init__()
         self.make = make
+        self.before = before or {}
 
     def __missing__(self, chunk: str) -> bytes:
-        out = self[chunk] = self.make(chunk)
+        out = self.before.get(chunk)
+        out = self[chunk] = self.make(chunk) if out is None else out
         return out
 
+    def known(self, chunk: str) -> bytes | None:
+        out = self.get(chunk)
+        return self.before.get(chunk) if out is None else out
+
+    def next(self) -> "_Cache":
+        """A new generation after this one; the one before this goes."""
+        self.before = {}
+        return _Cache(self.make, self)
+
 
 class Encoder:
     """Little-endian unsigned 32-bit ids of texts as bytes."""
 
-    def __init__(self, path: str, cache_size: int = 500_000, chunked: bool = True):
+    def __init__(self, path: str, cache_size: int = 400_000, chunked: bool = True):
         from tokenizers import Tokenizer
 
         self.whole = Tokenizer.from_file(path)
@@ -64,7 +75,7 @@ class Encoder:
         """Ids of a chunk that the cache lacks; a plain word and the marks after it are separate to the vocabulary."""
         if self.words and (found := _PLAIN(chunk)):
             word, marks = found.groups()
-            if (known := self.cache.get(word)) is None:
+            if (known := self.cache.known(word)) is None:
                 spelled = word.lower()
                 if not spelled.isascii():
                     spelled = spelled.encode().decode("latin1").translate(self.letters)
@@ -72,7 +83,7 @@ class Encoder:
                 if marks:
                     self.cache[word] = known
             if marks:
-                if (tail := self.cache.get(marks)) is None:
+                if (tail := self.cache.known(marks)) is None:
                     tail = self.cache[marks] = self.ids(marks)
                 return known + tail
             return known
@@ -82,7 +93,7 @@ class Encoder:
         if not self.chunked:
             return self.ids(text)
         if len(self.cache) > self.cache_size:
-            self.cache.clear()
+            self.cache = self.cache.next()
         return b"".join(map(self.cache.__getitem__, text.replace("\n", " ").split(" ")))
 
 

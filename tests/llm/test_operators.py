@@ -449,3 +449,13 @@ def test_near_duplicates_of_repeated_ids(spark):
     kept = dartminhash.keep_one(df)
     assert kept.columns == df.columns
     assert Counter((r["doc_id"], r["text"]) for r in kept.collect()) == Counter([(1, one), (1, two), (5, "alone " * 3), (6, ""), (6, ""), (None, one)])
+
+
+def test_a_full_cache_keeps_what_is_asked_again():
+    small, plain = Encoder(PATH, cache_size=40), Encoder(PATH)
+    made = []
+    real = small._chunk
+    small.cache.make = lambda chunk: made.append(chunk) or real(chunk)
+    texts = [" ".join(["often", *[f"w{i}x{j}" for j in range(30)]]) for i in range(20)]
+    assert [small.encode(t) for t in texts] == [plain.encode(t) for t in texts] == [small.ids(t) for t in texts]
+    assert made.count("often") == 1 and len(small.cache) + len(small.cache.before) < 200
