@@ -57,3 +57,29 @@ def test_closed_forms_read_a_table(spark, small, name):
     made = QUERIES[name].run(spark, small)
     assert "FileScan parquet" in made._jdf.queryExecution().executedPlan().toString()
     assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(Path(small), f"SELECT {', '.join(sorted(made.columns))} FROM ({QUERIES[name].sql})")
+
+
+def odd_documents(spark, folder):
+    """Copies, near copies, a word in every text, texts without a word; and vectors."""
+    rng = random.Random(5)
+    texts = [" ".join(["the", *rng.choices([f"w{i}" for i in range(60)], k=rng.randrange(1, 60))]) for _ in range(50)]
+    docs = [(i * 10, texts[rng.randrange(50)] + (" more" if i % 3 else "")) for i in range(150)] + [(7, None), (8, " !"), (9, "alone")]
+    spark.createDataFrame(docs, "doc_id long, text string").coalesce(3).write.parquet(f"{folder}/documents.parquet")
+    spark.createDataFrame([(i, [rng.gauss(0, 1) for _ in range(64)]) for i in range(300)], "vec_id long, embedding array<float>").write.parquet(f"{folder}/embeddings.parquet")
+
+
+def test_builtin_lsh_meets_in_blocks_and_keeps_the_nearest(spark, tmp_path):
+    from pyspark.ml.feature import MinHashLSH
+
+    from bucketvote.catalogue import doc_sets, top_by
+    from bucketvote.functions import features
+    from bucketvote.sources.shared import stored
+
+    odd_documents(spark, tmp_path)
+    v = features.to_ml_vector(stored(doc_sets(spark, str(tmp_path)), "sets")).select("id", "features")
+    model = MinHashLSH(inputCol="features", outputCol="h", numHashTables=8, seed=1).fit(v)
+    met = model.approxSimilarityJoin(v.where("id % 100 = 0"), v, 0.95, "distance").selectExpr("datasetA.id query_id", "datasetB.id id", "1 - distance similarity").where("query_id <> id")
+    made = QUERIES["b03_builtin_lsh_join"].run(spark, str(tmp_path))
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "MapInArrow" in plan and "Join" not in plan
+    assert sorted(map(tuple, made.collect())) == sorted(map(tuple, top_by(met).collect()))
