@@ -8,7 +8,8 @@ import pytest
 from pyspark.sql import functions as F
 
 from bucketvote.every import QUERIES
-from bucketvote.operators import pairs
+from bucketvote.operators import hits, pairs
+from bucketvote.operators import search as S
 from bucketvote.sources.tables import TABLES
 
 
@@ -68,6 +69,20 @@ def odd_documents(spark, folder):
     spark.createDataFrame([(i, [rng.gauss(0, 1) for _ in range(64)]) for i in range(300)], "vec_id long, embedding array<float>").write.parquet(f"{folder}/embeddings.parquet")
 
 
+@pytest.mark.parametrize("name", ["w10_reservoirs"])
+def test_keys_meet_in_postings_and_no_join(spark, tmp_path, monkeypatch, name):
+    def no_join(*a, **b):
+        raise AssertionError("a row for each pair that shares a bucket")
+
+    odd_documents(spark, tmp_path)
+    for where in ("exact_counts", "with_similarity", "probe"):
+        monkeypatch.setattr(S, where, no_join)
+    monkeypatch.setattr(hits, "POSTINGS", 100)
+    q = QUERIES[name]
+    made = q.run(spark, str(tmp_path))
+    assert sorted(map(tuple, made.select(*sorted(made.columns)).collect())) == by_sql(tmp_path, f"SELECT {', '.join(chr(34) + c + chr(34) for c in sorted(made.columns))} FROM ({q.sql})")
+
+
 def test_builtin_lsh_meets_in_blocks_and_keeps_the_nearest(spark, tmp_path):
     from pyspark.ml.feature import MinHashLSH
 
