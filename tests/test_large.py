@@ -69,7 +69,7 @@ def odd_documents(spark, folder):
     spark.createDataFrame([(i, [rng.gauss(0, 1) for _ in range(64)]) for i in range(300)], "vec_id long, embedding array<float>").write.parquet(f"{folder}/embeddings.parquet")
 
 
-@pytest.mark.parametrize("name", ["w10_reservoirs", "w15_parameter_sweep", "w13_hash_families"])
+@pytest.mark.parametrize("name", ["w10_reservoirs", "w15_parameter_sweep", "w13_hash_families", "w08_large_batch"])
 def test_keys_meet_in_postings_and_no_join(spark, tmp_path, monkeypatch, name):
     def no_join(*a, **b):
         raise AssertionError("a row for each pair that shares a bucket")
