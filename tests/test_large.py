@@ -98,3 +98,6 @@ def test_builtin_lsh_meets_in_blocks_and_keeps_the_nearest(spark, tmp_path):
     plan = made._jdf.queryExecution().executedPlan().toString()
     assert "MapInArrow" in plan and "Join" not in plan
     assert sorted(map(tuple, made.collect())) == sorted(map(tuple, top_by(met).collect()))
+    single = {(r["query_id"], r["id"], round(r["similarity"], 6)) for r in QUERIES["b02_builtin_lsh_single"].run(spark, str(tmp_path)).collect()}
+    every = model.approxSimilarityJoin(v.where("id % 100 = 0"), v, 1.1, "distance").selectExpr("datasetA.id query_id", "datasetB.id id", "1 - distance similarity").where("query_id <> id")
+    assert single == {(r["query_id"], r["id"], r["similarity"]) for r in top_by(every).collect()}
