@@ -101,3 +101,16 @@ def test_builtin_lsh_meets_in_blocks_and_keeps_the_nearest(spark, tmp_path):
     single = {(r["query_id"], r["id"], round(r["similarity"], 6)) for r in QUERIES["b02_builtin_lsh_single"].run(spark, str(tmp_path)).collect()}
     every = model.approxSimilarityJoin(v.where("id % 100 = 0"), v, 1.1, "distance").selectExpr("datasetA.id query_id", "datasetB.id id", "1 - distance similarity").where("query_id <> id")
     assert single == {(r["query_id"], r["id"], r["similarity"]) for r in top_by(every).collect()}
+
+
+def test_exact_index_of_a_trial_is_not_written_for_each_node_count(spark, small, monkeypatch):
+    from bucketvote.catalogue import asked, doc_sets
+    from bucketvote.plans import workloads
+
+    rows = doc_sets(spark, small)
+    trial, written = workloads.Trial(rows, asked(rows), 2, 6), []
+    monkeypatch.setattr(workloads, "stored", lambda df, name: written.append(name) or df)
+    index = trial.index(5, strategy="exact")
+    assert not written and index.columns == ["node", "table_id", "bucket_key", "id"]
+    got = trial.search(index, 5, 5, "exact").collect()
+    assert sorted(map(tuple, got)) == sorted(map(tuple, S.search(rows, asked(rows), 2, 6, 5, 5, "exact").collect()))
