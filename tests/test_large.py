@@ -114,3 +114,41 @@ def test_exact_index_of_a_trial_is_not_written_for_each_node_count(spark, small,
     assert not written and index.columns == ["node", "table_id", "bucket_key", "id"]
     got = trial.search(index, 5, 5, "exact").collect()
     assert sorted(map(tuple, got)) == sorted(map(tuple, S.search(rows, asked(rows), 2, 6, 5, 5, "exact").collect()))
+
+
+def families(spark, folder):
+    """A family of 100 differing copies, a smaller one, exact copies, short texts, texts without a word."""
+    rng = random.Random(11)
+    docs = []
+    for size, length in ((100, 150), (12, 300), (30, 7)):
+        base = [f"w{rng.randrange(500)}" for _ in range(length)]
+        for _ in range(size):
+            own = list(base)
+            for _ in range(rng.randrange(3)):
+                own[rng.randrange(length)] = f"x{rng.randrange(9)}"
+            docs.append(" ".join(own) + rng.choice(["", " and more", "!"]))
+    docs += [docs[0], docs[5], "one", "ONE", "two words", "", " !", None, *(" ".join(rng.choices(["a", "b", "c"], k=9)) for _ in range(40))]
+    rng.shuffle(docs)
+    spark.createDataFrame(list(enumerate(docs)), "doc_id long, text string").repartition(3).write.parquet(f"{folder}/documents.parquet")
+
+
+def test_links_meet_inside_tasks(spark, tmp_path, monkeypatch):
+    from bucketvote.catalogue import WORDS, doc_sets
+    from bucketvote.operators import duplicates
+
+    def no_join(*a, **b):
+        raise AssertionError("a row with both token sets for each pair")
+
+    families(spark, tmp_path)
+    monkeypatch.setattr(duplicates, "_verified", no_join)
+    monkeypatch.setattr(hits, "POSTINGS", 500)
+    for what, value in (("CHUNK", 7), ("BLOCK", 50), ("PAIRS", 300), ("HELD", 2000)):
+        monkeypatch.setattr(duplicates, what, value, raising=False)
+    q = QUERIES["q12_near_duplicates"]
+    made = q.run(spark, str(tmp_path))
+    plan = made._jdf.queryExecution().executedPlan().toString()
+    assert "Join" not in plan
+    want = by_sql(tmp_path, f"SELECT id_a, id_b, hits, jaccard FROM ({q.sql})")
+    assert len(want) > 1000 and sorted(map(tuple, made.select("id_a", "id_b", "hits", "jaccard").collect())) == want
+    sets = doc_sets(spark, str(tmp_path), "shingle", WORDS)
+    assert sorted(map(tuple, duplicates.links(sets, 2, 16).collect())) == want
