@@ -152,3 +152,27 @@ def test_links_meet_inside_tasks(spark, tmp_path, monkeypatch):
     assert len(want) > 1000 and sorted(map(tuple, made.select("id_a", "id_b", "hits", "jaccard").collect())) == want
     sets = doc_sets(spark, str(tmp_path), "shingle", WORDS)
     assert sorted(map(tuple, duplicates.links(sets, 2, 16).collect())) == want
+
+
+@pytest.mark.parametrize("part", [400_000, 60])
+def test_node_index_is_the_sketch_index(spark, small, monkeypatch, part):
+    """Made by the task of each node, whole or in parts: the cells of the aggregation over all ids and tables."""
+    from bucketvote.operators import cells
+    from bucketvote.plans import workloads
+    from bucketvote.workload_queries import line_sets
+
+    monkeypatch.setattr(cells, "PART", part)
+    monkeypatch.setattr(cells, "BATCH", 100)
+    rows = line_sets(spark, small).limit(700).localCheckpoint()
+    want = S.build_sketch_index(S.build_bucket_index(rows, 4, 6, 3), 2, 64)
+    want = want.withColumn("bucket_key", F.concat_ws("", F.transform(F.split("bucket_key", "-"), lambda v: F.lpad(F.hex(v.cast("long")), 16, "0"))))
+    made = cells.node_index(rows, 4, 6, 3, 2, 64)
+    assert ("Aggregate" in made._jdf.queryExecution().executedPlan().toString()) == (part == 60)
+    assert sorted(map(tuple, made.withColumn("bucket_key", F.hex("bucket_key")).collect())) == sorted(map(tuple, want.select(*made.columns).collect()))
+
+    def no_rows(*a, **b):
+        raise AssertionError("a row for each id, table and sketch row")
+
+    monkeypatch.setattr(S, "build_sketch_index", no_rows)
+    got = workloads.index_scaling(spark, {"lineitem": (rows, 4, 6)}, (2, 3), 2, 64).collect()
+    assert sorted((r["family"], r["nodes"]) for r in got) == [("lineitem", 2), ("lineitem", 3)] and all(r["seconds"] > 0 for r in got)
