@@ -176,3 +176,26 @@ def test_node_index_is_the_sketch_index(spark, small, monkeypatch, part):
     monkeypatch.setattr(S, "build_sketch_index", no_rows)
     got = workloads.index_scaling(spark, {"lineitem": (rows, 4, 6)}, (2, 3), 2, 64).collect()
     assert sorted((r["family"], r["nodes"]) for r in got) == [("lineitem", 2), ("lineitem", 3)] and all(r["seconds"] > 0 for r in got)
+
+
+@pytest.mark.parametrize("table", ["lineitem", "documents"])
+def test_quality_in_tasks_is_that_of_the_plans(spark, small, monkeypatch, table):
+    from bucketvote.catalogue import asked, doc_sets
+    from bucketvote.plans import workloads
+    from bucketvote.workload_queries import line_sets
+
+    rows = (line_sets(spark, small).where("id % 100 = 0 or id % 5 = 1") if table == "lineitem" else doc_sets(spark, small)).localCheckpoint()
+    k, tables, nodes, ks = 2 if table == "lineitem" else 1, 6, (2, 3, 7), (1, 20)
+    want = workloads.quality_over_nodes(workloads.Trial(rows, asked(rows), k, tables), nodes, ks, 2, 32).collect()
+
+    def no_plan(*a, **b):
+        raise AssertionError("a row for each cell of a query")
+
+    monkeypatch.setattr(S, "search_index", no_plan)
+    monkeypatch.setattr(S, "build_sketch_index", no_plan)
+    made = workloads.quality_in_tasks(rows, asked(rows), k, tables, nodes, ks, 2, 32)
+    columns = sorted(made.columns)
+    assert sorted(columns) == sorted(want[0].asDict()) and len(want) == 18
+    assert sorted(tuple(r[c] for c in columns) for r in made.collect()) == sorted(tuple(r[c] for c in columns) for r in want)
+    monkeypatch.setattr(workloads, "quality_over_nodes", no_plan)
+    assert QUERIES["w05_quality_clicks"].run(spark, small).count() == 48
