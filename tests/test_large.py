@@ -199,3 +199,34 @@ def test_quality_in_tasks_is_that_of_the_plans(spark, small, monkeypatch, table)
     assert sorted(tuple(r[c] for c in columns) for r in made.collect()) == sorted(tuple(r[c] for c in columns) for r in want)
     monkeypatch.setattr(workloads, "quality_over_nodes", no_plan)
     assert QUERIES["w05_quality_clicks"].run(spark, small).count() == 48
+
+
+def test_node_of_over_a_million_rows_is_built_without_a_shuffle_of_cells(spark, small):
+    from bucketvote.operators import cells
+    from bucketvote.workload_queries import line_sets
+
+    plan = cells.node_index(line_sets(spark, small), 4, 16, 2, 2, 1024, 3_600_000)._jdf.queryExecution().executedPlan().toString()
+    # the first aggregation is that of line_sets
+    assert "MapInArrow" in plan and "Aggregate" not in plan[: plan.index("MapInArrow")]
+
+
+def test_compact_hashes_give_the_keys_and_salts(monkeypatch):
+    import numpy as np
+    import pyarrow as pa
+
+    rng = random.Random(2)
+    ids = [0, 9, 10, 99, 100, 10**17 + 3, 2**63 - 1, *rng.sample(range(1 << 56), 500)]
+    for ends in ((), ("/0", "/1/15")):
+        assert (hits.id_numbers(np.array(ids), *ends) == [hits.numbers(f"{i}{e}" for i in ids) for e in (ends or ("",))]).all()
+    rows = [(i, [f"w{rng.randrange(9)}" for _ in range(rng.randrange(5))]) for i in ids]
+    batch = pa.RecordBatch.from_arrays([pa.array([i for i, _ in rows]), pa.array([t for _, t in rows], pa.list_(pa.string()))], names=["id", "tokens"])
+    known, (want,) = hits.batch_keys(batch, [hits.Way(4, 3)])
+    held = hits.Hashed.of([hits.Hashed.part(batch.slice(a, 100)) for a in range(0, len(ids), 100)])
+    assert (held.ids == known).all()
+    for mix in (hits._ODD, (0, 0)):  # the second makes all keys one mix
+        monkeypatch.setattr(hits, "_ODD", mix)
+        for t in range(3):
+            sig = held.bins(12, 4 * t, 4 * t + 4, step=64)
+            assert (np.ascontiguousarray(sig.T, ">i8").view("S32").ravel() == want[t]).all()
+            code, first = hits.codes(sig)
+            assert (first[code] == np.unique(want[t], return_index=True)[1][np.unique(want[t], return_inverse=True)[1]]).all()
