@@ -230,3 +230,46 @@ def test_compact_hashes_give_the_keys_and_salts(monkeypatch):
             assert (np.ascontiguousarray(sig.T, ">i8").view("S32").ravel() == want[t]).all()
             code, first = hits.codes(sig)
             assert (first[code] == np.unique(want[t], return_index=True)[1][np.unique(want[t], return_inverse=True)[1]]).all()
+
+
+@pytest.mark.parametrize("table", ["lineitem", "documents"])
+def test_stored_whole_index_is_searched_inside_tasks(spark, small, monkeypatch, table):
+    """The answers of the plans, from an index of all buckets that is freed after use."""
+    from bucketvote.catalogue import asked, doc_sets
+    from bucketvote.operators import votes
+    from bucketvote.plans import workloads
+    from bucketvote.sources.shared import opened
+    from bucketvote.workload_queries import line_sets
+
+    rows = (line_sets(spark, small).where("id % 100 = 0 or id % 5 = 1") if table == "lineitem" else doc_sets(spark, small)).localCheckpoint()
+    k, tables = (4, 6) if table == "lineitem" else (1, 6)
+    monkeypatch.setattr(votes, "PLACES", 3 * 7 * 2 * 64)
+    monkeypatch.setattr(votes, "ASKED", 10)
+    trial = workloads.Batch(rows, asked(rows), k, tables, 2, 64)
+    for m in (1, 7):
+        want = {x: sorted((r["query_id"], r["rank"], r["id"]) for r in S.search(rows, asked(rows), k, tables, 20, m, x, 2, 64).collect()) for x in ("tree", "linear", "exact")}
+        index = trial.index(m)
+        with monkeypatch.context() as no:
+            no.setattr(S, "probe", None)
+            for strategy, answers in want.items():
+                got = trial.search(index, 20, m, strategy)
+                assert answers and sorted(map(tuple, got.collect())) == answers
+        trial.free(index)
+        fs, inside = opened(index)
+        assert fs.get_file_info(inside).type.name == "NotFound"
+
+
+def test_timings_run_without_a_join_of_cells(spark, tmp_path, monkeypatch):
+    from bucketvote.catalogue import asked, doc_sets
+    from bucketvote.plans import workloads
+    from bucketvote.workload_queries import against_builtin
+
+    odd_documents(spark, tmp_path)
+    rows = doc_sets(spark, str(tmp_path))
+    want = workloads.Trial(rows, asked(rows), 1, 12)
+    quality = want.quality(S.search(rows, asked(rows), 1, 12, 128, 3, "tree", 2, 1024), (128,)).first()
+    monkeypatch.setattr(S, "probe", None)
+    monkeypatch.setattr(S, "build_sketch_index", None)
+    made = against_builtin(spark, str(tmp_path), (3, 4)).collect()
+    assert [(r["method"], r["nodes"]) for r in made] == [("sketch tree", 3), ("sketch tree", 4), ("built-in join", 1), ("built-in single", 1)]
+    assert (made[0]["s_at_k"], made[0]["coverage"]) == (quality["s_at_k"], quality["coverage"]) and all(r["seconds"] > 0 for r in made)
