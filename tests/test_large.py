@@ -262,7 +262,7 @@ def test_stored_whole_index_is_searched_inside_tasks(spark, small, monkeypatch,
 def test_timings_run_without_a_join_of_cells(spark, tmp_path, monkeypatch):
     from bucketvote.catalogue import asked, doc_sets
     from bucketvote.plans import workloads
-    from bucketvote.workload_queries import against_builtin
+    from bucketvote.workload_queries import against_builtin, text_batch
 
     odd_documents(spark, tmp_path)
     rows = doc_sets(spark, str(tmp_path))
@@ -273,3 +273,5 @@ def test_timings_run_without_a_join_of_cells(spark, tmp_path, monkeypatch):
     made = against_builtin(spark, str(tmp_path), (3, 4)).collect()
     assert [(r["method"], r["nodes"]) for r in made] == [("sketch tree", 3), ("sketch tree", 4), ("built-in join", 1), ("built-in single", 1)]
     assert (made[0]["s_at_k"], made[0]["coverage"]) == (quality["s_at_k"], quality["coverage"]) and all(r["seconds"] > 0 for r in made)
+    timed = workloads.query_scaling(spark, {"documents": lambda: text_batch(spark, str(tmp_path))}, (2, 3)).collect()
+    assert len(timed) == 6 and all(r["ms_per_query"] > 0 for r in timed)
